@@ -51,7 +51,7 @@ def drop_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text", windo
     empty table gives no rows; other columns are not read.
     """
     spark = docs.sparkSession
-    buckets = 2 * packed.deal(spark)
+    buckets = packed.deal(spark)
     parts = packed.blocks(docs, key, text)
 
     def emit(group: tuple, table: pa.Table) -> pa.Table:
