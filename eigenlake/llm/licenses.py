@@ -96,7 +96,8 @@ def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", templates: tu
     """One row for every document: its license labels and where base phrases stand.
 
     Base templates count where all their words stand in a row; the others
-    where a span holds enough of them. first_word and last_word are the
+    where a span holds enough of them and no overlapping span holds more of
+    its own template. first_word and last_word are the
     smallest and largest start of a base phrase (null without one), labels
     are distinct, sorted and comma-joined (empty without one), score is the
     largest share of a template found.
@@ -109,9 +110,15 @@ def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", templates: tu
     base = [t for t, x in enumerate(templates) if x.base]
     label = F.element_at(F.array(*(F.lit(x.label) for x in templates)), F.col("t") + 1)
     is_base = F.col("t").isin(base) & (F.col("share") == 1)
+    every = spans(docs, key, text, templates).where(~F.col("t").isin(base) | is_base).withColumn("own", F.col("t").isin(base))
+    by = Window.partitionBy(key, "print", "own").orderBy("first_word", "t", "last_word")
+    reach = F.max("last_word").over(by.rowsBetween(Window.unboundedPreceding, -1))
+    islands = every.withColumn("new", F.coalesce(F.col("first_word") > reach, F.lit(True)).cast("int")).withColumn("island", F.sum("new").over(by))
+    best = F.max("share").over(Window.partitionBy(key, "print", "own", "island"))
+    chosen = islands.withColumn("best", best).where("own or share = best")
     joined = lambda c: F.array_join(F.array_sort(F.collect_set(c)), ",")
     found = (
-        spans(docs, key, text, templates).where(~F.col("t").isin(base) | is_base).groupBy(F.col(key).alias("k"), F.col("print").alias("p"))
+        chosen.groupBy(F.col(key).alias("k"), F.col("print").alias("p"))
         .agg(F.count_if(is_base).alias("n_base"), F.min(F.when(is_base, F.col("first_word"))).alias("first_word"), F.max(F.when(is_base, F.col("first_word"))).alias("last_word"), joined(F.when(is_base, label)).alias("base_labels"), joined(label).alias("labels"), F.max("share").alias("score"))
     )
     sizes = docs.select(key, F.xxhash64(text).alias("print"), F.size(_words(F.col(text))).cast("long").alias("n_words"))
