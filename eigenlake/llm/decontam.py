@@ -204,6 +204,21 @@ def _slices(benchmark: DataFrame, item: str, text: str) -> Iterator[Index]:
         yield Index(ids, texts)
 
 
+def _leaks(column: pa.Array, index: Index) -> Iterator[tuple[int, ...]]:
+    """(place of the text, item, tokens covered, item length, first, last byte, slots changed, at odds)."""
+    raw, off = textnum.buffers(column)
+    at = 0
+    while at < len(off) - 1:
+        to = max(at + 1, int(np.searchsorted(off, off[at] + textnum.CHUNK, "right")) - 1)
+        canon = Canonical(raw[off[at] : off[to]], off[at : to + 1] - off[at])
+        for doc, own, covered, lo, hi, changed, odds, size in _alignments(canon, index):
+            n_slots = int((~canon.literal[lo : hi + 1]).sum())
+            if 4 * odds <= n_slots:
+                shift = off[at] - off[at + doc]
+                yield at + doc, index.ids[own], covered, size, int(canon.starts[lo] + shift), int(canon.ends[hi] + shift), changed, odds
+        at = to
+
+
 def matches(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", item: str = "item_id", item_text: str = "text") -> DataFrame:
     """One row for each alignment of a text with a benchmark item whose slots are consistent.
 
@@ -229,22 +244,31 @@ def matches(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: st
         shared = spark.sparkContext.broadcast(index)
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            index = shared.value
             for batch in batches:
-                raw, off = textnum.buffers(batch.column(1))
-                ids, rows, at = batch.column(0).to_pylist(), [], 0
-                while at < len(off) - 1:
-                    to = max(at + 1, int(np.searchsorted(off, off[at] + textnum.CHUNK, "right")) - 1)
-                    canon = Canonical(raw[off[at] : off[to]], off[at : to + 1] - off[at])
-                    for doc, own, covered, lo, hi, changed, odds, size in _alignments(canon, index):
-                        n_slots = int((~canon.literal[lo : hi + 1]).sum())
-                        if 4 * odds <= n_slots:
-                            shift = off[at] - off[at + doc]
-                            rows.append((ids[at + doc], index.ids[own], covered, size, int(canon.starts[lo] + shift), int(canon.ends[hi] + shift), changed, odds))
-                    at = to
+                ids = batch.column(0).to_pylist()
+                rows = [(ids[doc], *rest) for doc, *rest in _leaks(batch.column(1), shared.value)]
                 cols = list(zip(*rows)) or [()] * len(_TYPES)
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, (_, t) in zip(cols, _TYPES)], names=[n for n, _ in _TYPES])
 
         part = source.mapInArrow(run, _SCHEMA)
         found = part if found is None else found.unionByName(part)
     return spark.createDataFrame([], _SCHEMA) if found is None else found
+
+
+def clean(docs: DataFrame, benchmark: DataFrame, text: str = "text", item: str = "item_id", item_text: str = "text") -> DataFrame:
+    """The rows of docs, all columns, whose text holds no benchmark item as `matches` finds them.
+
+    Rows without text stay. Nothing is shuffled.
+    """
+    place = docs.columns.index(text)
+    for index in _slices(benchmark, item, item_text):
+        shared = docs.sparkSession.sparkContext.broadcast(index)
+
+        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                keep = np.ones(batch.num_rows, bool)
+                keep[[doc for doc, *_ in _leaks(batch.column(place), shared.value)]] = False
+                yield batch.filter(pa.array(keep))
+
+        docs = docs.mapInArrow(run, docs.schema)
+    return docs

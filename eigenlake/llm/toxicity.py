@@ -242,15 +242,17 @@ def score(docs: DataFrame, model: Model, key: str = "doc_id", text: str = "text"
     Null and empty texts get the score of a text without words. Repeated rows
     score alike. One pass, no shuffle; only the named columns are read.
     """
-    chosen = docs.select(key, *also, F.col(text).alias("__text"))
-    schema = docs.select(key, *also, F.lit(0.0).alias("toxicity")).schema
+    names = [key, *also]
+    chosen = docs.select(*names) if text in names else docs.select(*names, F.col(text).alias("__text"))
+    place = names.index(text) if text in names else len(names)
+    schema = docs.select(*names, F.lit(0.0).alias("toxicity")).schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found = _Found(model.features)
         for batch in batches:
-            raw, off = textnum.buffers(batch.column(batch.num_columns - 1))
+            raw, off = textnum.buffers(batch.column(place))
             got = np.concatenate([np.zeros(0), *(model.scores(raw[off[a] : off[b]], off[a : b + 1] - off[a], found) for a, b in _runs(off))])
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(got, pa.float64())], [*batch.schema.names[:-1], "toxicity"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(got, pa.float64())], [*names, "toxicity"])
 
     return chosen.mapInArrow(run, schema)
 
