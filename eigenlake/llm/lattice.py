@@ -4,7 +4,7 @@ The vocabulary of a public subword tokenizer, with its own scores, weights
 every way to cut a text into pieces. A text's probability is the sum over all
 of them, times that of the end; since pieces do not cross white space it is a
 product over words, so each distinct word of the corpus is worked out once.
-One round of expected counts over the training texts refits the pieces'
+A few rounds of expected counts over the training texts refit the pieces'
 probabilities, starting from the vocabulary's scores.
 """
 
@@ -22,6 +22,8 @@ from . import packed, textnum
 
 #: Words worked on together, bytes from which a word is worked on alone, and weight of the vocabulary's own scores.
 BATCH, LONG, PRIOR = 8192, 96, 1000.0
+#: Parts in which sums over pieces travel, and turns in which they are added up.
+PARTS = 16
 
 _U = np.uint64
 _MARK = "▁".encode()
@@ -150,8 +152,9 @@ def log_marginals(vocab: Vocabulary, logp: np.ndarray, raw: np.ndarray, off: np.
     return out
 
 
-def expected_pieces(vocab: Vocabulary, raw: np.ndarray, off: np.ndarray, weight: np.ndarray) -> np.ndarray:
-    out, logp = np.zeros(len(vocab.start)), np.log(vocab.start)
+def expected_pieces(vocab: Vocabulary, logp: np.ndarray, raw: np.ndarray, off: np.ndarray, weight: np.ndarray) -> np.ndarray:
+    """How often each piece is used in words that occur `weight` times, on average over their segmentations."""
+    out = np.zeros(len(vocab.start))
     for some, lattice in _lattices(vocab, raw, off):
         lattice.expected(logp, weight[some], out)
     return out
@@ -175,7 +178,7 @@ def _trains(ids: list, folds: int, held: int) -> np.ndarray:
     return np.array([x is not None and zlib.crc32(str(x).encode()) % folds != held for x in ids], bool)
 
 
-def score(docs: DataFrame, model: str, key: str = "doc_id", text: str = "text", folds: int = 5, held: int = 1) -> DataFrame:
+def score(docs: DataFrame, model: str, key: str = "doc_id", text: str = "text", folds: int = 5, held: int = 1, rounds: int = 3) -> DataFrame:
     """One row for every document with its base and lattice log10 probabilities.
 
     Tokens are words between ASCII white space (A-Z lower-cased) and one end.
@@ -220,32 +223,43 @@ def score(docs: DataFrame, model: str, key: str = "doc_id", text: str = "text",
         raw, starts, ends = _split(table.column("words").to_pylist())
         return own, total, *_gather(raw, starts[sample], ends[sample])
 
-    def learn(table: pa.Table) -> pa.Table:
+    def probabilities(vocab: Vocabulary, fitted: pa.Table) -> tuple[np.ndarray, np.ndarray, float]:
+        """Counts known so far, log probabilities of the pieces, and that of the end."""
+        got = [np.frombuffer(data) for _, data in sorted(zip(fitted.column("part").to_pylist(), fitted.column("data").to_pylist()))]
+        p = PRIOR * vocab.start + np.concatenate(got[1:])
+        scale = np.log(p.sum() + got[0][2] + 1)
+        return got[0], np.log(p) - scale, float(np.log(got[0][2] + 1) - scale)
+
+    def learn(table: pa.Table, fitted: pa.Table | None = None) -> pa.Table:
+        if not table.num_rows:
+            return pa.table({"turn": pa.array([], pa.int32()), "part": pa.array([], pa.int32()), "data": pa.array([], pa.binary())})
         _, total, raw, off = unify(table)
         vocab = vocabulary(model)
         known = np.flatnonzero(total)
-        use = expected_pieces(vocab, *_gather(raw, off[:-1][known], off[1:][known]), total[known])
-        at = np.flatnonzero(use)
-        return pa.table({"piece": pa.array(np.concatenate([at, [-1, -2, -3]]), pa.int32()), "value": pa.array(np.concatenate([use[at], [total.sum(), len(known), sum(table.column("docs").to_pylist())]]), pa.float64())})
+        use = expected_pieces(vocab, np.log(vocab.start) if fitted is None else probabilities(vocab, fitted)[1], *_gather(raw, off[:-1][known], off[1:][known]), total[known])
+        facts = np.array([total.sum(), len(known), sum(table.column("docs").to_pylist())], float)
+        cuts = [facts, *np.array_split(use, PARTS)]
+        turn = table.column("bucket")[0].as_py() % PARTS
+        return pa.table({"turn": pa.array([turn] * len(cuts), pa.int32()), "part": pa.array(range(len(cuts)), pa.int32()), "data": pa.array([np.ascontiguousarray(c).tobytes() for c in cuts], pa.binary())})
+
+    def fold(table: pa.Table) -> pa.Table:
+        rows = sorted(zip(table.column("turn").to_pylist(), table.column("data").to_pylist()))
+        total = np.sum([np.frombuffer(data) for _, data in rows], 0)
+        return pa.table({"turn": pa.array([rows[0][0]], pa.int32()), "part": table.column("part").slice(0, 1), "data": pa.array([total.tobytes()], pa.binary())})
 
     def judge(table: pa.Table, fitted: pa.Table) -> pa.Table:
         if not table.num_rows:
             return pa.table({n: pa.array([], t) for n, t in said_as})
         own, total, raw, off = unify(table)
         vocab = vocabulary(model)
-        got = dict(zip(fitted.column("piece").to_pylist(), fitted.column("value").to_pylist()))
-        n_words, n_types, n_docs = (got.pop(k, 0.0) for k in (-1, -2, -3))
-        p = PRIOR * vocab.start
-        p[list(got)] += list(got.values())
-        end = n_docs + 1.0
-        scale = np.log(p.sum() + end)
-        logp = log_marginals(vocab, np.log(p) - scale, raw, off)
+        (n_words, n_types, n_docs), logp, log_end = probabilities(vocab, fitted)
+        logp = log_marginals(vocab, logp, raw, off)
         out = packed.reply(table, packed.bounds(table), count=total[own].astype(np.int64), logp=logp[own])
         n = len(out)
         const = {"n_train": n_words + n_docs, "n_types": n_types + (n_docs > 0), "n_docs": n_docs}
         for k, v in const.items():
             out = out.append_column(k, pa.array([int(v)] * n, pa.int64()))
-        return out.append_column("log_end", pa.array([float(np.log(end) - scale)] * n, pa.float64()))
+        return out.append_column("log_end", pa.array([log_end] * n, pa.float64()))
 
     def apply(group: tuple, table: pa.Table, said: pa.Table) -> pa.Table:
         table = packed.ordered(table)
@@ -271,9 +285,12 @@ def score(docs: DataFrame, model: str, key: str = "doc_id", text: str = "text",
 
     said_as = [("block", pa.int32()), ("bucket", pa.int32()), ("count", pa.binary()), ("logp", pa.binary()), ("n_train", pa.int64()), ("n_types", pa.int64()), ("n_docs", pa.int64()), ("log_end", pa.float64())]
     sent_as = pa.schema([("block", pa.int32()), ("bucket", pa.int32()), ("keys", pa.binary()), ("count", pa.binary()), ("words", pa.binary()), ("docs", pa.int64())])
+    sums = "turn int, part int, data binary"
     sent = parts.groupBy("block").applyInArrow(emit, "block int, bucket int, keys binary, count binary, words binary, docs long").repartition(buckets, "bucket")
-    fitted = sent.groupBy("bucket").applyInArrow(learn, "piece int, value double").groupBy("piece").agg(F.sum("value").alias("value"))
-    every = F.explode(F.sequence(F.lit(0), F.lit(buckets - 1)))
-    spread = fitted.select(every.alias("bucket"), "piece", "value")
+    sums = "turn int, part int, data binary"
+    added = lambda parts: parts.groupBy("part", "turn").applyInArrow(fold, sums).groupBy("part").applyInArrow(fold, sums).select(F.explode(F.sequence(F.lit(0), F.lit(buckets - 1))).alias("bucket"), "part", "data")
+    spread = added(sent.groupBy("bucket").applyInArrow(lambda table: learn(table), sums))
+    for _ in range(1, rounds):
+        spread = added(sent.groupBy("bucket").cogroup(spread.groupBy("bucket")).applyInArrow(lambda table, fitted: learn(table, fitted), sums))
     said = sent.groupBy("bucket").cogroup(spread.groupBy("bucket")).applyInArrow(judge, "block int, bucket int, count binary, logp binary, n_train long, n_types long, n_docs long, log_end double")
     return parts.groupBy("block").cogroup(said.groupBy("block")).applyInArrow(apply, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
