@@ -62,21 +62,26 @@ def lanczos(space: Space, steps: int = 25, runs: int = 4, seed: int = 7) -> list
     return out
 
 
-def density(runs: list[tuple[np.ndarray, np.ndarray]]) -> Density:
-    """Nodes are the tridiagonals' eigenvalues, weights the squared first components of their vectors."""
+def density(runs: list[tuple[np.ndarray, np.ndarray]], form: str = "safe") -> Density:
+    """Nodes are the tridiagonals' eigenvalues, weights the squared first components of their vectors.
+
+    The upper bound adds the last remainder to the largest node ('safe'), or to
+    each node only as much of it as its own residual holds ('tight').
+    """
     theta, weight, upper = [], [], -np.inf
     for a, b in runs:
         t = np.diag(a) + np.diag(b[: len(a) - 1], 1) + np.diag(b[: len(a) - 1], -1)
         values, vectors = np.linalg.eigh(t)
         theta.append(values)
         weight.append(vectors[0] ** 2 / len(runs))
-        upper = max(upper, values[-1] + abs(b[len(a) - 1]))
+        left = abs(b[len(a) - 1])
+        upper = max(upper, values[-1] + left if form == "safe" else float((values + left * np.abs(vectors[-1])).max()))
     return Density(np.concatenate(theta), np.concatenate(weight), float(upper))
 
 
-def upper_bound(space: Space, steps: int = 25, runs: int = 4, seed: int = 7) -> float:
+def upper_bound(space: Space, steps: int = 25, runs: int = 4, seed: int = 7, form: str = "safe") -> float:
     """A number no eigenvalue exceeds, in all but freak cases; the solver enlarges it if one does."""
-    return density(lanczos(space, steps, runs, seed)).upper
+    return density(lanczos(space, steps, runs, seed), form).upper
 
 
 def estimate(space: Space, ne: int, steps: int = 25, runs: int = 4, seed: int = 7, use_density: bool = True) -> tuple[float, float, float]:
