@@ -27,6 +27,8 @@ SAMPLE_BYTES = 48 << 20
 STEMS = (4, 5, 6, 8)
 #: Most lexicon voters, and most features of the classifier.
 VOTERS, FEATURES = 400, 800
+#: Marked documents that a further lexicon word or feature must find.
+LEAST = 2
 #: Within a class, voters that correlate above this are one family.
 ALIKE = 0.5
 
@@ -54,14 +56,19 @@ def _features(raw: np.ndarray, off: np.ndarray) -> Iterator[tuple[np.ndarray, np
 
 def _patterns(raw: np.ndarray, off: np.ndarray) -> np.ndarray:
     """Patterns of writing by document: shouting, exclamation, symbols, digits, lines."""
+    parts = [_patterns_of(raw[off[a] : off[b]], off[a : b + 1] - off[a]) for a, b in _runs(off)]
+    return np.concatenate([np.zeros((0, _PATTERNS), bool), *parts])
+
+
+def _patterns_of(raw: np.ndarray, off: np.ndarray) -> np.ndarray:
     def share(mask: np.ndarray, of: np.ndarray) -> np.ndarray:
-        total = np.concatenate([[0], np.cumsum(mask)])
+        total = np.concatenate([[0], np.cumsum(mask, dtype=np.int32)])
         return (total[off[1:]] - total[off[:-1]]) / np.maximum(1, of)
 
     n = np.diff(off)
     upper = (raw >= 0x41) & (raw <= 0x5A)
     letters = upper | ((raw >= 0x61) & (raw <= 0x7A))
-    count = np.concatenate([[0], np.cumsum(letters)])
+    count = np.concatenate([[0], np.cumsum(letters, dtype=np.int32)])
     return np.stack(
         [
             share(upper, count[off[1:]] - count[off[:-1]]) > 0.5,
@@ -92,18 +99,25 @@ class _Found:
         return at[hit], k[hit]
 
 
-def _presence(found: _Found, raw: np.ndarray, off: np.ndarray) -> np.ndarray:
-    """Distinct (document * features + feature) numbers of the features present."""
+def _present(found: _Found, raw: np.ndarray, off: np.ndarray) -> Iterator[np.ndarray]:
+    """Distinct (document * features + feature) numbers of the features present; no number comes twice."""
     wide = max(1, len(found.features))
-    out = [np.zeros(0, np.int64)]
     for doc, h in _features(raw, off):
         at, k = found(h)
-        out.append(np.unique(doc[at] * wide + k))
-    return np.unique(np.concatenate(out))
+        yield np.unique(doc[at] * wide + k)
 
 
-def _telling(raw: np.ndarray, off: np.ndarray, weight: np.ndarray, most: int, odds: float) -> np.ndarray:
-    """Features whose share among documents of weight 1 is `odds` times that among the others; the most telling first."""
+def _presence(found: _Found, raw: np.ndarray, off: np.ndarray) -> np.ndarray:
+    return np.concatenate([np.zeros(0, np.int64), *_present(found, raw, off)])
+
+
+def _telling(raw: np.ndarray, off: np.ndarray, weight: np.ndarray, most: int, odds: float, cover: int) -> np.ndarray:
+    """Features whose share among documents of weight 1 is `odds` times that among the others.
+
+    Of the most telling ones those stay that are needed to find each marked
+    document `cover` times, picked greedily: features that only repeat what
+    others say, or that a few copies of one document share, fall away.
+    """
     marked = np.flatnonzero(weight > 0.5)
     pairs = []
     for doc in marked:
@@ -113,12 +127,35 @@ def _telling(raw: np.ndarray, off: np.ndarray, weight: np.ndarray, most: int, od
     values, df = np.unique(np.concatenate(pairs), return_counts=True)
     values, df = values[df >= 3], df[df >= 3]
     found = _Found(values)
-    seen = np.bincount(_presence(found, raw, off) % max(1, len(values)), minlength=len(values)) if len(values) else df
+    seen = np.zeros(len(values), np.int64)
+    for there in _present(found, raw, off) if len(values) else ():
+        seen += np.bincount(there % len(values), minlength=len(values))
     other = seen - df
     ratio = (df + 0.5) / (len(marked) + 1) / ((other + 0.5) / (len(weight) - len(marked) + 1))
     worth = df * np.log(ratio)
     keep = np.flatnonzero(ratio >= odds)
-    return values[keep[np.lexsort((values[keep], -worth[keep]))][:most]]
+    found = _Found(values[keep[np.lexsort((values[keep], -worth[keep]))][:most]])
+    held = _table(found, raw, off)
+    left = np.where(weight > 0.5, float(cover), 0.0)
+    cost, chosen = held[weight <= 0.5].sum(0), []
+    while len(chosen) < held.shape[1]:
+        gain = np.minimum(left, 1) @ held - 4 * cost
+        gain[chosen] = -1
+        best = int(np.argmax(gain))
+        if gain[best] < LEAST:
+            break
+        chosen.append(best)
+        left = np.maximum(left - held[:, best], 0)
+    return found.features[chosen]
+
+
+def _table(found: _Found, raw: np.ndarray, off: np.ndarray) -> np.ndarray:
+    """Documents by features: 1 where present."""
+    wide = max(1, len(found.features))
+    out = np.zeros((len(off) - 1, len(found.features)), np.float32)
+    there = _presence(found, raw, off)
+    out[there // wide, there % wide] = 1
+    return out
 
 
 def _families(votes: np.ndarray, post: np.ndarray) -> np.ndarray:
@@ -141,45 +178,66 @@ def _families(votes: np.ndarray, post: np.ndarray) -> np.ndarray:
         label = new
 
 
-def label_model(votes: np.ndarray, rounds: int = 25) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Posterior of label 1, each family's firing rates on both classes, and families.
+def label_model(votes: np.ndarray, start: np.ndarray, rounds: int = 25) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Posterior of label 1, each family's accuracy, and the family of each voter.
 
-    Fitted without labels: the start is that lexicon voters mean label 1.
+    Expectation maximisation from `start`, what the sample's own labels say,
+    most of which the votes then outweigh. A voter that fires says label 1
+    and is right as often as its accuracy; one that does not abstains.
+    Silence of the whole lexicon is a voter of its own, whose accuracy is
+    learnt alike.
     """
     votes = votes.astype(np.float64)
-    lexicon = votes[:, _PATTERNS:].sum(1)
-    post = np.where(lexicon > 0, 0.9, 0.05)
+    spoken = votes[:, _PATTERNS:].sum(1) > 0
+    post = np.clip(start, 0.01, 0.99)
     family = _families(votes, post)
-    fired = np.zeros((len(votes), family.max() + 1 if len(family) else 0))
+    fired = np.zeros((len(votes), family.max() + 2 if len(family) else 1))
     for j, f in enumerate(family):
         fired[:, f] = np.maximum(fired[:, f], votes[:, j])
-    hit = miss = np.zeros(fired.shape[1])
+    fired[:, -1] = ~spoken
+    accuracy = np.zeros(fired.shape[1])
     for _ in range(rounds):
-        prior = np.clip(post.mean(), 0.001, 0.999)
-        hit = (post @ fired + 0.1) / (post.sum() + 1)
-        miss = ((1 - post) @ fired + 0.01) / ((1 - post).sum() + 1)
-        odds = np.log(prior / (1 - prior)) + fired @ np.log(hit / miss) + (1 - fired) @ np.log((1 - hit) / (1 - miss))
-        new = 1 / (1 + np.exp(-np.clip(odds, -30, 30)))
+        prior = np.clip(post.mean(), 0.01, 0.99)
+        accuracy = (post @ fired + prior) / (fired.sum(0) + 1)
+        base = np.log(prior / (1 - prior))
+        say = np.log(accuracy / (1 - accuracy)) - base
+        new = 1 / (1 + np.exp(-np.clip(base + fired @ say, -30, 30)))
         if np.abs(new - post).max() < 1e-6:
             break
         post = new
-    return post, hit, miss, family
+    return post, accuracy, family
 
 
-def _regression(x: np.ndarray, y: np.ndarray, l2: float = 0.3, rounds: int = 300) -> np.ndarray:
-    """Weights (the last is the constant) of a logistic regression on soft labels, by accelerated gradient steps."""
+def _regression(x: np.ndarray, y: np.ndarray, l2: float = 0.1, rounds: int = 40) -> np.ndarray:
+    """Weights (the last is the constant) of a logistic regression on soft labels, by damped Newton steps."""
     x = np.concatenate([x, np.ones((len(x), 1), x.dtype)], 1)
-    step = 4 / (np.linalg.norm(x, 2) ** 2 + 4 * l2)
-    w = v = np.zeros(x.shape[1])
-    for k in range(rounds):
-        grad = x.T @ (1 / (1 + np.exp(-np.clip(x @ v, -30, 30))) - y)
-        grad[:-1] += l2 * v[:-1]
-        new = v - step * grad
-        v = new + k / (k + 3) * (new - w)
-        w = new
+    w = np.zeros(x.shape[1])
+    ridge = np.full(x.shape[1], l2)
+    ridge[-1] = 1e-6
+    for _ in range(rounds):
+        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
+        weight = np.maximum(p * (1 - p), 1e-6).astype(x.dtype)
+        slope = x.T @ (y - p) - ridge * w
+        step = np.linalg.solve((x.T @ (x * weight[:, None])).astype(np.float64) + np.diag(ridge), slope)
+        w = w + step * min(1.0, 3 / max(1e-12, np.abs(step).max()))
+        if np.abs(step).max() < 1e-4:
+            break
     return w
 
 
+def _middle(z: np.ndarray, marked: np.ndarray) -> float:
+    """The cut between scores with the fewest on the wrong side; of equals, the middle of the widest gap."""
+    order = np.argsort(z, kind="stable")
+    z, marked = z[order], marked[order]
+    wrong = np.cumsum(marked)[:-1] + np.cumsum((~marked)[::-1])[::-1][1:]
+    gap = np.diff(z)
+    if not (gap > 0).any():
+        return 0.0
+    best = wrong == wrong[gap > 0].min()
+    k = int(np.argmax(np.where(best, gap, -1)))
+    return float((z[k] + z[k + 1]) / 2)
+
+
 @dataclass
 class Model:
     """A fitted linear classifier: sorted features, their weights, pattern weights, constant."""
@@ -204,17 +262,13 @@ def train(texts: pa.ChunkedArray, toxic: np.ndarray) -> Model:
     if not len(toxic) or toxic.min() == toxic.max():
         return Model(np.zeros(0, _U), np.zeros(0), np.zeros(_PATTERNS), 8.0 if len(toxic) and toxic.max() else -8.0)
 
-    def table(found: _Found) -> np.ndarray:
-        out = np.zeros((len(toxic), len(found.features)), np.float32)
-        there = _presence(found, raw, off)
-        out[there // max(1, len(found.features)), there % max(1, len(found.features))] = 1
-        return out
-
     patterns = _patterns(raw, off).astype(np.float32)
-    lexicon = _Found(_telling(raw, off, toxic.astype(float), VOTERS, 20.0))
-    post, *_ = label_model(np.concatenate([patterns, table(lexicon)], 1))
-    found = _Found(_telling(raw, off, post, FEATURES, 10.0))
-    w = _regression(np.concatenate([patterns, table(found)], 1).astype(np.float64), post)
+    lexicon = _Found(_telling(raw, off, toxic.astype(float), VOTERS, 20.0, 3))
+    post, *_ = label_model(np.concatenate([patterns, _table(lexicon, raw, off)], 1), toxic.astype(float))
+    found = _Found(_telling(raw, off, post, FEATURES, 10.0, 6))
+    x = np.concatenate([patterns, _table(found, raw, off)], 1)
+    w = _regression(x, post)
+    w[-1] -= _middle(x @ w[:-1] + w[-1], post > 0.5)
     return Model(found.features, w[_PATTERNS:-1], w[:_PATTERNS], float(w[-1]))
 
 
