@@ -91,7 +91,7 @@ def top_k(vectors: DataFrame, is_query: Column, key: str = "vec_id", vector: str
     Vectors that are null, or hold a null or non-finite component, and rows
     with a null id take no part. Empty vectors score 0; a shorter vector ends
     in zeros. A repeated row is a candidate as often as it occurs, and a
-    query once. Scores that do not fit a long wrap around. An empty table
+    query once. Scores must fit a long. An empty table
     gives no rows; other columns are not read.
     """
     good = F.col("v").isNotNull() & ~F.exists("v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
