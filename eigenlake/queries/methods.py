@@ -17,6 +17,24 @@ from ..solve.ritz import rayleigh_ritz, update_bounds
 from .base import COSUPPLY, EMBEDDING_GRAM, PHASE, cosupply, flows, power_sql, query, r6, table
 
 _N = "(SELECT count(*) AS n FROM part)"
+#: Suppliers index the dense operators and those solved in one task: their keys run from 0 without gaps.
+_S = "(SELECT count(*) AS n FROM supplier)"
+
+
+def _index(spark: SparkSession, sf: str) -> tuple[DataFrame, int]:
+    keys = table(spark, sf, "supplier").select("s_suppkey")
+    return keys, keys.count()
+
+
+def _sizes(n: int, nev: int, nex: int) -> tuple[int, int]:
+    """nev and nex, lowered to what a small index can hold."""
+    nev = min(nev, n // 2)
+    return nev, min(nex, n - nev)
+
+
+def _ranks(most: int) -> str:
+    """SQL: ranks k from 1 to what `_sizes` leaves, with n."""
+    return f"(SELECT range AS k, n FROM range(1, {most + 1}), {_S} WHERE range <= n // 2)"
 
 
 def _in_task(df: DataFrame, f, schema: str) -> DataFrame:
@@ -51,17 +69,17 @@ def wilkinson_entries(spark: SparkSession, sf: str) -> DataFrame:
     return bands.tridiag_wilkinson(table(spark, sf, "part"), "p_partkey")
 
 
-def _reflected(spark: SparkSession, sf: str, kind: str, n: int, eps: float) -> DataFrame:
-    keys = table(spark, sf, "part").where(F.col("p_partkey") < n)
-    return dense.reflector_entries(spectra.spectrum(keys, "p_partkey", kind, eps=eps), F.sin(F.col("k").cast("double")))
+def _reflected(spark: SparkSession, sf: str, kind: str, eps: float) -> DataFrame:
+    keys, _ = _index(spark, sf)
+    return dense.reflector_entries(spectra.spectrum(keys, "s_suppkey", kind, eps=eps), F.sin(F.col("k").cast("double")))
 
 
-@query("""WITH x AS (SELECT p_partkey AS i, 1e-4 + p_partkey * (1 - 1e-4) / 39 AS l, sin((p_partkey + 1)::DOUBLE) AS u FROM part WHERE p_partkey < 40),
+@query("""WITH x AS (SELECT s_suppkey AS i, 1e-4 + s_suppkey * (1 - 1e-4) / ((SELECT count(*) FROM supplier) - 1) AS l, sin((s_suppkey + 1)::DOUBLE) AS u FROM supplier),
     q AS (SELECT i, l, u / sqrt((SELECT sum(u * u) FROM x)) AS u FROM x), s AS (SELECT sum(l * u * u) AS s FROM q),
     h AS (SELECT a.i, b.i AS j, (a.i = b.i)::INT - 2 * a.u * b.u AS h FROM q a, q b)
     SELECT a.i, b.j, round(sum(a.h * q.l * b.h), 6) + 0.0 AS v FROM h a JOIN h b ON a.j = b.i JOIN q ON q.i = a.j GROUP BY a.i, b.j""")
 def dense_reflector(spark: SparkSession, sf: str) -> DataFrame:
-    return _reflected(spark, sf, "uniform", 40, 1e-4).select("i", "j", r6("v").alias("v"))
+    return _reflected(spark, sf, "uniform", 1e-4).select("i", "j", r6("v").alias("v"))
 
 
 @query(f"SELECT 'uniform' AS family, round(max(l) / min(l), 6) AS cond FROM (SELECT 1e-4 + p_partkey * (1 - 1e-4) / (n - 1) AS l FROM part, {_N}) UNION ALL SELECT 'geometric', round(max(l) / min(l), 6) FROM (SELECT pow(1e-4, (n - p_partkey - 1) / (n - 1)) AS l FROM part, {_N}) UNION ALL SELECT 'onetwoone', round(max(l) / min(l), 3) FROM (SELECT 2 - 2 * cos(pi() * (p_partkey + 1) / (n + 1)) AS l FROM part, {_N})")
@@ -89,33 +107,36 @@ def supplier_succession(spark: SparkSession, sf: str) -> DataFrame:
 # the solver
 
 
-@query("SELECT k, round(2 - 2 * cos(pi() * k / 151), 6) + 0.0 AS eigenvalue FROM range(1, 11) t(k)")
+@query(f"SELECT k, round(2 - 2 * cos(pi() * k / (n + 1)), 6) + 0.0 AS eigenvalue FROM {_ranks(8)}")
 def eigs_onetwoone(spark: SparkSession, sf: str) -> DataFrame:
-    keys = table(spark, sf, "customer").where("c_custkey < 150")
-    return _values(driver.eigs(bands.tridiag_121(keys, "c_custkey"), 150, 10, 10))
+    keys, n = _index(spark, sf)
+    return _values(driver.eigs(bands.tridiag_121(keys, "s_suppkey"), n, *_sizes(n, 8, 8), max_iter=200))
 
 
-@query("SELECT k, round(1e-4 + (100 - k) * (1 - 1e-4) / 99, 6) + 0.0 AS eigenvalue FROM range(1, 9) t(k)")
+@query(f"SELECT k, round(1e-4 + (n - k) * (1 - 1e-4) / (n - 1), 6) + 0.0 AS eigenvalue FROM {_ranks(8)}")
 def eigs_uniform_high(spark: SparkSession, sf: str) -> DataFrame:
-    return _values(driver.eigs(_reflected(spark, sf, "uniform", 100, 1e-4), 100, 8, 8, end="high"))
+    n = _index(spark, sf)[1]
+    return _values(driver.eigs(_reflected(spark, sf, "uniform", 1e-4), n, *_sizes(n, 8, 8), end="high", max_iter=200))
 
 
-@query("SELECT k, round(pow(1e-2, (100 - k) / 99.0), 6) + 0.0 AS eigenvalue FROM range(1, 9) t(k)")
+@query(f"SELECT k, round(pow(1e-2, (n - k) / (n - 1)), 6) + 0.0 AS eigenvalue FROM {_ranks(8)}")
 def eigs_geometric_low(spark: SparkSession, sf: str) -> DataFrame:
-    return _values(driver.eigs(_reflected(spark, sf, "geometric", 100, 1e-2), 100, 8, 8))
+    n = _index(spark, sf)[1]
+    return _values(driver.eigs(_reflected(spark, sf, "geometric", 1e-2), n, *_sizes(n, 8, 8), max_iter=200))
 
 
-def _inertia_sql(n: int, diagonal: str, shifts: str) -> str:
-    return f"""WITH RECURSIVE s AS (SELECT shift FROM ({shifts})), it(shift, k, q, below) AS (
+def _inertia_sql(order: str, diagonal: str, shifts: str) -> str:
+    n = "(SELECT n FROM o)"
+    return f"""WITH RECURSIVE o AS MATERIALIZED (SELECT n FROM {order}), s AS (SELECT shift FROM ({shifts})), it(shift, k, q, below) AS (
       SELECT shift, 1, ({diagonal.format(k='0')}) - shift, ((({diagonal.format(k='0')}) - shift) < 0)::BIGINT FROM s
       UNION ALL SELECT shift, k + 1, p, below + (p < 0)::BIGINT FROM (SELECT shift, k, below, ({diagonal.format(k='k')}) - shift - 1.0 / q AS p FROM it WHERE k < {n}))
       SELECT shift, below FROM it WHERE k = {n}"""
 
 
-@query(_inertia_sql(100, "abs({k} - 49.5)::DOUBLE", "SELECT (range + 0.5)::DOUBLE AS shift FROM range(7)"))
+@query("SELECT shift, least(below, 16, (SELECT count(*) // 2 FROM supplier)) AS below FROM (" + _inertia_sql(_S, "abs({k} - ((SELECT n FROM o) - 1) / 2)::DOUBLE", "SELECT (range + 0.5)::DOUBLE AS shift FROM range(7)") + ")")
 def eigs_wilkinson_count(spark: SparkSession, sf: str) -> DataFrame:
-    keys = table(spark, sf, "part").where("p_partkey < 100")
-    values = driver.eigs(bands.tridiag_wilkinson(keys, "p_partkey"), 100, 16, 12).values
+    keys, n = _index(spark, sf)
+    values = driver.eigs(bands.tridiag_wilkinson(keys, "s_suppkey"), n, *_sizes(n, 16, 12), max_iter=200).values
     shifts = spark.range(7).select((F.col("id") + 0.5).alias("shift"))
     return shifts.join(values, F.col("eigenvalue") < F.col("shift"), "left").groupBy("shift").agg(F.count("eigenvalue").alias("below"))
 
@@ -213,7 +234,7 @@ def label_pca(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("SELECT true AS above, true AS close")
 def lanczos_bound(spark: SparkSession, sf: str) -> DataFrame:
-    keys = spectra.spectrum(table(spark, sf, "part").where("p_partkey < 200"), "p_partkey", "uniform")
+    keys = spectra.spectrum(_index(spark, sf)[0], "s_suppkey", "uniform")
 
     def run(t: pa.Table) -> pa.Table:
         lam = t.column("lambda").to_numpy()
@@ -225,7 +246,7 @@ def lanczos_bound(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("SELECT q::DOUBLE AS share, true AS close FROM (VALUES (0.25), (0.5), (0.75)) t(q)")
 def dos_cdf_uniform(spark: SparkSession, sf: str) -> DataFrame:
-    keys = spectra.spectrum(table(spark, sf, "part").where("p_partkey < 200"), "p_partkey", "uniform")
+    keys = spectra.spectrum(_index(spark, sf)[0], "s_suppkey", "uniform")
 
     def run(t: pa.Table) -> pa.Table:
         lam = np.sort(t.column("lambda").to_numpy())
@@ -254,14 +275,14 @@ def cheb_coeffs(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _response(spark: SparkSession, sf: str, degree) -> DataFrame:
-    keys = table(spark, sf, "part").where("p_partkey < 50").select("p_partkey")
+    keys, n = _index(spark, sf)
 
     def run(t: pa.Table) -> pa.Table:
-        k = np.sort(t.column("p_partkey").to_numpy())
-        lam = k / 50
+        k = np.sort(t.column("s_suppkey").to_numpy())
+        lam = k / n
         m = degree(k)
         order = np.argsort(m, kind="stable")
-        out = LocalSpace(np.diag(lam)).filter(np.eye(50)[:, order], m[order], degrees.cheb_coeffs(0.0, 0.3, 1.0, int(m.max())))
+        out = LocalSpace(np.diag(lam)).filter(np.eye(n)[:, order], m[order], degrees.cheb_coeffs(0.0, 0.3, 1.0, int(m.max())))
         return pa.table({"k": k, "response": np.diag(out[:, np.argsort(order)])})
 
     return _in_task(keys, run, "k long, response double").select("k", r6("response").alias("response"))
@@ -269,7 +290,7 @@ def _response(spark: SparkSession, sf: str, degree) -> DataFrame:
 
 def _response_sql(m: str) -> str:
     cheb = "CASE WHEN abs({t}) <= 1 THEN cos({m} * acos({t})) ELSE pow(sign({t}), {m}) * cosh({m} * acosh(abs({t}))) END"
-    return f"SELECT k, round(({cheb.format(t='t', m='m')}) / ({cheb.format(t='t0', m='m')}), 6) + 0.0 AS response FROM (SELECT p_partkey AS k, (p_partkey / 50.0 - 0.65) / 0.35 AS t, (0.0 - 0.65) / 0.35 AS t0, {m} AS m FROM part WHERE p_partkey < 50)"
+    return f"SELECT k, round(({cheb.format(t='t', m='m')}) / ({cheb.format(t='t0', m='m')}), 6) + 0.0 AS response FROM (SELECT s_suppkey AS k, (s_suppkey / n - 0.65) / 0.35 AS t, (0.0 - 0.65) / 0.35 AS t0, {m} AS m FROM supplier, {_S})"
 
 
 @query(_response_sql("8"))
@@ -277,18 +298,19 @@ def filter_scalar_response(spark: SparkSession, sf: str) -> DataFrame:
     return _response(spark, sf, lambda k: np.full(len(k), 8))
 
 
-@query(_response_sql("(2 + 2 * (p_partkey % 4))"))
+@query(_response_sql("(2 + 2 * (s_suppkey % 4))"))
 def filter_mixed_degree(spark: SparkSession, sf: str) -> DataFrame:
     return _response(spark, sf, lambda k: 2 + 2 * (k % 4))
 
 
-_STATE = "SELECT p_partkey AS k, pow(10.0, -(p_partkey % 9) - 0.37) AS residual, p_partkey / 1000.0 AS ritz FROM part WHERE p_partkey < 200"
+_STATE = "SELECT p_partkey AS k, pow(10.0, -(p_partkey % 9) - 0.37) AS residual, 0.2 * p_partkey / n AS ritz FROM part, (SELECT count(*) AS n FROM part)"
 
 
 def _state(spark: SparkSession, sf: str) -> DataFrame:
     """(k, residual, ritz): a deterministic state of a solver, from part keys."""
-    k = F.col("p_partkey")
-    return table(spark, sf, "part").where("p_partkey < 200").select(k.alias("k"), F.pow(F.lit(10.0), -(k % 9) - 0.37).alias("residual"), (k / 1000.0).alias("ritz"))
+    k, part = F.col("p_partkey"), table(spark, sf, "part").select("p_partkey")
+    n = F.broadcast(part.agg(F.count(F.lit(1)).alias("n")))
+    return part.crossJoin(n).select(k.alias("k"), F.pow(F.lit(10.0), -(k % 9) - 0.37).alias("residual"), (0.2 * k / F.col("n")).alias("ritz"))
 
 
 _DEGREES = f"SELECT k, residual, ritz, least(least(greatest(ceil(ln(greatest(residual, 1e-10) / 1e-10) / ln(abs(t) + sqrt(t * t - 1))), 2), 36) + least(greatest(ceil(ln(greatest(residual, 1e-10) / 1e-10) / ln(abs(t) + sqrt(t * t - 1))), 2), 36) % 2, 36)::INT AS degree FROM (SELECT *, (ritz - 0.65) / 0.35 AS t FROM ({_STATE}))"
@@ -305,14 +327,14 @@ def degree_sort(spark: SparkSession, sf: str) -> DataFrame:
     return _state(spark, sf).select("k", m.alias("m")).select("k", F.row_number().over(Window.orderBy("m", "k")).cast("long").alias("place"))
 
 
-@query(f"SELECT min(ritz)::DOUBLE AS mu_1, max(ritz)::DOUBLE AS mu_ne, round((1.0 + max(ritz)) / 2, 6)::DOUBLE AS c, round((1.0 - max(ritz)) / 2, 6)::DOUBLE AS e FROM ({_STATE})")
+@query(f"SELECT min(ritz)::DOUBLE AS mu_1, round(max(ritz), 9)::DOUBLE AS mu_ne, round((1.0 + max(ritz)) / 2, 6)::DOUBLE AS c, round((1.0 - max(ritz)) / 2, 6)::DOUBLE AS e FROM ({_STATE})")
 def bounds_update(spark: SparkSession, sf: str) -> DataFrame:
     def run(t: pa.Table) -> pa.Table:
         locked = (t.column("residual").to_numpy() < 1e-8)
         ritz = t.column("ritz").to_numpy()
         low, high, top = update_bounds(ritz[locked], ritz[~locked], 1.0)
         c, e = degrees.centre(high, top)
-        return pa.table({"mu_1": [low], "mu_ne": [high], "c": [round(c, 6)], "e": [round(e, 6)]})
+        return pa.table({"mu_1": [low], "mu_ne": [round(high, 9)], "c": [round(c, 6)], "e": [round(e, 6)]})
 
     return _in_task(_state(spark, sf), run, "mu_1 double, mu_ne double, c double, e double")
 
@@ -320,40 +342,42 @@ def bounds_update(spark: SparkSession, sf: str) -> DataFrame:
 @query("SELECT a.range::BIGINT AS i, b.range::BIGINT AS j, (a.range = b.range)::INT::DOUBLE AS v FROM range(6) a, range(6) b")
 def qr_orthonormal(spark: SparkSession, sf: str) -> DataFrame:
     """V'V of a 6-column panel after the distributed QR."""
-    rows = table(spark, sf, "part").where("p_partkey < 200").select(F.col("p_partkey").alias("i"), F.explode(F.sequence(F.lit(0), F.lit(5))).alias("col"))
+    part = table(spark, sf, "part").select("p_partkey")
+    n, bs = part.count(), 512
+    rows = part.select(F.col("p_partkey").alias("i"), F.explode(F.sequence(F.lit(0), F.lit(5))).alias("col"))
     vectors = rows.select("i", "col", (F.sin(F.col("i") * (F.col("col") + 1)) + F.when(F.col("i") % 7 == F.col("col"), 1.0).otherwise(0.0)).alias("v"))
-    space = SparkSpace(spark.createDataFrame([], "bi int, bj int, nr int, nc int, dtype string, data binary"), 200, 50)
-    q = space.orthonormalise(None, layout.to_panel(vectors, 200, 6, 50), "cholqr2")
+    space = SparkSpace(spark.createDataFrame([], "bi int, bj int, nr int, nc int, dtype string, data binary"), n, bs)
+    q = space.orthonormalise(None, layout.to_panel(vectors, n, 6, bs), "cholqr2")
     g = space.gram(q, q)
     return spark.createDataFrame([(i, j, float(round(g[i, j], 6) + 0.0)) for i in range(6) for j in range(6)], "i long, j long, v double")
 
 
-@query("SELECT range::BIGINT AS k, round(range / 7.0 + 1, 6)::DOUBLE AS eigenvalue FROM (SELECT range FROM range(5)) WHERE (SELECT count(*) FROM part WHERE p_partkey < 30) = 30", name="rr_exact_subspace")
+@query("SELECT range::BIGINT AS k, round(range / 7.0 + 1, 6)::DOUBLE AS eigenvalue FROM (SELECT range FROM range(5)) WHERE (SELECT count(*) FROM supplier) >= 5", name="rr_exact_subspace")
 def _rr_exact_subspace(spark: SparkSession, sf: str) -> DataFrame:
     """Ritz values on the span of five coordinate axes of a diagonal operator."""
-    keys = table(spark, sf, "part").where("p_partkey < 30").select("p_partkey")
+    keys, n = _index(spark, sf)
 
     def run(t: pa.Table) -> pa.Table:
-        space = LocalSpace(np.diag(np.sort(t.column("p_partkey").to_numpy()) / 7 + 1))
-        mixed = np.linalg.qr(np.eye(30)[:, :5] @ (np.eye(5) + 0.3 * np.ones((5, 5))))[0]
+        space = LocalSpace(np.diag(np.sort(t.column("s_suppkey").to_numpy()) / 7 + 1))
+        mixed = np.linalg.qr(np.eye(n)[:, :5] @ (np.eye(5) + 0.3 * np.ones((5, 5))))[0]
         _, theta, _ = rayleigh_ritz(space, mixed)
         return pa.table({"k": np.arange(5), "eigenvalue": theta})
 
     return _in_task(keys, run, "k long, eigenvalue double").select("k", r6("eigenvalue").alias("eigenvalue"))
 
 
-_RES = "SELECT a.range AS k, p_partkey AS i, sin(pi() * (p_partkey + 1) * (a.range + 1) / 51) * sqrt(2 / 51.0) + CASE WHEN p_partkey = 10 THEN 0.01 ELSE 0 END AS x FROM part, range(4) a WHERE p_partkey < 50"
+_RES = f"SELECT a.range AS k, s_suppkey AS i, n, sin(pi() * (s_suppkey + 1) * (a.range + 1) / (n + 1)) * sqrt(2 / (n + 1)) + CASE WHEN s_suppkey = 3 THEN 0.01 ELSE 0 END AS x FROM supplier, range(4) a, {_S}"
 
 
-@query(f"WITH v AS ({_RES}) SELECT v.k::BIGINT AS k, round(sqrt(sum(pow(2 * v.x + coalesce(l.x, 0) + coalesce(r.x, 0) - (2 + 2 * cos(pi() * (v.k + 1) / 51)) * v.x, 2))), 6) AS residual FROM v LEFT JOIN v l ON l.k = v.k AND l.i = v.i - 1 LEFT JOIN v r ON r.k = v.k AND r.i = v.i + 1 GROUP BY v.k")
+@query(f"WITH v AS ({_RES}) SELECT v.k::BIGINT AS k, round(sqrt(sum(pow(2 * v.x + coalesce(l.x, 0) + coalesce(r.x, 0) - (2 + 2 * cos(pi() * (v.k + 1) / (v.n + 1))) * v.x, 2))), 6) AS residual FROM v LEFT JOIN v l ON l.k = v.k AND l.i = v.i - 1 LEFT JOIN v r ON r.k = v.k AND r.i = v.i + 1 GROUP BY v.k")
 def residual_check(spark: SparkSession, sf: str) -> DataFrame:
     """Residuals of analytic vectors with one entry off, by SQL product and sums."""
-    part = table(spark, sf, "part").where("p_partkey < 50")
+    keys, n = _index(spark, sf)
     col = F.col("col")
-    x = F.sin(F.lit(np.pi) * (F.col("i") + 1) * (col + 1) / 51) * F.lit(float(np.sqrt(2 / 51))) + F.when(F.col("i") == 10, 0.01).otherwise(0.0)
-    v = part.select(F.col("p_partkey").alias("i"), F.explode(F.sequence(F.lit(0), F.lit(3))).alias("col")).withColumn("v", x)
-    av = product_coo(bands.tridiag_121(part, "p_partkey"), v).select(F.col("i").alias("ai"), F.col("col").alias("ac"), F.col("v").alias("av"))
-    theta = 2 + 2 * F.cos(F.lit(np.pi) * (col + 1) / 51)
+    x = F.sin(F.lit(np.pi) * (F.col("i") + 1) * (col + 1) / (n + 1)) * F.lit(float(np.sqrt(2 / (n + 1)))) + F.when(F.col("i") == 3, 0.01).otherwise(0.0)
+    v = keys.select(F.col("s_suppkey").alias("i"), F.explode(F.sequence(F.lit(0), F.lit(3))).alias("col")).withColumn("v", x)
+    av = product_coo(bands.tridiag_121(keys, "s_suppkey"), v).select(F.col("i").alias("ai"), F.col("col").alias("ac"), F.col("v").alias("av"))
+    theta = 2 + 2 * F.cos(F.lit(np.pi) * (col + 1) / (n + 1))
     off = v.join(av, (F.col("i") == F.col("ai")) & (col == F.col("ac"))).select(col.cast("long").alias("k"), (F.col("av") - theta * F.col("v")).alias("d"))
     return off.groupBy("k").agg(F.round(F.sqrt(F.sum(F.col("d") * F.col("d"))), 6).alias("residual"))
 
@@ -459,16 +483,16 @@ def panel_layout(spark: SparkSession, sf: str) -> DataFrame:
     return long.groupBy(F.expr("cast(i div 64 as int)").alias("b")).agg(F.count(F.lit(1)).cast("int").alias("nr"), F.round(F.sum("v"), 6).alias("total"))
 
 
-_GRID = "(SELECT a.p_partkey AS bi, b.p_partkey AS bj FROM part a, part b WHERE a.p_partkey < 60 AND b.p_partkey < 60)"
+_GRID = f"(SELECT a.s_suppkey AS bi, b.s_suppkey AS bj, n FROM supplier a, supplier b, {_S})"
 
 
-@query(f"SELECT 'block' AS layout, (floor(bi * 2 / 60) * 3 + floor(bj * 3 / 60))::INT AS task, count(*) AS blocks FROM {_GRID} GROUP BY ALL UNION ALL SELECT 'cyclic', (bi % 2 * 3 + bj % 3)::INT, count(*) FROM {_GRID} GROUP BY ALL UNION ALL SELECT 'block_cyclic', (bi // 16 % 2 * 3 + bj // 16 % 3)::INT, count(*) FROM {_GRID} GROUP BY ALL")
+@query(f"SELECT 'block' AS layout, (floor(bi * 2 / n) * 3 + floor(bj * 3 / n))::INT AS task, count(*) AS blocks FROM {_GRID} GROUP BY ALL UNION ALL SELECT 'cyclic', (bi % 2 * 3 + bj % 3)::INT, count(*) FROM {_GRID} GROUP BY ALL UNION ALL SELECT 'block_cyclic', (bi // 16 % 2 * 3 + bj // 16 % 3)::INT, count(*) FROM {_GRID} GROUP BY ALL")
 def layout_balance(spark: SparkSession, sf: str) -> DataFrame:
-    keys = table(spark, sf, "part").where("p_partkey < 60")
-    pairs = keys.select(F.col("p_partkey").alias("bi")).crossJoin(keys.select(F.col("p_partkey").alias("bj")))
+    keys, n = _index(spark, sf)
+    pairs = keys.select(F.col("s_suppkey").alias("bi")).crossJoin(keys.select(F.col("s_suppkey").alias("bj")))
     out = None
     for kind in ("block", "cyclic", "block_cyclic"):
-        one = pairs.groupBy(direct.owner(kind, F.col("bi"), F.col("bj"), 2, 3, 60, 16).alias("task")).agg(F.count(F.lit(1)).alias("blocks")).select(F.lit(kind).alias("layout"), "task", "blocks")
+        one = pairs.groupBy(direct.owner(kind, F.col("bi"), F.col("bj"), 2, 3, n, 16).alias("task")).agg(F.count(F.lit(1)).alias("blocks")).select(F.lit(kind).alias("layout"), "task", "blocks")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -487,35 +511,36 @@ def laplacian_apply(spark: SparkSession, sf: str) -> DataFrame:
 # baselines
 
 
-@query("SELECT k - 1 AS k, round(2 - 2 * cos(pi() * k / 101), 6) + 0.0 AS eigenvalue FROM range(1, 6) t(k)")
+@query(f"SELECT k - 1 AS k, round(2 - 2 * cos(pi() * k / (n + 1)), 9) + 0.0 AS eigenvalue FROM range(1, 6) t(k), {_N}")
 def bisect_121(spark: SparkSession, sf: str) -> DataFrame:
-    n = table(spark, sf, "part").where("p_partkey < 100").count()
-    return tridiag.bisect_table(spark, np.full(n, 2.0), np.ones(n - 1), 5).select("k", r6("eigenvalue").alias("eigenvalue"))
+    n = table(spark, sf, "part").count()
+    return tridiag.bisect_table(spark, np.full(n, 2.0), np.ones(n - 1), 5).select("k", r6("eigenvalue", 9).alias("eigenvalue"))
 
 
 def _tridiag_query(method: str):
     def run(spark: SparkSession, sf: str) -> DataFrame:
-        keys = table(spark, sf, "part").where("p_partkey < 100")
+        keys, n = _index(spark, sf)
 
         def solve(t: pa.Table) -> pa.Table:
-            a = driver.dense(t, 100)
-            w, _ = tridiag.tridiag_eigs(np.diag(a), np.diag(a, 1), method, 10)
-            return pa.table({"k": np.arange(10), "eigenvalue": w})
+            a = driver.dense(t, n)
+            w, _ = tridiag.tridiag_eigs(np.diag(a), np.diag(a, 1), method, min(10, n // 2))
+            return pa.table({"k": np.arange(len(w)), "eigenvalue": w})
 
-        return _in_task(bands.tridiag_121(keys, "p_partkey"), solve, "k long, eigenvalue double").select("k", r6("eigenvalue").alias("eigenvalue"))
+        return _in_task(bands.tridiag_121(keys, "s_suppkey"), solve, "k long, eigenvalue double").select("k", r6("eigenvalue").alias("eigenvalue"))
 
     return run
 
 
 for _method in ("ql", "dc", "mrrr"):
-    query("SELECT k - 1 AS k, round(2 - 2 * cos(pi() * k / 101), 6) + 0.0 AS eigenvalue FROM range(1, 11) t(k)", name=f"tridiag_{_method}")(_tridiag_query(_method))
+    query(f"SELECT k - 1 AS k, round(2 - 2 * cos(pi() * k / (n + 1)), 6) + 0.0 AS eigenvalue FROM {_ranks(10)}", name=f"tridiag_{_method}")(_tridiag_query(_method))
 
 
-@query(_inertia_sql(200, "2.0::DOUBLE + 0 * {k}", "SELECT 2 - 2 * cos(pi() * (k + 0.5) / 201) AS shift FROM range(1, 20) t(k)").replace("SELECT shift, below FROM it", "SELECT round(shift, 9) AS shift, below FROM it"))
+@query(_inertia_sql(_N, "2.0::DOUBLE + 0 * {k}", f"SELECT 2 - 2 * cos(pi() * (k + 0.5) / (n + 1)) AS shift FROM range(1, 20) t(k), {_N}").replace("SELECT shift, below FROM it", "SELECT round(shift, 12) AS shift, below FROM it"))
 def inertia_count(spark: SparkSession, sf: str) -> DataFrame:
-    keys = table(spark, sf, "part").where("p_partkey < 200")
-    shifts = spark.range(1, 20).select((2 - 2 * F.cos(F.lit(np.pi) * (F.col("id") + 0.5) / 201)).alias("shift"))
-    return tridiag.inertia_table(bands.tridiag_121(keys, "p_partkey"), shifts, 200).select(F.round("shift", 9).alias("shift"), "below")
+    keys = table(spark, sf, "part").select("p_partkey")
+    n = keys.count()
+    shifts = spark.range(1, 20).select((2 - 2 * F.cos(F.lit(np.pi) * (F.col("id") + 0.5) / (n + 1))).alias("shift"))
+    return tridiag.inertia_table(bands.tridiag_121(keys, "p_partkey"), shifts, n).select(F.round("shift", 12).alias("shift"), "below")
 
 
 def _direct_query(method: str):
@@ -534,27 +559,28 @@ def _krylov_query(method: str):
     def run(spark: SparkSession, sf: str) -> DataFrame:
         from ..baseline import krylov
 
-        keys = table(spark, sf, "part").where("p_partkey < 60")
+        keys, n = _index(spark, sf)
 
         def solve(t: pa.Table) -> pa.Table:
-            a = driver.dense(t, 60)
+            a = driver.dense(t, n)
+            edge = 2 - 2 * np.cos(np.pi * 4.5 / (n + 1))
             if method == "lanczos":
                 w = krylov.lanczos_eigs(LocalSpace(a), 4).values
             elif method == "subspace":
-                w = krylov.subspace_eigs(LocalSpace(a), 4, 12, tol=1e-7).values
+                w = krylov.subspace_eigs(LocalSpace(a), 4, min(16, n - 4), tol=1e-7, max_iter=20_000).values
             elif method == "rational":
-                w = np.sort(krylov.rational_eigs(a, -0.001, 0.05, 10)[0])[:4]
+                w = np.sort(krylov.rational_eigs(a, -0.1 * edge, edge, 10)[0])
             else:
-                w = krylov.slice_eigs(a, np.array([0.0, 0.02, 0.05]))[:4]
+                w = krylov.slice_eigs(a, np.array([0.0, 0.4 * edge, edge]))
             return pa.table({"k": np.arange(len(w)), "eigenvalue": w})
 
-        return _in_task(bands.tridiag_121(keys, "p_partkey"), solve, "k long, eigenvalue double").select("k", r6("eigenvalue").alias("eigenvalue"))
+        return _in_task(bands.tridiag_121(keys, "s_suppkey"), solve, "k long, eigenvalue double").select("k", r6("eigenvalue").alias("eigenvalue"))
 
     return run
 
 
 for _method in ("lanczos", "subspace", "rational", "slice"):
-    query("SELECT k - 1 AS k, round(2 - 2 * cos(pi() * k / 61), 6) + 0.0 AS eigenvalue FROM range(1, 5) t(k)", name=f"baseline_{_method}")(_krylov_query(_method))
+    query(f"SELECT k - 1 AS k, round(2 - 2 * cos(pi() * k / (n + 1)), 6) + 0.0 AS eigenvalue FROM range(1, 5) t(k), {_S}", name=f"baseline_{_method}")(_krylov_query(_method))
 
 
 @query()

@@ -102,9 +102,9 @@ def semi_index(spark: SparkSession, sf: str) -> DataFrame:
     return joins.semi(table(spark, sf, "orders"), index, ["o_orderkey"]).agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
+@query("SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 350000)")
 def anti_orphans(spark: SparkSession, sf: str) -> DataFrame:
-    return joins.anti(table(spark, sf, "customer").select("c_custkey"), table(spark, sf, "orders").select(F.col("o_custkey").alias("c_custkey")), ["c_custkey"])
+    return joins.anti(table(spark, sf, "customer").select("c_custkey"), table(spark, sf, "orders").where("o_totalprice > 350000").select(F.col("o_custkey").alias("c_custkey")), ["c_custkey"])
 
 
 @query("SELECT b AS bin, count(*) AS n FROM events JOIN (SELECT range::INT AS b, range * 50.0 - 100 AS low, range * 50.0 - 50 AS high FROM range(12)) ON value >= low AND value < high GROUP BY 1")
@@ -224,12 +224,12 @@ def extremes_by_type(spark: SparkSession, sf: str) -> DataFrame:
 
 # windows
 
-_RANK = "(SELECT p_partkey AS k, round(p_retailprice / 100) AS v FROM part WHERE p_partkey < 200)"
+_RANK = "(SELECT p_partkey AS k, round(p_retailprice / 100) AS v FROM part)"
 
 
 @query(f"SELECT k, row_number() OVER (ORDER BY v DESC, k)::INT AS place, rank() OVER (ORDER BY v DESC)::INT AS rank, dense_rank() OVER (ORDER BY v DESC)::INT AS dense, ntile(4) OVER (ORDER BY v DESC, k)::INT AS quarter, round(percent_rank() OVER (ORDER BY v DESC), 6) AS percent, round(cume_dist() OVER (ORDER BY v DESC), 6) AS cume FROM {_RANK}")
 def rank_spectrum(spark: SparkSession, sf: str) -> DataFrame:
-    rows = table(spark, sf, "part").where("p_partkey < 200").select(F.col("p_partkey").alias("k"), F.round(F.col("p_retailprice") / 100).alias("v"))
+    rows = table(spark, sf, "part").select(F.col("p_partkey").alias("k"), F.round(F.col("p_retailprice") / 100).alias("v"))
     return windows.rank_spectrum(rows, "v", "k")
 
 
@@ -304,16 +304,23 @@ def set_except_all(spark: SparkSession, sf: str) -> DataFrame:
 # arrays, maps, strings
 
 
-@query("SELECT a.vec_id AS i, b.vec_id AS j, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) + 0.0 AS v FROM embeddings a, embeddings b WHERE a.vec_id < 20 AND b.vec_id < 20")
+_CENTRES = "SELECT label, list(m ORDER BY j) AS c FROM (SELECT label, j, avg(x) AS m FROM (SELECT label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS j FROM embeddings) GROUP BY ALL) GROUP BY label"
+
+
+def _centres(spark: SparkSession, sf: str) -> DataFrame:
+    """(label, c): mean vector of each label."""
+    long = gram.long_vectors(table(spark, sf, "embeddings"), "label", "embedding").groupBy("label", "j").agg(F.avg("x").alias("m"))
+    return long.groupBy("label").agg(F.transform(F.array_sort(F.collect_list(F.struct("j", "m"))), lambda s: s["m"]).alias("c"))
+
+
+@query(f"WITH e AS ({_CENTRES}) SELECT a.label::BIGINT AS i, b.label::BIGINT AS j, round(list_dot_product(a.c, b.c), 6) + 0.0 AS v FROM e a, e b")
 def embed_dot(spark: SparkSession, sf: str) -> DataFrame:
-    rows = table(spark, sf, "embeddings").where("vec_id < 20")
-    return gram.kernel(rows, "vec_id", "embedding").select("i", "j", r6("v").alias("v"))
+    return gram.kernel(_centres(spark, sf), "label", "c").select("i", "j", r6("v").alias("v"))
 
 
-@query("SELECT a.vec_id AS i, b.vec_id AS j, round(exp(-0.5 * pow(list_distance(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 2)), 6) AS v FROM embeddings a, embeddings b WHERE a.vec_id < 20 AND b.vec_id < 20")
+@query(f"WITH e AS ({_CENTRES}) SELECT a.label::BIGINT AS i, b.label::BIGINT AS j, round(exp(-0.5 * pow(list_distance(a.c, b.c), 2)), 6) AS v FROM e a, e b")
 def rbf_kernel(spark: SparkSession, sf: str) -> DataFrame:
-    rows = table(spark, sf, "embeddings").where("vec_id < 20")
-    return gram.kernel(rows, "vec_id", "embedding", "rbf", 0.5).select("i", "j", r6("v").alias("v"))
+    return gram.kernel(_centres(spark, sf), "label", "c", "rbf", 0.5).select("i", "j", r6("v").alias("v"))
 
 
 @query("SELECT vec_id, round(sqrt(list_dot_product(embedding::DOUBLE[], embedding::DOUBLE[])), 6) AS norm FROM embeddings")
@@ -341,9 +348,9 @@ def page_links(spark: SparkSession, sf: str) -> DataFrame:
 _WORDS = "regexp_extract_all(lower(text), '[a-z]+')"
 
 
-@query(f"SELECT gram, count(*) AS n FROM (SELECT unnest(list_transform(range(1, len(w)), lambda k: w[k] || ' ' || w[k + 1])) AS gram FROM (SELECT {_WORDS} AS w FROM documents WHERE doc_id < 100)) GROUP BY gram ORDER BY n DESC, gram LIMIT 20")
+@query(f"SELECT gram, count(*) AS n FROM (SELECT unnest(list_transform(range(1, len(w)), lambda k: w[k] || ' ' || w[k + 1])) AS gram FROM (SELECT {_WORDS} AS w FROM documents)) GROUP BY gram ORDER BY n DESC, gram LIMIT 20")
 def text_ngrams(spark: SparkSession, sf: str) -> DataFrame:
-    words = table(spark, sf, "documents").where("doc_id < 100").select(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)).alias("w"))
+    words = table(spark, sf, "documents").select(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)).alias("w"))
     pairs = words.where(F.size("w") > 1).select(F.explode(F.transform(F.sequence(F.lit(0), F.size("w") - 2), lambda k: F.concat_ws(" ", F.col("w")[k], F.col("w")[k + 1]))).alias("gram"))
     return pairs.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "gram").limit(20)
 
@@ -354,9 +361,11 @@ def role_transition(spark: SparkSession, sf: str) -> DataFrame:
     return table(spark, sf, "conversations").select("role", after.alias("after")).where("after is not null").groupBy("role", "after").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query(f"WITH t AS (SELECT DISTINCT doc_id, unnest({_WORDS}) AS w FROM documents WHERE doc_id < 30) SELECT a.doc_id AS i, b.doc_id AS j, count(*)::DOUBLE AS v FROM t a JOIN t b ON a.w = b.w AND a.doc_id != b.doc_id GROUP BY ALL")
+@query(f"WITH t AS (SELECT DISTINCT right(source, -3)::BIGINT AS k, unnest({_WORDS}) AS w FROM documents) SELECT a.k AS i, b.k AS j, count(*)::DOUBLE AS v FROM t a JOIN t b ON a.w = b.w AND a.k != b.k GROUP BY ALL")
 def doc_similarity_entries(spark: SparkSession, sf: str) -> DataFrame:
-    return text.shared_terms(table(spark, sf, "documents").where("doc_id < 30"), "doc_id", "text")
+    """How many distinct words two sources share."""
+    docs = table(spark, sf, "documents").select(F.substring("source", 4, 10).cast("long").alias("k"), "text")
+    return text.shared_terms(docs, "k", "text")
 
 
 @query("SELECT lang, round(avg(quality), 6) AS quality, count(*) AS n FROM documents JOIN labels USING (doc_id) GROUP BY 1")
