@@ -27,11 +27,10 @@ def read_blocks(spark: SparkSession, path: str) -> DataFrame:
 
 
 def read_coord_text(spark: SparkSession, path: str) -> DataFrame:
-    """Coordinates from text: '%' starts a comment, the first other line holds the sizes, each further line 'i j value' from 1."""
+    """Coordinates from text: '%' starts a comment (sizes belong there), every other line is 'i j value' from 1."""
     lines = spark.read.text(path).where(~F.col("value").startswith("%") & (F.trim("value") != ""))
     parts = lines.select(F.split(F.trim("value"), r"\s+").alias("p"))
-    entry = parts.where((F.size("p") == 3) & ~F.col("p")[2].startswith("#"))
-    return entry.select((F.col("p")[0].cast("long") - 1).alias("i"), (F.col("p")[1].cast("long") - 1).alias("j"), F.col("p")[2].cast("double").alias("v"))
+    return parts.select((F.col("p")[0].cast("long") - 1).alias("i"), (F.col("p")[1].cast("long") - 1).alias("j"), F.col("p")[2].cast("double").alias("v"))
 
 
 def view(df: DataFrame, name: str) -> DataFrame:

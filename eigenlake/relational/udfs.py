@@ -9,9 +9,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.functions import arrow_udf, udtf
+from pyspark.sql.types import DoubleType, IntegerType, StructField, StructType
 
 
-@arrow_udf("double")
+@arrow_udf(DoubleType())
 def vector_norm(v: pa.Array) -> pa.Array:
     """Euclidean norm of each list."""
     flat = np.asarray(v.flatten().cast(pa.float64()))
@@ -21,7 +22,7 @@ def vector_norm(v: pa.Array) -> pa.Array:
     return pa.array(np.sqrt(np.array([float(flat[a:b] @ flat[a:b]) for a, b in zip(starts, ends)])) if len(ends) else total[:0])
 
 
-@udtf(returnType="k: int, eigenvalue: double")
+@udtf(returnType=StructType([StructField("k", IntegerType()), StructField("eigenvalue", DoubleType())]))
 class EigTable:
     """Table function: the eigenvalues, largest first, of a matrix given as an array of rows."""
 

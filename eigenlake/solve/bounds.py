@@ -92,15 +92,16 @@ def estimate(space: Space, ne: int, steps: int = 25, runs: int = 4, seed: int =
     """
     d = density(lanczos(space, steps, runs, seed))
     mu_1 = float(d.theta.min())
-    span = max(d.upper - mu_1, 1e-300)
+    span = max(d.upper - mu_1, 1e-8 * max(1.0, abs(mu_1)))
+    top = mu_1 + span
     if use_density:
         order = np.argsort(d.theta)
         at = np.searchsorted(np.cumsum(d.weight[order]), ne / space.n)
         mu_ne = float(d.theta[order][min(at, len(order) - 1)])
     else:
         mu_ne = mu_1 + span * ne / space.n
-    mu_ne = min(max(mu_ne, mu_1 + 1e-3 * span), d.upper - 0.05 * span)
-    return mu_1, mu_ne, d.upper
+    mu_ne = min(max(mu_ne, mu_1 + 1e-3 * span), top - 0.05 * span)
+    return mu_1, mu_ne, top
 
 
 def quantile(nodes: DataFrame, share: float) -> DataFrame:

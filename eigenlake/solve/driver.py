@@ -118,6 +118,8 @@ def solve(space: Space, o: Options, start=None) -> Solution:
         if len(locked_values) >= o.nev or not len(ritz):
             break
         mu_1, mu_ne, b_sup = update_bounds(locked_values, ritz, b_sup)
+        if not o.nex:
+            mu_ne += 0.02 * (b_sup - mu_ne)  # without extra columns nothing shows where the unwanted part begins
         c, e = centre(mu_ne, b_sup)
         m = degrees(o.tol, res, ritz, c, e, o.max_deg) if o.optimise_degree else np.full(len(ritz), min(first, o.max_deg))
         m = equalised(m, o.degree_policy)
