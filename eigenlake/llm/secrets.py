@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from .packed import cut
 
-#: Candidates up to this many rows are broadcast (24 bytes each); more are joined by a shuffle.
+#: Candidates, or secrets to cut out, up to this many are broadcast (24 bytes each); more are joined by a shuffle.
 BROADCAST_ROWS = 1_000_000
 #: Character classes up to this size count as alternatives when queries are derived.
 CLASS = 8
@@ -202,7 +202,9 @@ def redact(docs: DataFrame, key: str = "doc_id", text: str = "text", rules: tupl
     secrets, nulls and repeated rows stay as they are.
     """
     found = spans(docs, key, text, rules)
-    to_cut = found.groupBy(F.col(key).alias("__k"), F.col("print").alias("__p")).agg(F.array_sort(F.collect_list(F.struct("start", "end", "kind"))).alias("__secrets"))
+    to_cut = cut(found.groupBy(F.col(key).alias("__k"), F.col("print").alias("__p")).agg(F.array_sort(F.collect_list(F.struct("start", "end", "kind"))).alias("__secrets")))
+    if (to_cut.agg(F.sum(F.size("__secrets"))).first()[0] or 0) <= BROADCAST_ROWS:
+        to_cut = F.broadcast(to_cut)
     state = F.struct(F.lit(0).cast("bigint").alias("at"), F.array().cast("array<string>").alias("out"))
     body = lambda lo, hi: F.substring(F.col(text), (lo + 1).cast("int"), (hi - lo).cast("int"))
     step = lambda acc, x: F.when(x["start"] >= acc["at"], F.struct(x["end"].alias("at"), F.concat(acc["out"], F.array(body(acc["at"], x["start"]), F.concat(F.lit("<"), x["kind"], F.lit(">")))).alias("out"))).otherwise(F.struct(F.greatest(acc["at"], x["end"]).alias("at"), acc["out"].alias("out")))
