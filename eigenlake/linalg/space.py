@@ -71,6 +71,15 @@ class LocalSpace(Space):
         out = (alpha * self.sign) * (self.a @ now) - (alpha * gamma) * now
         return out if before is None or beta == 0 else out + beta * before
 
+    def filter_low(self, panel, degrees: np.ndarray, steps: Steps):
+        """The filter in half the bytes: good while residuals are far above what single precision resolves."""
+        kind = np.complex64 if self.dtype == "c16" else np.float32
+        low = LocalSpace(self.a.astype(kind), self.sign)
+        steps = [tuple(kind(0).real.dtype.type(x) for x in step) for step in steps]
+        out = low.filter(panel.astype(kind), degrees, steps).astype(panel.dtype)
+        self.sweeps += low.sweeps
+        return out
+
     def columns(self, panel, at):
         return panel[:, at]
 
@@ -142,11 +151,13 @@ class SparkSpace(Space):
     also takes two filter steps in one pass over row stripes, 'coo' joins
     coordinates in SQL. half: only blocks with bi <= bj are stored and each
     serves twice. Partial sums of a partition meet before the network.
+    relayout moves the panel once more after every step, as a product that
+    cannot use its own output layout would have to: for comparison only.
     """
 
-    def __init__(self, blocks: DataFrame, n: int, bs: int, dtype: str = "f8", strategy: str = "auto", half: bool = False, sign: float = 1.0, sub_grid: tuple[int, int] = (1, 1), every: int = 1, shift: str = "fused"):
+    def __init__(self, blocks: DataFrame, n: int, bs: int, dtype: str = "f8", strategy: str = "auto", half: bool = False, sign: float = 1.0, sub_grid: tuple[int, int] = (1, 1), every: int = 1, shift: str = "fused", relayout: bool = False):
         self.spark, self.n, self.bs, self.dtype, self.half, self.sign = blocks.sparkSession, n, bs, dtype, half, sign
-        self.every, self.shift, self.sweeps, self._steps = every, shift, 0, 0
+        self.every, self.shift, self.relayout, self.sweeps, self._steps = every, shift, relayout, 0, 0
         self.count = -(-n // bs)
         self.strategy = strategy if strategy != "auto" else "auto"
         self.source = blocks
@@ -356,6 +367,8 @@ class SparkSpace(Space):
         if before is not None and beta:
             parts = parts.unionByName(self._scaled(before, beta, -2))
         out = self._summed(parts)
+        if self.relayout:
+            out = out.repartition(partitions(self.spark), F.hash("b"))
         self._steps += 1
         return cut(out) if self._steps % self.every == 0 else out
 

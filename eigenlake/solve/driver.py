@@ -47,6 +47,7 @@ class Options:
     small: str = "dc"
     residual_mode: str = "reuse"
     residual_norm: str = "absolute"
+    filter_dtype: str = "f8"
     require_convergence: bool = True
     seed: int = 7
 
@@ -93,7 +94,8 @@ def solve(space: Space, o: Options, start=None) -> Solution:
     while iteration < o.max_iter:
         iteration += 1
         steps = cheb_coeffs(mu_1, mu_ne, b_sup, int(m.max()))
-        v = space.filter(v, m, steps)
+        coarse = o.filter_dtype == "f4" and hasattr(space, "filter_low") and float(np.min(res)) > 1e-4 * max(abs(mu_1), abs(b_sup))
+        v = space.filter_low(v, m, steps) if coarse else space.filter(v, m, steps)
         matvecs += int(m.sum())
         note(iteration, "Filter", matvecs=int(m.sum()), max_degree=int(m.max()), degrees=m.tolist(), active=len(m), locked=len(locked_values))
         q = space.orthonormalise(locked, v, o.qr)

@@ -52,7 +52,7 @@ def test_kernels_agree_iteration_for_iteration(qr, small):
 
 @pytest.mark.parametrize(
     "more",
-    [{"locking": False}, {"optimise_degree": False}, {"use_density": False}, {"residual_mode": "fresh"}, {"degree_policy": "sweeps"}, {"order": "free"}, {"residual_norm": "relative"}, {"bounds": (0.0, 0.2, 4.2)}],
+    [{"locking": False}, {"optimise_degree": False}, {"use_density": False}, {"residual_mode": "fresh"}, {"degree_policy": "sweeps"}, {"order": "free"}, {"residual_norm": "relative"}, {"bounds": (0.0, 0.2, 4.2)}, {"filter_dtype": "f4"}],
 )
 def test_variants_reach_the_same_values(more):
     a = matrix("onetwoone", 80)
@@ -143,3 +143,21 @@ def test_random_entries_do_not_depend_on_how_rows_are_dealt():
     whole = gaussian(np.arange(100), 3, 7)
     assert np.array_equal(whole[40:60], gaussian(np.arange(40, 60), 3, 7))
     assert abs(whole.mean()) < 0.3 and 0.7 < whole.std() < 1.3
+
+
+def test_expressions_are_rewritten_before_they_run():
+    from eigenlake.linalg.expr import Fused, Gram, Implicit, Formed, Leaf, PanelOps, apply, explain, rewrite
+
+    a = matrix("uniform", 20)
+    leaf = Leaf(LocalSpace(a))
+    v = gaussian(np.arange(20), 3, 1)
+    e = (2 * leaf.t.shift(0.5)).shift(1.0)
+    assert isinstance(rewrite(e), Fused) and rewrite(e).inner == leaf
+    assert np.allclose(apply(e, v), 2 * (a - 0.5 * np.eye(20)) @ v - v)
+    assert np.allclose(apply((leaf + 3 * leaf).t, v), 4 * a @ v)
+    assert "product alpha=2" in explain(rewrite(2 * leaf))
+    assert isinstance(rewrite(Gram(None, "x", 10**9, 64)), Implicit) and isinstance(rewrite(Gram(None, "x", 100, 4)), Formed)
+    space = LocalSpace(a)
+    m = gaussian(np.arange(3), 2, 4)
+    assert np.allclose(PanelOps.start(3).columns([2, 0, 1]).rotate(m).run(space, v), v[:, [2, 0, 1]] @ m)
+    assert np.array_equal(PanelOps.start(3).columns([2, 0]).run(space, v), v[:, [2, 0]])
