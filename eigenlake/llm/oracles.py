@@ -36,9 +36,14 @@ def _licenses() -> str:
     SELECT d.doc_id, len(w) AS n_words, coalesce(n_base, 0) AS n_base, first_word, last_word, coalesce(base_labels, '') AS base_labels, coalesce(labels, '') AS labels, coalesce(score, 0.0)::DOUBLE AS score FROM d LEFT JOIN found USING (doc_id)"""
 
 
+def _needed(rule: secrets.Rule) -> str:
+    """A pattern that every text with a match of the rule holds."""
+    return f"{rule.pattern[:-1]}{{{rule.least}}}" if rule.pattern.startswith("[") and rule.pattern.endswith("]+") else rule.pattern
+
+
 def _secrets() -> str:
     parts = " UNION ALL ".join(
-        f"SELECT doc_id, {rank} AS rank, {_quoted(r.kind)} AS kind, {r.least} AS least, {str(r.base).lower()} AS base, string_split_regex(text, {_quoted(r.pattern)}) AS gaps, regexp_extract_all(text, {_quoted(r.pattern)}) AS m, regexp_extract_all(text, {_quoted(r.pattern)}, {r.group}) AS p FROM documents WHERE regexp_matches(text, {_quoted(r.pattern)})"
+        f"SELECT doc_id, {rank} AS rank, {_quoted(r.kind)} AS kind, {r.least} AS least, {str(r.base).lower()} AS base, string_split_regex(text, {_quoted(r.pattern)}) AS gaps, regexp_extract_all(text, {_quoted(r.pattern)}) AS m, regexp_extract_all(text, {_quoted(r.pattern)}, {r.group}) AS p FROM documents WHERE regexp_matches(text, {_quoted(_needed(r))})"
         for rank, r in enumerate(secrets.RULES)
     )
     return f"""

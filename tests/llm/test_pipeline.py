@@ -70,3 +70,18 @@ def test_run_packs_every_document_left(spark, folder):
         total[r.doc_id] = total.get(r.doc_id, 0) + r.length
     assert all(total[r.doc_id] == r.doc_tokens for r in got)
     assert 300 < len(total) < len(texts)
+
+
+def test_stages_on_odd_tables(spark, folder):
+    path, _, _ = folder
+    text = "one two three four five six seven eight nine ten token=abcdef123456"
+    rows = [(1, text, "en", "s", None, 7), (1, text, "en", "s", None, 7), (2, text, None, None, 3, 8), (None, text, "en", "s", 3, 9), (3, None, None, None, None, None), (4, "", "en", "s", 0, 1), (5, "x" * 200_000, "en", "s", 1, 1)]
+    docs = spark.createDataFrame(rows, COLUMNS + ", toxicity int")
+    one = corpus_pipeline.one_of_each_class(spark, docs, path).collect()
+    assert sorted(str(r.doc_id) for r in one) == ["1", "3", "4", "5", "None"]
+    clean = {str(r.doc_id): r for r in corpus_pipeline.without_secrets(spark, docs, path).collect()}
+    assert clean["2"].text.endswith("<assign>") and clean["2"].n_chars == len(clean["2"].text) and clean["3"].text is None and clean["2"].toxicity == 8
+    assert corpus_pipeline.without_benchmark(spark, docs, path).count() == len(rows)
+    assert corpus_pipeline.without_toxic(spark, docs.drop("toxicity"), path).count() == len(rows)
+    for _, stage in corpus_pipeline.STAGES:
+        assert stage(spark, docs.drop("toxicity").limit(0), path).count() == 0
