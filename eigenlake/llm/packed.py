@@ -21,6 +21,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import textnum
+
 
 def deal(spark: SparkSession) -> int:
     """Partitions of a shuffle; the session sizes it to the input."""
@@ -50,6 +52,7 @@ def blocks(docs: DataFrame, key: str, text: str, also: tuple[str, ...] = ()) ->
 
 def ordered(table: pa.Table) -> pa.Table:
     """A block's rows in an order that every run gives."""
+    textnum.settle()
     return table.combine_chunks().sort_by([("id", "ascending"), ("text", "ascending")])
 
 
@@ -93,6 +96,7 @@ def gathered(table: pa.Table, name: str, kind: type) -> np.ndarray:
 
 def bounds(table: pa.Table) -> np.ndarray:
     """Where each row's keys begin in what `gathered` gives."""
+    textnum.settle()
     return np.cumsum([0, *(len(x) // 8 for x in table.column("keys").to_pylist())])
 
 

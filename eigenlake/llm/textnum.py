@@ -7,9 +7,24 @@ sums of a polynomial over that buffer, so no Python object exists per word.
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+
 import numpy as np
 import pyarrow as pa
 
+
+def settle() -> None:
+    """Give memory that is free back to the system: workers live on between tasks, and several share an executor."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+with contextlib.suppress(OSError, AttributeError):
+    # Fixed value: M_MMAP_THRESHOLD of the C library. Set, it no longer grows, so large arrays go back when freed.
+    ctypes.CDLL(None).mallopt(-3, 1 << 20)
+
 #: Bytes of text handled at once; bounds the 8-byte-per-character temporaries.
 CHUNK = 1 << 20
 
