@@ -61,3 +61,22 @@ def stream_gram_state(spark: SparkSession, sf: str) -> DataFrame:
     spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     out = replay(spark, sf, lambda s: state.running_gram(s.withColumn("y", F.col("user_id") % 7), "event_type", ["value", "y"]), "update")
     return latest(out, ["key"], ["n", "s", "g"]).select(F.col("key").alias("event_type"), "n", r6(F.col("s")[0], 4).alias("sx"), r6(F.col("g")[0], 2).alias("sxx"), r6(F.col("g")[1], 3).alias("sxy"))
+
+
+@query("SELECT n_name, count(*) AS n FROM events JOIN nation ON user_id % 25 = n_nationkey GROUP BY 1")
+def stream_static_join(spark: SparkSession, sf: str) -> DataFrame:
+    nations = table(spark, sf, "nation").select(F.col("n_nationkey").cast("long").alias("k"), "n_name")
+    out = replay(spark, sf, lambda s: windows.enriched(s.withColumn("k", F.col("user_id") % 25), nations, ["k"]).groupBy("n_name").agg(F.count(F.lit(1)).alias("n")), "update")
+    return latest(out, ["n_name"], ["n"])
+
+
+@query("SELECT a.event_id AS first_id, b.event_id AS second_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = (SELECT min(event_type) FROM events) AND b.event_type = (SELECT max(event_type) FROM events)")
+def stream_stream_join(spark: SparkSession, sf: str) -> DataFrame:
+    """Events of the first kind followed within an hour by the user's events of the last kind."""
+    kinds = table(spark, sf, "events").agg(F.min("event_type").alias("a"), F.max("event_type").alias("b")).first()
+
+    def build(stream: DataFrame) -> DataFrame:
+        side = lambda kind: stream.where(F.col("event_type") == kind).select("user_id", F.col("event_id").alias("id"), "ts")
+        return windows.followed(side(kinds["a"]), side(kinds["b"]), "user_id", watermark="60 days")
+
+    return replay(spark, sf, build, "append").select("first_id", "second_id")

@@ -32,3 +32,20 @@ def sessions(stream: DataFrame, time: str, by: str, gap: str = "30 minutes", wat
     """(by, start, end, n) of sessions that end after a gap."""
     s = F.session_window(time, gap).alias("s")
     return _marked(stream, time, watermark).groupBy(s, by).agg(F.count(F.lit(1)).alias("n")).select(by, F.col("s.start").alias("start"), F.col("s.end").alias("end"), "n")
+
+
+def enriched(stream: DataFrame, static: DataFrame, on: list[str]) -> DataFrame:
+    """A stream joined to a static table; no state is kept."""
+    return stream.join(static, on)
+
+
+def followed(first: DataFrame, second: DataFrame, on: str, within: str = "1 hour", watermark: str = "1 hour") -> DataFrame:
+    """Pairs of two streams' rows of one key, the second at most `within` after the first.
+
+    Both sides are kept no longer than the watermarks and the interval ask
+    for. The streams have columns (key, id, ts); the result has (key,
+    first_id, second_id).
+    """
+    a = first.select(F.col(on), F.col("id").alias("first_id"), F.col("ts").alias("t1")).withWatermark("t1", watermark)
+    b = second.select(F.col(on).alias("__k"), F.col("id").alias("second_id"), F.col("ts").alias("t2")).withWatermark("t2", watermark)
+    return a.join(b, F.expr(f"{on} = __k AND t2 >= t1 AND t2 <= t1 + INTERVAL {within}")).select(on, "first_id", "second_id")

@@ -185,3 +185,27 @@ def test_the_rest_does_not_need_the_text_operators(tmp_path):
             (copy / part).write_text(path.read_text())
     code = "import __spark_entry__ as e; assert len(e.queries()) > 100 and not any(q.startswith('op') or q == 'pipeline' for q in e.queries())"
     assert subprocess.run([sys.executable, "-c", code], cwd=copy, timeout=120).returncode == 0
+
+
+def test_a_stream_goes_on_from_its_checkpoint(spark, tmp_path):
+    from pyspark.sql import functions as F
+
+    from eigenlake.streaming import state
+
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+
+    def add(k: int, rows: list) -> None:
+        spark.createDataFrame(rows, "kind string, x double").coalesce(1).write.parquet(f"{tmp_path}/in/{k}")
+
+    def run(name: str) -> dict:
+        out: dict = {}
+        stream = spark.readStream.schema("kind string, x double").parquet(f"{tmp_path}/in/*")
+        sums = state.running_gram(stream.withColumn("one", F.lit(1.0)), "kind", ["x", "one"])
+        q = sums.writeStream.outputMode("update").foreachBatch(lambda b, _: out.update({r.key: (r.n, r.s, r.g) for r in b.collect()})).option("checkpointLocation", f"{tmp_path}/state").trigger(availableNow=True).start()
+        q.awaitTermination(120)
+        return out
+
+    add(0, [("a", 1.0), ("a", 2.0), ("b", 5.0)])
+    assert run("first") == {"a": (2, [3.0, 2.0], [5.0, 3.0, 3.0, 2.0]), "b": (1, [5.0, 1.0], [25.0, 5.0, 5.0, 1.0])}
+    add(1, [("a", 3.0)])
+    assert run("again") == {"a": (3, [6.0, 3.0], [14.0, 6.0, 6.0, 3.0])}
