@@ -61,6 +61,7 @@ class GramOperator(Space):
 
     def __init__(self, df: DataFrame, features: str, center: bool = False, sign: float = 1.0, divide: float = 1.0):
         self.x = df.where(F.col(features).isNotNull()).select(F.col(features).cast("array<double>").alias("x"))
+        self.parts = self.x.rdd.getNumPartitions()
         first = self.x.first()
         self.n, self.dtype, self.sign, self.sweeps, self.divide = (len(first["x"]) if first else 0), "f8", sign, 0, divide
         self.mean = np.zeros(self.n)
@@ -96,8 +97,8 @@ class GramOperator(Space):
             return pa.table({"data": [total.tobytes()]})
 
         parts = self.x.mapInArrow(run, "data binary")
-        by = F.pmod(F.spark_partition_id(), F.lit(16))
-        parts = parts.groupBy(by.alias("g")).applyInArrow(fold, "data binary")
+        if self.parts > 16:
+            parts = parts.groupBy(F.pmod(F.spark_partition_id(), F.lit(16)).alias("g")).applyInArrow(fold, "data binary")
         got = sum(np.frombuffer(r["data"]).reshape(d, k) for r in sorted(parts.collect(), key=lambda r: r["data"])) / self.divide
         out = (alpha * self.sign) * got - (alpha * gamma) * now
         return out if before is None or beta == 0 else out + beta * before

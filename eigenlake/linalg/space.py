@@ -165,7 +165,7 @@ class SparkSpace(Space):
 
     def _pinned(self, blocks: DataFrame, sub_grid: tuple[int, int]) -> DataFrame:
         """Blocks dealt over a near-square task grid (row stripes for 'paired'), each task holding sub_grid cuts of its part."""
-        p = partitions(self.spark)
+        p = min(partitions(self.spark), self.count if self.strategy == "paired" else self.count**2)
         if self.half:
             blocks = blocks.where("bi <= bj")
         if self.strategy == "paired":

@@ -149,7 +149,7 @@ def eigs_gram_top(spark: SparkSession, sf: str) -> DataFrame:
 @query(power_sql(EMBEDDING_GRAM, "SELECT 64 AS n", 3000, "SELECT 1::BIGINT AS k, round(a, 6) AS eigenvalue FROM final UNION ALL SELECT 2, round(b, 6) FROM final"))
 def eigs_gram_implicit(spark: SparkSession, sf: str) -> DataFrame:
     """The same by products X'(X V): the Gram matrix is not formed."""
-    space = gram.GramOperator(table(spark, sf, "embeddings").repartition(4), "embedding", sign=-1.0)
+    space = gram.GramOperator(table(spark, sf, "embeddings"), "embedding", sign=-1.0)
     s = driver.solve(space, driver.Options(2, 6, tol=1e-6, deg=10, max_deg=12, lanczos_steps=8, lanczos_runs=2))
     return spark.createDataFrame([(k + 1, float(v)) for k, v in enumerate(s.values)], "k long, eigenvalue double").select("k", r6("eigenvalue").alias("eigenvalue"))
 

@@ -8,17 +8,24 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import shared_folder
+from ..session import partitions, shared_folder
 from ..streaming import state, windows
 from .base import query, r6, table
 
 
-def replay(spark: SparkSession, sf: str, build: Callable[[DataFrame], DataFrame], mode: str, files: int = 3) -> DataFrame:
-    """Write events in slices of days, stream them one slice after the other with `build`, and read what the stream wrote."""
+def replay(spark: SparkSession, sf: str, build: Callable[[DataFrame], DataFrame], mode: str, files: int = 3, conf: dict[str, str] | None = None) -> DataFrame:
+    """Write events in slices of days, stream them one slice after the other with `build`, and read what the stream wrote.
+
+    The stream runs in a session of its own, with few state partitions: a
+    bounded replay of one table needs no more.
+    """
+    own = spark.newSession()
+    for key, value in ({"spark.sql.shuffle.partitions": str(min(8, partitions(spark)))} | (conf or {})).items():
+        own.conf.set(key, value)
     folder = f"{shared_folder(spark)}/replay-{uuid.uuid4().hex}"
     events = table(spark, sf, "events")
     events.withColumn("slice", F.pmod(F.dayofyear("ts"), F.lit(files))).write.partitionBy("slice").parquet(f"{folder}/in")
-    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{folder}/in/*")
+    stream = own.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{folder}/in/*")
     stream = stream.withColumn("ts", F.col("ts").cast("timestamp"))
 
     def keep(batch: DataFrame, batch_id: int) -> None:
@@ -58,15 +65,17 @@ def stream_session(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("SELECT event_type, count(*) AS n, round(sum(value), 4) AS sx, round(sum(value * value), 2) AS sxx, round(sum(value * (user_id % 7)), 3) AS sxy FROM events GROUP BY 1")
 def stream_gram_state(spark: SparkSession, sf: str) -> DataFrame:
-    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
-    out = replay(spark, sf, lambda s: state.running_gram(s.withColumn("y", F.col("user_id") % 7), "event_type", ["value", "y"]), "update")
+    store = {"spark.sql.streaming.stateStore.providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"}
+    out = replay(spark, sf, lambda s: state.running_gram(s.withColumn("y", F.col("user_id") % 7), "event_type", ["value", "y"]), "update", conf=store)
     return latest(out, ["key"], ["n", "s", "g"]).select(F.col("key").alias("event_type"), "n", r6(F.col("s")[0], 4).alias("sx"), r6(F.col("g")[0], 2).alias("sxx"), r6(F.col("g")[1], 3).alias("sxy"))
 
 
 @query("SELECT n_name, count(*) AS n FROM events JOIN nation ON user_id % 25 = n_nationkey GROUP BY 1")
 def stream_static_join(spark: SparkSession, sf: str) -> DataFrame:
-    nations = table(spark, sf, "nation").select(F.col("n_nationkey").cast("long").alias("k"), "n_name")
-    out = replay(spark, sf, lambda s: windows.enriched(s.withColumn("k", F.col("user_id") % 25), nations, ["k"]).groupBy("n_name").agg(F.count(F.lit(1)).alias("n")), "update")
+    def nations(stream: DataFrame) -> DataFrame:
+        return table(stream.sparkSession, sf, "nation").select(F.col("n_nationkey").cast("long").alias("k"), "n_name")
+
+    out = replay(spark, sf, lambda s: windows.enriched(s.withColumn("k", F.col("user_id") % 25), nations(s), ["k"]).groupBy("n_name").agg(F.count(F.lit(1)).alias("n")), "update")
     return latest(out, ["n_name"], ["n"])
 
 
