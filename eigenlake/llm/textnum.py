@@ -22,8 +22,8 @@ def settle() -> None:
 
 
 with contextlib.suppress(OSError, AttributeError):
-    # Fixed value: M_MMAP_THRESHOLD of the C library. Set, it no longer grows, so large arrays go back when freed.
-    ctypes.CDLL(None).mallopt(-3, 1 << 20)
+    # Fixed value: M_MMAP_THRESHOLD of the C library. Set, it no longer grows, so arrays over 16 MB go back when freed.
+    ctypes.CDLL(None).mallopt(-3, 1 << 24)
 
 #: Bytes of text handled at once; bounds the 8-byte-per-character temporaries.
 CHUNK = 1 << 20
