@@ -20,8 +20,9 @@ from pyspark.sql import functions as F
 
 from . import textnum
 
-#: Bounds of the sample that the model is fitted on: rows of each class, and bytes of text.
+#: Bounds of the sample that the model is fitted on: rows of each class, bytes of one text, bytes of all texts.
 SAMPLE_ROWS = 4000
+SAMPLE_TEXT = 32 << 10
 SAMPLE_BYTES = 48 << 20
 #: Lengths in bytes of the word beginnings that count as features besides the word.
 STEMS = (4, 5, 6, 8)
@@ -275,14 +276,14 @@ def train(texts: pa.ChunkedArray, toxic: np.ndarray) -> Model:
 def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "toxic", rows: int = SAMPLE_ROWS) -> Model:
     """Fit on at most `rows` labelled rows of each class, chosen by a hash of their id.
 
-    Labels other than 0 and 1, ids without a text row and texts beyond the
-    sample's byte bound are left out. Without rows of both classes the model
+    Labels other than 0 and 1, ids without a text row, texts of more than
+    SAMPLE_TEXT bytes and what exceeds SAMPLE_BYTES are left out. Without rows of both classes the model
     gives one score to all.
     """
     asked = labels.select(F.col(key).alias("id"), F.col(label).cast("int").alias("y")).where("id is not null and y in (0, 1)").distinct()
     chosen = [asked.where(F.col("y") == y).orderBy(F.xxhash64("id"), "id").limit(rows) for y in (0, 1)]
     sample = chosen[0].unionByName(chosen[1])
-    got = docs.select(F.col(key).alias("id"), F.col(text).alias("text")).join(F.broadcast(sample), "id").where(F.octet_length("text") <= SAMPLE_BYTES // 48)
+    got = docs.select(F.col(key).alias("id"), F.col(text).alias("text")).join(F.broadcast(sample), "id").where(F.octet_length("text") <= SAMPLE_TEXT)
     got = got.toArrow().sort_by([("id", "ascending"), ("y", "ascending")])
     raw, off = textnum.buffers(got.column("text"))
     fits = pa.array(off[1:] <= SAMPLE_BYTES)
