@@ -19,10 +19,24 @@ def shared_folder(spark: SparkSession) -> str:
     return context._jsc.sc().getCheckpointDir().get()
 
 
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def cut(df: DataFrame) -> DataFrame:
-    """Write df to the shared folder and go on from the files, so that a lost executor costs no more than this step."""
-    shared_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
+    """Write df to the shared folder and go on from the files, so that a lost executor costs no more than this step.
+
+    The shuffle files behind it go at once: an iteration of many steps would
+    otherwise fill the executors' disks.
+    """
+    spark = df.sparkSession
+    shared_folder(spark)
+    before = spark.conf.get(_CLEANUP, "false")
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        own = df.select("*")  # takes the setting as it is made
+    finally:
+        spark.conf.set(_CLEANUP, before)
+    return own.checkpoint(eager=True)
 
 
 def broadcast_limit(spark: SparkSession) -> int:
