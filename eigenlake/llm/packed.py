@@ -37,10 +37,24 @@ def shared_folder(spark: SparkSession) -> str:
     return context._jsc.sc().getCheckpointDir().get()
 
 
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def cut(df: DataFrame) -> DataFrame:
-    """Write df to the shared checkpoint folder and go on from the files."""
-    shared_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
+    """Write df to the shared checkpoint folder and go on from the files.
+
+    The shuffle files that made it are of no further use and go at once,
+    rather than when the driver's garbage happens to be collected.
+    """
+    spark = df.sparkSession
+    shared_folder(spark)
+    before = spark.conf.get(_CLEANUP, "false")
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        own = df.select("*")  # takes the setting as it is made
+    finally:
+        spark.conf.set(_CLEANUP, before)
+    return own.checkpoint(eager=True)
 
 
 def blocks(docs: DataFrame, key: str, text: str, also: tuple[str, ...] = ()) -> DataFrame:
