@@ -3,7 +3,8 @@
 Texts and benchmark items become sequences of canonical tokens: words in lower
 case, with typed placeholders for numbers, for names (capitalised words inside
 a sentence) and for units after a number; neighbouring placeholders of a type
-merge. Windows of canonical tokens are hash-joined. A text's windows that meet
+merge. A capitalised word that opens a sentence may be a name or not, so it has
+both readings. Windows of canonical tokens are hash-joined. A text's windows that meet
 an item on one diagonal form an alignment, and its slots must be consistent:
 one value of the item always stands against one value of the text.
 """
@@ -12,6 +13,7 @@ from __future__ import annotations
 
 from collections import defaultdict
 from collections.abc import Iterator
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -37,6 +39,15 @@ hrs hour hours day days week weeks month months year years percent pct degree de
 mhz ghz b kb mb gb tb usd eur gbp dollar dollars euro euros cent cents mph kmh
 """.split()
 
+# Words that open sentences and are no names.
+OPENERS = """
+a about after all although an and another any are as at because before both but by calculate can compute consider could
+did do does during each either every explain few find first for from given has have he her here his how i if in into is
+it its let many most my next no not now of on one only or other our please prove second several she show since so solve
+some suppose that the their then there these they this those to under until was we were what when where which while who
+whose why will with would write you your
+""".split()
+
 _U = np.uint64
 _STOP = np.ones(256, bool)
 _STOP[[*range(0x30, 0x3A), *range(0x41, 0x5B), *range(0x61, 0x7B), *range(0x80, 0x100)]] = False
@@ -79,42 +90,55 @@ class Canonical:
             latin = (raw[s] == 0xC3) & (raw[nxt] >= 0x80) & (raw[nxt] <= 0x9E)
             after = np.minimum(s + np.where(latin, 2, 1), last)
             shout = (raw[after] >= 0x41) & (raw[after] <= 0x5A) & (after > s)
-            name = (plain | latin) & ~shout & ~opening
-            unit = np.isin(h, _unit_hashes())
+            capital = (plain | latin) & ~shout
+            name = capital & ~opening
+            maybe = capital & opening & ~np.isin(h, _hashes(OPENERS))
+            unit = np.isin(h, _hashes(UNITS))
             unit[1:] &= number[:-1] & ~head[1:]
             unit[0] = False
             h[number], h[name], h[unit] = NUMBER, NAME, UNIT
+            maybe &= ~unit
             same = np.zeros(len(h), bool)
             same[1:] = (h[1:] == h[:-1]) & np.isin(h[1:], _KINDS) & ~head[1:]
             keep = np.flatnonzero(~same)
             until = np.concatenate([keep[1:], [len(h)]]) - 1
-            h, doc, self.starts, self.ends = h[keep], doc[keep], s[keep], w.ends[until]
+            h, doc, maybe, self.starts, self.ends = h[keep], doc[keep], maybe[keep], s[keep], w.ends[until]
         else:
             self.starts = self.ends = s
+            maybe = np.zeros(0, bool)
         self.hashes, self.doc, self.low = h, doc, low
         self.first = np.searchsorted(doc, np.arange(len(off)))
         self.literal = ~np.isin(h, _KINDS)
+        #: The other reading, in which words that open a sentence are names too.
+        self.named, self.maybe = np.where(maybe, NAME, h), maybe
+        self.word = self.literal & ~maybe
 
     def windows(self, n: int, literal: int) -> tuple[np.ndarray, np.ndarray]:
-        """Hashes and places of the windows that hold enough words."""
+        """Hashes and places of the windows that hold enough words, in both readings where they differ."""
         view = textnum.Words(self.hashes, self.first, self.starts, self.ends)
         h, at = view.windows(n)
         count = np.concatenate([[0], np.cumsum(self.literal)])
         keep = count[at + n] - count[at] >= literal
-        return h[keep], at[keep]
+        if not self.maybe.any():
+            return h[keep], at[keep]
+        other = np.concatenate([[0], np.cumsum(self.maybe)])
+        count = np.concatenate([[0], np.cumsum(self.word)])
+        at2 = at[(other[at + n] > other[at]) & (count[at + n] - count[at] >= literal)]
+        h2 = textnum.mix(textnum._spans(self.named, at2, at2 + n) + _U(n))
+        return np.concatenate([h[keep], h2]), np.concatenate([at[keep], at2])
 
     def value(self, at: int) -> bytes:
         return self.low[self.starts[at] : self.ends[at]].tobytes()
 
 
-_units: list[np.ndarray] = []
+@cache
+def _hashes_of(words: tuple[str, ...]) -> np.ndarray:
+    raw, off = textnum.buffers(pa.array(words))
+    return textnum.words(raw, off).hashes
 
 
-def _unit_hashes() -> np.ndarray:
-    if not _units:
-        raw, off = textnum.buffers(pa.array(UNITS))
-        _units.append(textnum.words(raw, off).hashes)
-    return _units[0]
+def _hashes(words: list[str]) -> np.ndarray:
+    return _hashes_of(tuple(words))
 
 
 class Index:
@@ -149,20 +173,28 @@ class Index:
         return tuple(np.concatenate(x) for x in zip(*out))
 
 
-def _consistent(text: Canonical, items: Canonical, pairs: list[tuple[int, int]]) -> tuple[int, int]:
-    """How many slots agree with one assignment of text values to item values, and how many differ from the item."""
+def _consistent(text: Canonical, items: Canonical, pairs: list[tuple[int, int]], named: bool) -> tuple[int, int]:
+    """How many slots are at odds with one assignment of text values to item values, and how many differ from the item.
+
+    With `named`, words that open a sentence are slots too.
+    """
+    mine, its = (text.named, items.named) if named else (text.hashes, items.hashes)
+    literal = items.word if named else items.literal
     votes: dict[tuple, dict[bytes, int]] = defaultdict(lambda: defaultdict(int))
     slots = []
     for a, b in pairs:
-        if not items.literal[b] and text.hashes[a] == items.hashes[b]:
-            slots.append(((int(items.hashes[b]), items.value(b)), text.value(a)))
+        if not literal[b] and mine[a] == its[b]:
+            slots.append(((int(its[b]), items.value(b)), text.value(a)))
             votes[slots[-1][0]][slots[-1][1]] += 1
     best = {k: max(sorted(v), key=v.get) for k, v in votes.items()}
     return sum(best[k] != v for k, v in slots), sum(k[1] != v for k, v in slots)
 
 
 def _alignments(text: Canonical, index: Index) -> Iterator[tuple[int, int, int, int, int, int, int, int]]:
-    """(document, item, tokens covered, first, last, slots changed, slots at odds, item length) of each alignment that counts."""
+    """(document, item, tokens covered, first, last, slots changed, slots at odds, item length) of each alignment that counts.
+
+    Slots at odds rule an alignment out if they do in both readings.
+    """
     a, b, n = index.hits(text)
     if not len(a):
         return
@@ -181,8 +213,12 @@ def _alignments(text: Canonical, index: Index) -> Iterator[tuple[int, int, int,
             size = int(index.size[item[lo]])
             if covered < min(COVER, -(-size * SHARE // 100)):
                 continue
-            odds, changed = _consistent(text, index.items, pairs)
-            yield int(doc[lo]), int(item[lo]), covered, pairs[0][0], pairs[-1][0], changed, odds, size
+            first, last = pairs[0][0], pairs[-1][0]
+            for named, literal in ((True, text.word), (False, text.literal)):
+                odds, changed = _consistent(text, index.items, pairs, named)
+                if 4 * odds <= int((~literal[first : last + 1]).sum()):
+                    yield int(doc[lo]), int(item[lo]), covered, first, last, changed, odds, size
+                    break
 
 
 _SCHEMA = "doc_id long, item_id long, n_covered long, n_item long, first_char long, last_char long, slots_changed long, slots_at_odds long"
@@ -212,10 +248,8 @@ def _leaks(column: pa.Array, index: Index) -> Iterator[tuple[int, ...]]:
         to = max(at + 1, int(np.searchsorted(off, off[at] + textnum.CHUNK, "right")) - 1)
         canon = Canonical(raw[off[at] : off[to]], off[at : to + 1] - off[at])
         for doc, own, covered, lo, hi, changed, odds, size in _alignments(canon, index):
-            n_slots = int((~canon.literal[lo : hi + 1]).sum())
-            if 4 * odds <= n_slots:
-                shift = off[at] - off[at + doc]
-                yield at + doc, index.ids[own], covered, size, int(canon.starts[lo] + shift), int(canon.ends[hi] + shift), changed, odds
+            shift = off[at] - off[at + doc]
+            yield at + doc, index.ids[own], covered, size, int(canon.starts[lo] + shift), int(canon.ends[hi] + shift), changed, odds
         at = to
 
 

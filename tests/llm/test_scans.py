@@ -115,6 +115,14 @@ def test_leaks_and_their_parameters(spark):
     assert decontam.clean(docs, bench.limit(0)).count() == len(rows)
 
 
+def test_leaks_with_changed_names_that_open_sentences(spark):
+    item = "Tom has 3 apples. Tom buys 5 more. Tom gives 2 to Ann. How many are left?"
+    rows = [(1, item), (2, item.replace("Tom", "Sue")), (3, item.replace("Tom", "tom")), (4, "So now " + item.replace("Tom", "Sue")[:-1].replace(". ", ".\n")), (5, "Sue has 3 pears. Bob sells 5 to him. How many are left?")]
+    got = {r.doc_id: r for r in decontam.matches(spark.createDataFrame(rows, SCHEMA), spark.createDataFrame([(1, item)], "item_id long, text string")).collect()}
+    assert set(got) == {1, 2, 3, 4}
+    assert [(got[k].n_covered, got[k].slots_changed, got[k].slots_at_odds) for k in (1, 2)] == [(17, 0, 0), (17, 3, 0)]
+
+
 def test_leaks_in_slices(spark, monkeypatch):
     monkeypatch.setattr(decontam, "INDEX_WINDOWS", 5)
     docs, bench = spark.createDataFrame([(k, t) for k, t in ITEMS[:2]], SCHEMA), spark.createDataFrame(ITEMS, "item_id long, text string")
