@@ -11,6 +11,7 @@ one value of the item always stands against one value of the text.
 
 from __future__ import annotations
 
+import re
 from collections import defaultdict
 from collections.abc import Iterator
 from functools import cache
@@ -24,6 +25,8 @@ from . import textnum
 
 #: Canonical tokens in a window, and how many of them must be words rather than placeholders.
 WINDOW, LITERAL = 8, 4
+#: The same for items that have too few such windows; their slots must then be of the item's form.
+FEW = 3
 #: An alignment counts if it covers this many tokens, or this share (in hundredths) of a shorter item.
 COVER, SHARE = 13, 80
 #: Gaps of this many tokens do not end an alignment (a changed word, a merged or split number).
@@ -56,6 +59,7 @@ _DIGIT[0x30:0x3A] = True
 _ENDS = np.zeros(256, bool)
 _ENDS[[0x21, 0x2E, 0x3A, 0x3F, 0x0A, 0x0D]] = True
 NUMBER, NAME, UNIT = (textnum.mix(np.array([x], _U))[0] for x in (101, 102, 103))
+_NUMBER = re.compile(rb"[0-9]+(?:[.,][0-9]+)*")
 _KINDS = np.array([NUMBER, NAME, UNIT], _U)
 
 
@@ -106,6 +110,7 @@ class Canonical:
         else:
             self.starts = self.ends = s
             maybe = np.zeros(0, bool)
+        self.raw = w
         self.hashes, self.doc, self.low = h, doc, low
         self.first = np.searchsorted(doc, np.arange(len(off)))
         self.literal = ~np.isin(h, _KINDS)
@@ -141,28 +146,49 @@ def _hashes(words: list[str]) -> np.ndarray:
     return _hashes_of(tuple(words))
 
 
-class Index:
-    """Windows of a slice of the benchmark, ready to be met by texts."""
+class Plain:
+    """The words of documents as they stand, without placeholders."""
 
-    def __init__(self, ids: list[int], texts: list[str]):
-        raw, off = textnum.buffers(pa.array(texts, pa.string()))
-        self.ids, self.items = ids, Canonical(raw, off)
-        self.size = np.diff(self.items.first)
-        self.n = max(2, min([WINDOW, *self.size[self.size > 1].tolist()]))
-        groups = []
-        for n in sorted({min(WINDOW, int(x)) for x in self.size if x >= 3}):
-            h, at = self.items.windows(n, min(LITERAL, n))
-            mine = np.minimum(self.size[self.items.doc[at]], WINDOW) == n
+    def __init__(self, of: Canonical):
+        w = of.raw
+        self.hashes, self.starts, self.ends, self.first, self.low = w.hashes, w.starts, w.ends, w.first, of.low
+        self.doc = np.repeat(np.arange(len(w.counts)), w.counts)
+
+    def windows(self, n: int, literal: int) -> tuple[np.ndarray, np.ndarray]:
+        return textnum.Words(self.hashes, self.first, self.starts, self.ends).windows(n)
+
+
+def _need(size: int | np.ndarray) -> int | np.ndarray:
+    """Tokens of an item of this size that an alignment must cover."""
+    return np.minimum(COVER, -(-size * SHARE // 100))
+
+
+class Groups:
+    """Windows of the chosen items by length, ready to be met by texts."""
+
+    def __init__(self, items: Canonical | Plain, literal: int, chosen: np.ndarray | None = None):
+        self.items, self.literal = items, literal
+        self.size = np.diff(items.first)
+        self.groups = []
+        reached = np.zeros(len(items.hashes), bool)
+        for n in sorted({min(WINDOW, int(x)) for x in (self.size if chosen is None else self.size[chosen]) if x >= 3}):
+            h, at = items.windows(n, min(literal, n))
+            mine = np.minimum(self.size[items.doc[at]], WINDOW) == n
+            if chosen is not None:
+                mine &= chosen[items.doc[at]]
             h, at = h[mine], at[mine]
+            for k in range(n):
+                reached[at + k] = True
             order = np.argsort(h, kind="stable")
-            groups.append((n, h[order], at[order]))
-        self.groups = groups
+            self.groups.append((n, h[order], at[order]))
+        #: Items that a copy of themselves would match.
+        self.whole = (np.bincount(items.doc[reached], minlength=len(self.size)) >= _need(self.size)) & (self.size >= 3)
 
-    def hits(self, text: Canonical) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    def hits(self, text: Canonical | Plain) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Places in the texts and in the items at which a window is shared, and its length."""
         out = [(np.zeros(0, np.int64),) * 3]
         for n, keys, places in self.groups:
-            h, at = text.windows(n, min(LITERAL, n))
+            h, at = text.windows(n, min(self.literal, n))
             if not len(keys) or not len(h):
                 continue
             lo = np.searchsorted(keys, h)
@@ -173,6 +199,34 @@ class Index:
         return tuple(np.concatenate(x) for x in zip(*out))
 
 
+class Index:
+    """Windows of a slice of the benchmark: of most items those with enough words, of the others what there is.
+
+    Items that would not match a copy of themselves are met by windows of FEW
+    words, and word by word as they stand.
+    """
+
+    def __init__(self, ids: list[int], texts: list[str]):
+        raw, off = textnum.buffers(pa.array(texts, pa.string()))
+        self.ids, items = ids, Canonical(raw, off)
+        self.most = Groups(items, LITERAL)
+        self.few = Groups(items, FEW, ~self.most.whole)
+        self.plain = Groups(Plain(items), 0, ~self.most.whole)
+
+
+def _form(value: bytes, number: bool) -> bytes | int:
+    """What re-parameterising keeps of a slot: a number's text around its digits, how many words a name has."""
+    return _NUMBER.sub(b"0", b"".join(value.split())) if number else len(value.split())
+
+
+def _alike(text: Canonical, items: Canonical, pairs: list[tuple[int, int]]) -> bool:
+    """Whether all slots have the form of the item's and none contradicts another."""
+    if _consistent(text, items, pairs, True)[0]:
+        return False
+    slots = [(a, b) for a, b in pairs if not items.word[b] and text.named[a] == items.named[b]]
+    return all(_form(text.value(a), items.named[b] == NUMBER) == _form(items.value(b), items.named[b] == NUMBER) for a, b in slots)
+
+
 def _consistent(text: Canonical, items: Canonical, pairs: list[tuple[int, int]], named: bool) -> tuple[int, int]:
     """How many slots are at odds with one assignment of text values to item values, and how many differ from the item.
 
@@ -190,11 +244,8 @@ def _consistent(text: Canonical, items: Canonical, pairs: list[tuple[int, int]],
     return sum(best[k] != v for k, v in slots), sum(k[1] != v for k, v in slots)
 
 
-def _alignments(text: Canonical, index: Index) -> Iterator[tuple[int, int, int, int, int, int, int, int]]:
-    """(document, item, tokens covered, first, last, slots changed, slots at odds, item length) of each alignment that counts.
-
-    Slots at odds rule an alignment out if they do in both readings.
-    """
+def _aligned(text: Canonical | Plain, index: Groups) -> Iterator[tuple[int, int, int, list[tuple[int, int]]]]:
+    """(document, item, tokens covered, places in both) of each alignment that covers enough."""
     a, b, n = index.hits(text)
     if not len(a):
         return
@@ -210,15 +261,38 @@ def _alignments(text: Canonical, index: Index) -> Iterator[tuple[int, int, int,
         for run in np.split(by, far):
             pairs = sorted({(int(x) + k, int(y) + k) for x, y, m in zip(a[run], b[run], n[run]) for k in range(m)})
             covered = len({y for _, y in pairs})
-            size = int(index.size[item[lo]])
-            if covered < min(COVER, -(-size * SHARE // 100)):
-                continue
-            first, last = pairs[0][0], pairs[-1][0]
-            for named, literal in ((True, text.word), (False, text.literal)):
-                odds, changed = _consistent(text, index.items, pairs, named)
-                if 4 * odds <= int((~literal[first : last + 1]).sum()):
-                    yield int(doc[lo]), int(item[lo]), covered, first, last, changed, odds, size
-                    break
+            if covered >= _need(int(index.size[item[lo]])):
+                yield int(doc[lo]), int(item[lo]), covered, pairs
+
+
+def _alignments(text: Canonical, index: Index) -> Iterator[tuple[int, int, int, int, int, int, int, int]]:
+    """(document, item, tokens covered, item length, first, last byte, slots changed, slots at odds) of each alignment that counts.
+
+    Slots at odds rule an alignment out if they do in both readings. Items met
+    by few words need slots that all agree; what is left of their copies as
+    they stand has words for tokens.
+    """
+    items = index.most.items
+
+    def span(tokens: Canonical | Plain, pairs: list[tuple[int, int]]) -> tuple[int, int]:
+        return int(tokens.starts[pairs[0][0]]), int(tokens.ends[pairs[-1][0]])
+
+    for doc, item, covered, pairs in _aligned(text, index.most):
+        for named, literal in ((True, text.word), (False, text.literal)):
+            odds, changed = _consistent(text, items, pairs, named)
+            if 4 * odds <= int((~literal[pairs[0][0] : pairs[-1][0] + 1]).sum()):
+                yield doc, item, covered, int(index.most.size[item]), *span(text, pairs), changed, odds
+                break
+    seen = defaultdict(list)
+    for doc, item, covered, pairs in _aligned(text, index.few) if index.few.groups else ():
+        if _alike(text, items, pairs):
+            seen[doc, item].append(span(text, pairs))
+            yield doc, item, covered, int(index.few.size[item]), *span(text, pairs), _consistent(text, items, pairs, True)[1], 0
+    plain = Plain(text) if index.plain.groups else None
+    for doc, item, covered, pairs in _aligned(plain, index.plain) if plain else ():
+        first, last = span(plain, pairs)
+        if all(last <= lo or first >= hi for lo, hi in seen[doc, item]):
+            yield doc, item, covered, int(index.plain.size[item]), first, last, 0, 0
 
 
 _SCHEMA = "doc_id long, item_id long, n_covered long, n_item long, first_char long, last_char long, slots_changed long, slots_at_odds long"
@@ -247,9 +321,9 @@ def _leaks(column: pa.Array, index: Index) -> Iterator[tuple[int, ...]]:
     while at < len(off) - 1:
         to = max(at + 1, int(np.searchsorted(off, off[at] + textnum.CHUNK, "right")) - 1)
         canon = Canonical(raw[off[at] : off[to]], off[at : to + 1] - off[at])
-        for doc, own, covered, lo, hi, changed, odds, size in _alignments(canon, index):
+        for doc, own, covered, size, lo, hi, changed, odds in _alignments(canon, index):
             shift = off[at] - off[at + doc]
-            yield at + doc, index.ids[own], covered, size, int(canon.starts[lo] + shift), int(canon.ends[hi] + shift), changed, odds
+            yield at + doc, index.ids[own], covered, size, int(lo + shift), int(hi + shift), changed, odds
         at = to
 
 
@@ -263,8 +337,11 @@ def matches(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: st
     the slots contradict each other are dropped. first_char and last_char
     are byte places in the text (last exclusive).
 
-    Null or empty texts and items match nothing, as do items of fewer than
-    three tokens or with too few words beside placeholders. Repeated rows each
+    Items with too few words beside placeholders to be met so are met where
+    FEW words of a window agree, all slots have the form of the item's and
+    none contradicts another, and where they stand word by word (n_covered
+    and n_item then count words). Null or empty texts and items match
+    nothing, as do items of fewer than three words. Repeated rows each
     give their own matches. A null document id stays null; null item ids are
     left out. Empty tables give no rows; other columns are not read.
 

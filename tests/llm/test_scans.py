@@ -123,6 +123,16 @@ def test_leaks_with_changed_names_that_open_sentences(spark):
     assert [(got[k].n_covered, got[k].slots_changed, got[k].slots_at_odds) for k in (1, 2)] == [(17, 0, 0), (17, 3, 0)]
 
 
+def test_leaks_of_items_with_few_words(spark):
+    items = ["What is 15 % of 80?", "Solve 3x + 5 = 20 for x.", "What is 2 + 2?", "10 20 30 40", "Anna 5 Berta 6 and Carl 7 Dora 8 or Emil 9 Fritz 10 Gustav 11", "no", "What is the capital of France?"]
+    rows = [f"See: {x} So it is." for x in items]
+    rows += ["what is 20 % of 1,500", "solve 7x + 1 = 22 for x", "solve 12 for x", "what is 15 of the 80", "What is the capital of Spain?", "nothing 10 20 30"]
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    got = {(r.doc_id, r.item_id): r.slots_changed for r in decontam.matches(spark.createDataFrame(list(enumerate(rows)), SCHEMA), bench).collect()}
+    assert {k: got[k] for k in got if k[0] == k[1]} == {(k, k): 0 for k in range(5)} | {(6, 6): 0}
+    assert {k: got[k] for k in got if k[0] != k[1]} == {(7, 0): 2, (8, 1): 1, (11, 6): 1}
+
+
 def test_leaks_in_slices(spark, monkeypatch):
     monkeypatch.setattr(decontam, "INDEX_WINDOWS", 5)
     docs, bench = spark.createDataFrame([(k, t) for k, t in ITEMS[:2]], SCHEMA), spark.createDataFrame(ITEMS, "item_id long, text string")
