@@ -19,9 +19,11 @@ BROADCAST_IDS = 2_000_000
 
 
 def without_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents scored under 0.5 stay. Without labels of both kinds all stay."""
+    """Documents scored under 0.5 stay. Without labelled documents of both kinds to learn from all stay."""
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     model = queries.toxicity_model(docs, labels)
+    if not model.fitted:
+        return docs
     others = tuple(c for c in docs.columns if c != "doc_id")
     kept = toxicity.score(docs, model, also=others).where("toxicity < 0.5")
     return kept.select(*docs.columns)

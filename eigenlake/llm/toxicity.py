@@ -241,12 +241,16 @@ def _middle(z: np.ndarray, marked: np.ndarray) -> float:
 
 @dataclass
 class Model:
-    """A fitted linear classifier: sorted features, their weights, pattern weights, constant."""
+    """A fitted linear classifier: sorted features, their weights, pattern weights, constant.
+
+    `fitted` tells whether rows of both classes were there to learn from.
+    """
 
     features: np.ndarray
     weights: np.ndarray
     patterns: np.ndarray
     constant: float
+    fitted: bool = True
 
     def scores(self, raw: np.ndarray, off: np.ndarray, found: _Found) -> np.ndarray:
         n = len(off) - 1
@@ -261,7 +265,7 @@ def train(texts: pa.ChunkedArray, toxic: np.ndarray) -> Model:
     """Fit lexicon, label model and classifier on a sample held in memory."""
     raw, off = textnum.buffers(texts)
     if not len(toxic) or toxic.min() == toxic.max():
-        return Model(np.zeros(0, _U), np.zeros(0), np.zeros(_PATTERNS), 8.0 if len(toxic) and toxic.max() else -8.0)
+        return Model(np.zeros(0, _U), np.zeros(0), np.zeros(_PATTERNS), 8.0 if len(toxic) and toxic.max() else -8.0, False)
 
     patterns = _patterns(raw, off).astype(np.float32)
     lexicon = _Found(_telling(raw, off, toxic.astype(float), VOTERS, 20.0, 3))
@@ -277,20 +281,29 @@ def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "te
     """Fit on at most `rows` labelled rows of each class, chosen by a hash of their id.
 
     Labels other than 0 and 1, ids without a text row, texts of more than
-    SAMPLE_TEXT bytes and what exceeds SAMPLE_BYTES are left out. Without rows of both classes the model
-    gives one score to all.
+    SAMPLE_TEXT bytes and what exceeds half of SAMPLE_BYTES in a class, in the
+    order of the hash, are left out. Without rows of both classes the model
+    gives one score to all and is not `fitted`.
     """
     asked = labels.select(F.col(key).alias("id"), F.col(label).cast("int").alias("y")).where("id is not null and y in (0, 1)").distinct()
     chosen = [asked.where(F.col("y") == y).orderBy(F.xxhash64("id"), "id").limit(rows) for y in (0, 1)]
     sample = chosen[0].unionByName(chosen[1])
     got = docs.select(F.col(key).alias("id"), F.col(text).alias("text")).join(F.broadcast(sample), "id").where(F.octet_length("text") <= SAMPLE_TEXT)
-    got = got.toArrow().sort_by([("id", "ascending"), ("y", "ascending")])
-    raw, off = textnum.buffers(got.column("text"))
-    fits = pa.array(off[1:] <= SAMPLE_BYTES)
-    got = got.filter(fits)
+    got = got.withColumn("h", F.xxhash64("id")).toArrow().sort_by([("y", "ascending"), ("h", "ascending"), ("id", "ascending")])
+    got = got.filter(pa.array(_fits(np.diff(textnum.buffers(got.column("text"))[1]), got.column("y").to_numpy())))
+    got = got.sort_by([("id", "ascending"), ("y", "ascending")])
     return train(got.column("text"), got.column("y").to_numpy())
 
 
+def _fits(size: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Which texts of either class lie within its half of SAMPLE_BYTES, in the order given."""
+    keep = np.zeros(len(size), bool)
+    for k in (0, 1):
+        mine = np.flatnonzero(y == k)
+        keep[mine] = np.cumsum(size[mine]) <= SAMPLE_BYTES // 2
+    return keep
+
+
 def score(docs: DataFrame, model: Model, key: str = "doc_id", text: str = "text", also: tuple[str, ...] = ()) -> DataFrame:
     """(key, `also` columns, toxicity) of every row: 0 to 1, higher if label 1 is likelier.
 
