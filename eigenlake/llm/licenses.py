@@ -4,7 +4,7 @@ Every k-gram of a text's words meets the places it has in the license
 templates. Hits of one template on one diagonal (place in the text less place
 in the template) are votes for one span; neighbouring diagonals merge, which
 bridges words put in or left out, and a span counts if enough of the
-template's k-grams vote for it.
+template's k-grams stand in it in order.
 """
 
 from __future__ import annotations
@@ -68,10 +68,11 @@ def template_grams(spark: SparkSession, templates: tuple[Template, ...]) -> Data
 
 
 def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", templates: tuple[Template, ...] = TEMPLATES) -> DataFrame:
-    """(key, print, t, first_word, last_word, share): spans of templates in texts.
+    """(key, print, t, first_word, last_word, share, whole): spans of templates in texts.
 
     `print` is a hash of the text, so rows that share an id stay apart;
-    share is the part of the template's k-grams found, at least SHARE.
+    share is the part of the template's k-grams found in order, each once, at
+    least SHARE; whole spans have all the words in a row.
     """
     words = docs.select(F.col(key), F.xxhash64(text).alias("print"), _words(F.col(text)).alias("w"))
     n = F.size("w") - GRAM + 1
@@ -81,15 +82,28 @@ def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", templates: t
     places = template_grams(docs.sparkSession, templates).select(F.xxhash64("gram").alias("th"), F.col("gram").alias("tg"), "t", "place", "grams")
     hits = hashed.join(F.broadcast(places), (F.col("h") == F.col("th")) & (F.col("gram") == F.col("tg")))
     votes = hits.groupBy(key, "print", "t", "grams", (F.col("at") - F.col("place")).alias("diagonal"), "at").agg(F.lit(1).alias("one"))
-    lines = votes.groupBy(key, "print", "t", "grams", "diagonal").agg(F.count(F.lit(1)).alias("n"), F.min("at").alias("first"), F.max("at").alias("last"))
+    lines = votes.groupBy(key, "print", "t", "grams", "diagonal").agg(F.count(F.lit(1)).alias("n"), F.min("at").alias("first"), F.max("at").alias("last"), F.collect_list(F.struct("at", (F.col("diagonal") - F.col("at")).alias("back"))).alias("votes"))
     by = Window.partitionBy(key, "print", "t").orderBy("first", "diagonal")
     far = (F.abs(F.col("diagonal") - F.lag("diagonal").over(by)) > SHIFT) | (F.col("first") - F.lag("last").over(by) > GAP)
     whole = F.col("n") == F.col("grams")
     apart = F.coalesce(far | whole | F.lag(whole).over(by), F.lit(True))
     runs = lines.withColumn("apart", apart.cast("int")).withColumn("span", F.sum("apart").over(by))
-    merged = runs.groupBy(key, "print", "t", "grams", "span").agg(F.sum("n").alias("n"), F.min("first").alias("first"), F.max("last").alias("last"))
-    share = F.least(F.lit(1.0), F.col("n") / F.col("grams"))
-    return merged.select(key, "print", "t", F.col("first").cast("long").alias("first_word"), (F.col("last") + GRAM - 1).cast("long").alias("last_word"), share.alias("share")).where(F.col("share") >= SHARE)
+    merged = runs.groupBy(key, "print", "t", "grams", "span").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("lines"), F.min("first").alias("first"), F.max("last").alias("last"), F.flatten(F.collect_list("votes")).alias("votes"))
+    merged = merged.where(F.col("n") / F.col("grams") >= SHARE)
+    share = F.when(F.col("lines") == 1, F.col("n")).otherwise(_in_order(F.col("votes"), F.col("grams"))) / F.col("grams")
+    alone = (F.col("lines") == 1) & (F.col("n") == F.col("grams"))
+    return merged.select(key, "print", "t", F.col("first").cast("long").alias("first_word"), (F.col("last") + GRAM - 1).cast("long").alias("last_word"), share.alias("share"), alone.alias("whole")).where(F.col("share") >= SHARE)
+
+
+def _in_order(votes: Column, grams: Column) -> Column:
+    """The most votes (at, back) of which both the places in the text and those in the template (-back) ascend."""
+
+    def step(best: Column, vote: Column) -> Column:
+        place = -vote["back"]
+        reach = F.coalesce(F.array_max(F.slice(best, F.lit(1), place)), F.lit(0)) + 1
+        return F.transform(best, lambda x, k: F.when(k == place, F.greatest(x, reach)).otherwise(x))
+
+    return F.array_max(F.aggregate(F.array_sort(votes), F.array_repeat(F.lit(0), grams), step))
 
 
 def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", templates: tuple[Template, ...] = TEMPLATES) -> DataFrame:
@@ -109,7 +123,7 @@ def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", templates: tu
     """
     base = [t for t, x in enumerate(templates) if x.base]
     label = F.element_at(F.array(*(F.lit(x.label) for x in templates)), F.col("t") + 1)
-    is_base = F.col("t").isin(base) & (F.col("share") == 1)
+    is_base = F.col("t").isin(base) & F.col("whole")
     every = spans(docs, key, text, templates).where(~F.col("t").isin(base) | is_base).withColumn("own", F.col("t").isin(base))
     by = Window.partitionBy(key, "print", "own").orderBy("first_word", "t", "last_word")
     reach = F.max("last_word").over(by.rowsBetween(Window.unboundedPreceding, -1))

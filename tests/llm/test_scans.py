@@ -32,6 +32,18 @@ def test_base_phrases(spark):
         assert 0 <= r.score <= 1
 
 
+def test_base_phrases_stand_in_a_row_and_spans_in_order(spark):
+    gpl = next(t.text for t in licenses.TEMPLATES if t.label == "gpl").split()
+    texts = ["see the MIT license, under the MIT terms", "under the MIT or the MIT license", "under the MIT license or the MIT license", " ".join([*gpl[:9], "well", *gpl[9:20], *gpl[21:]])]
+    got = {r.doc_id: r for r in licenses.scan(spark.createDataFrame(list(enumerate(texts)), SCHEMA)).collect()}
+    for k, r in got.items():
+        assert (r.n_words, r.n_base, r.first_word, r.last_word, r.base_labels) == phrases(texts[k]), texts[k]
+    assert [got[k].labels for k in range(4)] == ["", "", "mit", "gpl"]
+    twice = spark.createDataFrame([(1, "a b c d a b c d"), (2, "a b c d x e f")], SCHEMA)
+    found = licenses.spans(twice, templates=(licenses.Template("t", "a b c d e f"), licenses.Template("u", "a b c d x e f")))
+    assert [(r.doc_id, r.t, r.share, r.whole) for r in found.collect()] == [(2, 1, 1.0, True)]
+
+
 def test_spans_bridge_changed_words_and_prefer_the_closest(spark):
     mit = next(t.text for t in licenses.TEMPLATES if t.text.startswith("permission is hereby"))
     changed = mit.replace("free of charge", "free of any charge").replace("obtaining", "getting")
