@@ -49,12 +49,18 @@ SHIELD = {"li": {"ul", "ol", "menu"}, "td": {"table"}, "th": {"table"}, "tr": {"
 
 _TAG = re.compile(r"<(?:!--(?:>|->|.*?(?:--!?>|\Z))|[!?][^>]*(?:>|\Z)|(/?)([a-zA-Z][^\s/>]*)([^>\"']*(?:(?:\"[^\"]*\"|'[^']*')[^>\"']*)*|[^>]*)(?:>|\Z))", re.S)
 _ATTRIBUTE = re.compile(r"([^\s=/\"'>]+)(?:\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+))?")
-_RULE = re.compile(r"([^{}]+)\{([^{}]*)\}")
+_QUOTED = re.compile(r"/\*.*?(?:\*/|\Z)|\"(?:\\.|[^\"\\\n])*\"|'(?:\\.|[^'\\\n])*'", re.S)
+_PART = re.compile(r"([^{}]*)([{}]|\Z)")
+_SHOWN = re.compile(r"(?:only\s+)?(?:all|screen)|not\s+print", re.I)
+_SAID = re.compile(r"(?:^|[;\s])(display|visibility)\s*:\s*([\w-]+)([^;]*)", re.I)
 _HIDES = re.compile(r"display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse)", re.I)
 _SPACE = re.compile(r"[ \t\n\r\f]+")
 _CLOSE = {t: re.compile(f"</{t}(?=[\\s/>]|\\Z)", re.I) for t in RAW}
 
 
+Styles = dict[str, dict[str, tuple[bool, int, bool]]]
+
+
 class Node:
     __slots__ = ("tag", "attrs", "kids")
 
@@ -101,7 +107,7 @@ def parse(source: str) -> tuple[Node, list[str]]:
         if tag in RAW:
             end = _CLOSE[tag].search(source, at)
             inner = source[at : end.start() if end else len(source)]
-            if tag == "style":
+            if tag == "style" and _applies(node.attrs.get("media", "")):
                 styles.append(inner)
             elif tag in ("textarea", "xmp"):
                 node.kids.append(html.unescape(inner) if tag == "textarea" else inner)
@@ -136,15 +142,64 @@ def _end(stack: list[Node], tag: str) -> None:
             return
 
 
-def _hidden_by_rules(styles: list[str]) -> frozenset[str]:
-    """Simple selectors (tag, .class, #id) that a style sheet hides."""
-    out = set()
+def _applies(media: str) -> bool:
+    """Whether a media query list holds for every reader at a screen."""
+    return not media.strip() or any(_SHOWN.fullmatch(q.strip()) for q in media.split(","))
+
+
+def _holds(rule: str) -> bool:
+    """Whether what an at-rule encloses holds for every reader."""
+    name, _, rest = rule[1:].partition(" ") if "(" not in rule.split(" ")[0] else (rule[1 : rule.index("(")], "", rule[rule.index("(") :])
+    name = name.lower()
+    return name == "layer" or (name == "media" and _applies(rest)) or (name == "supports" and not rest.strip().lower().startswith("not"))
+
+
+def _rules(sheet: str) -> Iterator[tuple[str, str]]:
+    """(selectors, declarations) of the rules of a sheet that hold for every reader, in order; rules inside rules are left out."""
+    sheet = _SPACE.sub(" ", _QUOTED.sub(" ", sheet))
+    open_: list[tuple[str, bool, list[str]]] = []
+    for m in _PART.finditer(sheet):
+        text, mark = m.groups()
+        if mark == "{":
+            before, _, name = text.rpartition(";")
+            live = open_[-1][1] and (open_[-1][0].startswith("@")) if open_ else True
+            if open_:
+                open_[-1][2].append(before + ";")
+            name = name.strip()
+            open_.append((name, live and (not name.startswith("@") or _holds(name)), []))
+            continue
+        if open_:
+            open_[-1][2].append(text)
+        while open_:
+            name, live, body = open_.pop()
+            if live and not name.startswith("@"):
+                yield name, "".join(body)
+            if mark:
+                break
+
+
+def _shows(body: str) -> Iterator[tuple[str, bool, bool]]:
+    """(property, shows, important) of the declarations that show or hide."""
+    for name, value, rest in _SAID.findall(body):
+        yield name.lower(), value.lower() not in ("none", "hidden", "collapse"), "important" in rest.lower()
+
+
+def _hidden_by_rules(styles: list[str]) -> Styles:
+    """What simple selectors (tag, .class, #id) say of display and visibility, the last word of each: {selector: {property: (important, place, shows)}}."""
+    out: Styles = {}
+    if not any(map(_HIDES.search, styles)):
+        return out
+    place = 0
     for sheet in styles:
-        if _HIDES.search(sheet):
-            for names, body in _RULE.findall(sheet):
-                if _HIDES.search(body):
-                    out.update(s.strip() for s in names.split(",") if re.fullmatch(r"[.#]?[\w-]+", s.strip()))
-    return frozenset(out)
+        for names, body in _rules(sheet):
+            said = list(_shows(body))
+            for name in (x.strip() for x in names.split(",")) if said else ():
+                if re.fullmatch(r"[.#]?[\w-]+", name):
+                    mine = out.setdefault(name if name[0] in ".#" else name.lower(), {})
+                    for what, shows, important in said:
+                        place += 1
+                        mine[what] = max(mine.get(what, (False, 0, True)), (important, place, shows))
+    return out
 
 
 class Page:
@@ -170,19 +225,30 @@ class Page:
 
 
 class Renderer:
-    def __init__(self, hidden: frozenset[str]):
-        self.hidden = hidden
+    def __init__(self, styles: Styles):
+        self.styles = styles
 
     def sees(self, node: Node) -> bool:
         if node.tag in UNSEEN:
             return False
         a = node.attrs
+        if a and ("hidden" in a or (node.tag == "input" and a.get("type", "").lower() == "hidden")):
+            return False
+        own = a["style"] if "style" in a else ""
+        if not self.styles and not (own and _HIDES.search(own)):
+            return True
+        # Important words come first, then the element's own, those by id, class and tag, the last of each.
+        said: dict[str, tuple] = {}
+        names = [(0, node.tag)]
         if a:
-            if "hidden" in a or (node.tag == "input" and a.get("type", "").lower() == "hidden") or ("style" in a and _HIDES.search(a["style"])):
-                return False
-            if self.hidden and ("#" + a.get("id", "") in self.hidden or any("." + c in self.hidden for c in a.get("class", "").split())):
-                return False
-        return node.tag not in self.hidden
+            names += [(1, "." + c) for c in a.get("class", "").split()]
+            names.append((2, "#" + a.get("id", "")))
+        for rank, name in names:
+            for what, (important, place, shows) in self.styles.get(name, {}).items():
+                said[what] = max(said.get(what, (False,)), (important, rank, place, shows))
+        for place, (what, shows, important) in enumerate(_shows(own)):
+            said[what] = max(said.get(what, (False,)), (important, 3, place, shows))
+        return all(x[-1] for x in said.values())
 
     def box(self, node: Node) -> list[str]:
         page = Page()

@@ -168,3 +168,18 @@ def test_deep_and_broken_pages(spark):
     pages = [(1, "<div>" * 5000 + "deep", 0), (2, "<table>" * 300 + "<td>x", 0), (3, None, 0), (4, "<" * 2000, 0), (5, "<p>" + "word " * 100_000, 0)]
     got = {r.page_id: r.text for r in htmltext.extract(spark.createDataFrame(pages, "page_id long, html string, text long")).collect()}
     assert got[1] == "deep" and got[2] == "x" and got[3] == "" and len(got[5]) == 499_999
+
+
+@pytest.mark.parametrize(
+    "style,seen",
+    [
+        ("@media print{.x{display:none}}", True), ("@media (max-width:600px){.x{display:none}} p{margin:0}", True), ("@media screen{.x{display:none}}", False), ("@media print{.y{color:red}} .x{display:none}", False),
+        (".x{display:none} .x{display:block}", True), (".x{display:block} .x{display:none}", False), ("/* .x{display:none} */", True), (".x{visibility:hidden} .x{display:block}", False), (".x{display:none} p{display:block}", False),
+        (".x{display:none!important} #i{display:block}", False), ("@import url(a.css); @media all , print { .x , b{ display : none } }", False), ("@keyframes k{from{display:none}} p{content:'}'}", True), (".x{display:none", False),
+        ("@media screen and (max-width:9px){.x{display:none}.q{color:red}} .x{color:red}", True), ("@media(max-width:9px){.x{display:none}}", True), ("@supports (display:grid){.x{display:none}}", False), (".y{.x{display:none}}", True),
+    ],
+)
+def test_rules_that_hide(style, seen):
+    assert htmltext.render(f"<style>{style}</style><p class='x' id=i>text</p>") == ("text" if seen else "")
+    assert htmltext.render(f"<style media=print>{style}</style><p class='x' id=i>text</p>") == "text"
+    assert htmltext.render("<style>.x{display:none}</style><p class=x style='display:block'>text") == "text"
