@@ -30,15 +30,29 @@ def without_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def one_of_each_class(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of documents that are alike, the one with the smallest id stays; null ids all stay."""
-    classes = packed.cut(jaccard.similarity_classes(docs).select("doc_id", "component_id"))
+    """Of documents that are alike, the one with the smallest id stays; null ids all stay.
+
+    Texts are told apart under an id that repeats: only those that are alike go.
+    """
+    texts = docs.where("doc_id is not null").select("doc_id", F.xxhash64("text").alias("print"))
+    if texts.groupBy("doc_id").agg(F.min("print").alias("a"), F.max("print").alias("b")).where("a != b").isEmpty():
+        return _first_of_each(docs, "doc_id")
+    # Numbers in the order of the ids stand for the texts.
+    numbers = packed.cut(texts.distinct().orderBy("doc_id", "print").select(F.col("doc_id").alias("__id"), F.col("print").alias("__print"), F.monotonically_increasing_id().alias("__number")))
+    numbered = docs.join(numbers, (F.col("doc_id") == F.col("__id")) & (F.xxhash64("text") == F.col("__print")), "left").drop("__id", "__print")
+    return _first_of_each(packed.cut(numbered), "__number").drop("__number")
+
+
+def _first_of_each(docs: DataFrame, key: str) -> DataFrame:
+    """Of documents that are alike the one with the smallest key; a key stands for one text."""
+    classes = packed.cut(jaccard.similarity_classes(docs, key=key).select("doc_id", "component_id"))
     others = classes.where("doc_id != component_id").select(F.col("doc_id").alias("other")).distinct()
     if others.count() <= BROADCAST_IDS:
         others = F.broadcast(others)
-    kept = docs.join(others, F.col("doc_id") == F.col("other"), "left_anti")
+    kept = docs.join(others, F.col(key) == F.col("other"), "left_anti")
     if classes.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").isEmpty():
         return kept
-    return kept.where("doc_id is not null").dropDuplicates(["doc_id"]).unionByName(kept.where("doc_id is null"))
+    return kept.where(F.col(key).isNotNull()).dropDuplicates([key]).unionByName(kept.where(F.col(key).isNull()))
 
 
 def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

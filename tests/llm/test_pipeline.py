@@ -99,3 +99,12 @@ def test_labels_of_one_kind_drop_nothing(spark, tmp_path, monkeypatch):
     monkeypatch.setattr(corpus_pipeline.toxicity, "SAMPLE_BYTES", 10_000)
     kept = corpus_pipeline.without_toxic(spark, spark.createDataFrame(long, COLUMNS), f"{tmp_path}/c").collect()
     assert {r.doc_id for r in kept} == set(range(30, 60))
+
+
+def test_texts_under_one_id_are_told_apart(spark):
+    x, y, z = (" ".join(f"{c}{k}" for k in range(30)) for c in "xyz")
+    rows = [(3, x), (7, x), (7, y), (9, y), (8, z), (8, z), (8, x + " end"), (None, x), (5, None), (5, "")]
+    docs = spark.createDataFrame([(d, t, "en", "s", 1) for d, t in rows], COLUMNS)
+    got = corpus_pipeline.one_of_each_class(spark, docs, "")
+    assert got.columns == docs.columns
+    assert sorted((str(r.doc_id), str(r.text)) for r in got.collect()) == sorted([("3", x), ("7", y), ("8", z), ("None", x), ("5", "None"), ("5", "")])
