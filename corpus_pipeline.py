@@ -25,7 +25,7 @@ def without_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     if not model.fitted:
         return docs
     others = tuple(c for c in docs.columns if c != "doc_id")
-    kept = toxicity.score(docs, model, also=others).where("toxicity < 0.5")
+    kept = toxicity.score(docs, model, also=others, name="__toxicity").where("__toxicity < 0.5")
     return kept.select(*docs.columns)
 
 
@@ -46,10 +46,10 @@ def one_of_each_class(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 def _first_of_each(docs: DataFrame, key: str) -> DataFrame:
     """Of documents that are alike the one with the smallest key; a key stands for one text."""
     classes = packed.cut(jaccard.similarity_classes(docs, key=key).select("doc_id", "component_id"))
-    others = classes.where("doc_id != component_id").select(F.col("doc_id").alias("other")).distinct()
+    others = classes.where("doc_id != component_id").select(F.col("doc_id").alias("__other")).distinct()
     if others.count() <= BROADCAST_IDS:
         others = F.broadcast(others)
-    kept = docs.join(others, F.col(key) == F.col("other"), "left_anti")
+    kept = docs.join(others, F.col(key) == F.col("__other"), "left_anti")
     if classes.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").isEmpty():
         return kept
     return kept.where(F.col(key).isNotNull()).dropDuplicates([key]).unionByName(kept.where(F.col(key).isNull()))

@@ -304,8 +304,8 @@ def _fits(size: np.ndarray, y: np.ndarray) -> np.ndarray:
     return keep
 
 
-def score(docs: DataFrame, model: Model, key: str = "doc_id", text: str = "text", also: tuple[str, ...] = ()) -> DataFrame:
-    """(key, `also` columns, toxicity) of every row: 0 to 1, higher if label 1 is likelier.
+def score(docs: DataFrame, model: Model, key: str = "doc_id", text: str = "text", also: tuple[str, ...] = (), name: str = "toxicity") -> DataFrame:
+    """(key, `also` columns, `name`) of every row: 0 to 1, higher if label 1 is likelier.
 
     Null and empty texts get the score of a text without words. Repeated rows
     score alike. One pass, no shuffle; only the named columns are read.
@@ -313,14 +313,14 @@ def score(docs: DataFrame, model: Model, key: str = "doc_id", text: str = "text"
     names = [key, *also]
     chosen = docs.select(*names) if text in names else docs.select(*names, F.col(text).alias("__text"))
     place = names.index(text) if text in names else len(names)
-    schema = docs.select(*names, F.lit(0.0).alias("toxicity")).schema
+    schema = docs.select(*names, F.lit(0.0).alias(name)).schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found = _Found(model.features)
         for batch in batches:
             raw, off = textnum.buffers(batch.column(place))
             got = np.concatenate([np.zeros(0), *(model.scores(raw[off[a] : off[b]], off[a : b + 1] - off[a], found) for a, b in _runs(off))])
-            yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(got, pa.float64())], [*names, "toxicity"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(got, pa.float64())], [*names, name])
 
     return chosen.mapInArrow(run, schema)
 

@@ -108,3 +108,13 @@ def test_texts_under_one_id_are_told_apart(spark):
     got = corpus_pipeline.one_of_each_class(spark, docs, "")
     assert got.columns == docs.columns
     assert sorted((str(r.doc_id), str(r.text)) for r in got.collect()) == sorted([("3", x), ("7", y), ("8", z), ("None", x), ("5", "None"), ("5", "")])
+
+
+def test_stages_on_columns_with_names_of_their_own(spark, folder):
+    path, _, _ = folder
+    rows = [(1, "one two three four five six", "en", "s", 5, 7, 8), (2, "one two three four five six", "en", "s", 5, 7, 8), (3, "seven eight nine", "en", "s", 5, 7, 8)]
+    docs = spark.createDataFrame(rows, COLUMNS + ", toxicity int, other int")
+    for want, (_, stage) in zip(({1, 2, 3}, {1, 3}, {1, 2, 3}, {1, 2, 3}), corpus_pipeline.STAGES[:-1]):
+        out = stage(spark, docs, path)
+        assert out.columns == docs.columns
+        assert {(r.doc_id, r.toxicity, r.other) for r in out.collect()} == {(k, 7, 8) for k in want}
