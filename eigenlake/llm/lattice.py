@@ -10,6 +10,7 @@ probabilities, starting from the vocabulary's scores.
 
 from __future__ import annotations
 
+import math
 import zlib
 from collections.abc import Iterator
 
@@ -22,7 +23,7 @@ from . import packed, textnum
 
 #: Words worked on together, bytes from which a word is worked on alone, and weight of the vocabulary's own scores.
 BATCH, LONG, PRIOR = 8192, 96, 1000.0
-#: Parts in which sums over pieces travel, and turns in which they are added up.
+#: Parts in which sums over pieces travel, and the least number of turns in which they are added up.
 PARTS = 16
 
 _U = np.uint64
@@ -193,15 +194,16 @@ def score(docs: DataFrame, model: str, key: str = "doc_id", text: str = "text",
     counts are 0 and the vocabulary's own scores are used. Words may be of any
     length; memory holds one block of texts and one bucket of words.
     """
-    spark = docs.sparkSession
-    buckets = packed.deal(spark)
-    parts = packed.blocks(docs, key, text)
+    by = packed.deal(docs, text)
+    buckets, turns = by.buckets, max(PARTS, math.isqrt(by.buckets))
+    parts = packed.blocks(docs, key, text, by)
 
     def parse(table: pa.Table) -> tuple:
         raw, off = textnum.buffers(table.column("text"))
-        w = textnum.words(raw, off, lower=True)
-        keys, sample, own = np.unique(w.hashes, return_index=True, return_inverse=True)
-        return raw, w, keys, sample, own, _trains(table.column("id").to_pylist(), folds, held)
+        raw = textnum._LOWER[raw]
+        w = textnum.words(raw, off)
+        sample, own = textnum.distinct(w.hashes, raw, w.starts, w.ends)
+        return raw, w, w.hashes[sample], sample, own, _trains(table.column("id").to_pylist(), folds, held)
 
     def emit(group: tuple, table: pa.Table) -> pa.Table:
         block = group[0].as_py()
@@ -209,7 +211,7 @@ def score(docs: DataFrame, model: str, key: str = "doc_id", text: str = "text",
         count = np.bincount(own, np.repeat(trains, w.counts), len(keys)).astype(np.uint32)
         out = packed.send(block, keys, buckets, count=count)
         order, bound = packed.slots(keys, buckets)
-        low = textnum._LOWER[raw].tobytes()
+        low = raw.tobytes()
         starts, ends = w.starts[sample[order]].tolist(), w.ends[sample[order]].tolist()
         out["words"] = [b"\n".join([low[a:b] for a, b in zip(starts[bound[k] : bound[k + 1]], ends[bound[k] : bound[k + 1]])]) for k in out["bucket"]]
         if not out["block"]:
@@ -218,9 +220,9 @@ def score(docs: DataFrame, model: str, key: str = "doc_id", text: str = "text",
         return pa.table(out, sent_as)
 
     def unify(table: pa.Table) -> tuple:
-        keys, sample, own = np.unique(packed.gathered(table, "keys", _U), return_index=True, return_inverse=True)
-        total = np.bincount(own, packed.gathered(table, "count", np.uint32), len(keys))
         raw, starts, ends = _split(table.column("words").to_pylist())
+        sample, own = textnum.distinct(packed.gathered(table, "keys", _U), raw, starts, ends)
+        total = np.bincount(own, packed.gathered(table, "count", np.uint32), len(sample))
         return own, total, *_gather(raw, starts[sample], ends[sample])
 
     def probabilities(vocab: Vocabulary, fitted: pa.Table) -> tuple[np.ndarray, np.ndarray, float]:
@@ -239,7 +241,7 @@ def score(docs: DataFrame, model: str, key: str = "doc_id", text: str = "text",
         use = expected_pieces(vocab, np.log(vocab.start) if fitted is None else probabilities(vocab, fitted)[1], *_gather(raw, off[:-1][known], off[1:][known]), total[known])
         facts = np.array([total.sum(), len(known), sum(table.column("docs").to_pylist())], float)
         cuts = [facts, *np.array_split(use, PARTS)]
-        turn = table.column("bucket")[0].as_py() % PARTS
+        turn = table.column("bucket")[0].as_py() % turns
         return pa.table({"turn": pa.array([turn] * len(cuts), pa.int32()), "part": pa.array(range(len(cuts)), pa.int32()), "data": pa.array([np.ascontiguousarray(c).tobytes() for c in cuts], pa.binary())})
 
     def fold(table: pa.Table) -> pa.Table:
@@ -285,8 +287,7 @@ def score(docs: DataFrame, model: str, key: str = "doc_id", text: str = "text",
 
     said_as = [("block", pa.int32()), ("bucket", pa.int32()), ("count", pa.binary()), ("logp", pa.binary()), ("n_train", pa.int64()), ("n_types", pa.int64()), ("n_docs", pa.int64()), ("log_end", pa.float64())]
     sent_as = pa.schema([("block", pa.int32()), ("bucket", pa.int32()), ("keys", pa.binary()), ("count", pa.binary()), ("words", pa.binary()), ("docs", pa.int64())])
-    sums = "turn int, part int, data binary"
-    sent = parts.groupBy("block").applyInArrow(emit, "block int, bucket int, keys binary, count binary, words binary, docs long").repartition(buckets, "bucket")
+    sent = parts.groupBy("block").applyInArrow(emit, "block int, bucket int, keys binary, count binary, words binary, docs long").repartition(by.tasks, "bucket")
     sums = "turn int, part int, data binary"
     added = lambda parts: parts.groupBy("part", "turn").applyInArrow(fold, sums).groupBy("part").applyInArrow(fold, sums).select(F.explode(F.sequence(F.lit(0), F.lit(buckets - 1))).alias("bucket"), "part", "data")
     spread = added(sent.groupBy("bucket").applyInArrow(lambda table: learn(table), sums))

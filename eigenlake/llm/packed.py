@@ -13,8 +13,10 @@ The text is shuffled once: both uses of the blocks share the exchange.
 
 from __future__ import annotations
 
+import math
 import tempfile
 from collections.abc import Callable
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -24,16 +26,46 @@ from pyspark.sql import functions as F
 from . import textnum
 
 
-def deal(spark: SparkSession) -> int:
-    """Partitions of a shuffle; the session sizes it to the input."""
-    return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
+#: Bytes of text in a block and of what a bucket receives: one worker holds one at a time. Smaller ones mean more, shorter messages.
+BLOCK_BYTES, BUCKET_BYTES = 64 << 20, 256 << 20
+#: Bytes of text in a task, and in a task when there would be more than so many tasks.
+TASK_BYTES, WIDE_BYTES, MANY_TASKS = 32 << 20, 1 << 30, 20_000
+
+
+@dataclass(frozen=True)
+class Deal:
+    """How many tasks, blocks and buckets an exchange of so many bytes is dealt to."""
+
+    tasks: int
+    blocks: int
+    buckets: int
+
+
+def dealt(size: int, partitions: int) -> Deal:
+    """At least what the session's partitions ask for; more where blocks, buckets or tasks would grow beyond their bytes."""
+    tasks = max(partitions, min(math.ceil(size / TASK_BYTES), max(MANY_TASKS, math.ceil(size / WIDE_BYTES))))
+    return Deal(tasks, max(2 * partitions, math.ceil(size / BLOCK_BYTES)), max(partitions, math.ceil(3 * size / BUCKET_BYTES)))
+
+
+def deal(docs: DataFrame, text: str) -> Deal:
+    """The deal for a table by the bytes of one column: an aggregate that reads that column alone."""
+    spark = docs.sparkSession
+    size = docs.agg(F.sum(F.octet_length(text))).first()[0] or 0
+    return dealt(size, max(1, int(spark.conf.get("spark.sql.shuffle.partitions"))))
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: the session's, or where none is set (tests) a temporary one."""
+    """The folder that driver and executors share, from spark.checkpoint.dir.
+
+    A session in one process may go without and gets a temporary one; on a
+    cluster, where executors would not see it, that is an error.
+    """
     context = spark.sparkContext
     if not context._jsc.sc().getCheckpointDir().isDefined():
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="eigenlake-checkpoints-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder and not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="eigenlake-checkpoints-"))
     return context._jsc.sc().getCheckpointDir().get()
 
 
@@ -57,11 +89,10 @@ def cut(df: DataFrame) -> DataFrame:
     return own.checkpoint(eager=True)
 
 
-def blocks(docs: DataFrame, key: str, text: str, also: tuple[str, ...] = ()) -> DataFrame:
-    """(block, key, text): documents dealt evenly to twice as many blocks as partitions."""
-    n = deal(docs.sparkSession)
-    at = F.pmod(F.xxhash64(F.col(key), F.col(text)), F.lit(2 * n)).cast("int")
-    return docs.select(at.alias("block"), F.col(key).cast("long").alias("id"), F.col(text).alias("text"), *also).repartition(n, "block")
+def blocks(docs: DataFrame, key: str, text: str, by: Deal) -> DataFrame:
+    """(block, id, text): documents dealt evenly to blocks."""
+    at = F.pmod(F.xxhash64(F.col(key), F.col(text)), F.lit(by.blocks)).cast("int")
+    return docs.select(at.alias("block"), F.col(key).cast("long").alias("id"), F.col(text).alias("text")).repartition(by.tasks, "block")
 
 
 def ordered(table: pa.Table) -> pa.Table:
@@ -122,6 +153,6 @@ def reply(table: pa.Table, at: np.ndarray, **values: np.ndarray) -> pa.Table:
     return pa.table(cols)
 
 
-def meet(sent: DataFrame, answer: Callable[[pa.Table], pa.Table], schema: str) -> DataFrame:
+def meet(sent: DataFrame, by: Deal, answer: Callable[[pa.Table], pa.Table], schema: str) -> DataFrame:
     """Run `answer` once for each bucket over all rows sent to it."""
-    return sent.groupBy("bucket").applyInArrow(answer, schema)
+    return sent.repartition(by.tasks, "bucket").groupBy("bucket").applyInArrow(answer, schema)

@@ -1,8 +1,10 @@
 """Words, shingles and windows of many documents at once, as NumPy arrays.
 
 A document column arrives as one byte buffer with offsets (the Arrow layout).
-Words, their 64-bit hashes and the hashes of word windows come from prefix
-sums of a polynomial over that buffer, so no Python object exists per word.
+A word's 64-bit hash is a chain of scrambled 8-byte lanes, which no rule of
+writing makes collide; `distinct` and `equal` compare the words' own bytes.
+Hashes of word windows come from prefix sums of a polynomial over the words'
+hashes. No Python object exists per word.
 """
 
 from __future__ import annotations
@@ -12,6 +14,7 @@ import ctypes
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 
 
 def settle() -> None:
@@ -30,8 +33,7 @@ CHUNK = 1 << 20
 
 _WHITE = np.zeros(256, bool)
 _WHITE[[0x20, *range(0x09, 0x0E)]] = True
-_SAME = np.arange(256, dtype=np.uint8)
-_LOWER = _SAME.copy()
+_LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[0x41:0x5B] += 0x20
 
 _BASE = np.uint64(0x9E3779B97F4A7C15)
@@ -71,6 +73,73 @@ def _spans(values: np.ndarray, first: np.ndarray, last: np.ndarray) -> np.ndarra
     return (total[last] - total[first]) * down[first]
 
 
+#: Lanes of 8 bytes by which a word is hashed and compared; longer words, which are few, go one by one.
+LANES = 8
+_STEP = np.uint64(0xD6E8FEB86659FD93)
+_MASK = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
+
+
+def lanes(raw: np.ndarray) -> np.ndarray:
+    """The 8 bytes from each place on as one number; zeros follow the end."""
+    padded = np.concatenate([raw, np.zeros(8, np.uint8)])
+    return np.ndarray((len(raw) + 1,), "<u8", padded, strides=(1,))
+
+
+def lane(view: np.ndarray, starts: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """The first `size` bytes (up to 8) from each start."""
+    return view[starts] & _MASK[np.minimum(size, 8)]
+
+
+def word_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    view, size = lanes(raw), ends - starts
+    h = mix(lane(view, starts, size) + size.astype(np.uint64) * _STEP)
+    some = np.flatnonzero(size > 8)
+    for k in range(1, LANES):
+        if not len(some):
+            break
+        h[some] = mix(h[some] * _STEP + lane(view, starts[some] + 8 * k, size[some] - 8 * k))
+        some = some[size[some] > 8 * (k + 1)]
+    for i in np.flatnonzero(size > 8 * LANES).tolist():
+        h[i] = xxhash.xxh3_64_intdigest(raw[starts[i] : ends[i]].tobytes())
+    return h
+
+
+def equal(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray, other: np.ndarray, starts2: np.ndarray, ends2: np.ndarray) -> np.ndarray:
+    """Whether the i-th word of one buffer has the bytes of the i-th word of the other."""
+    size = ends - starts
+    out = size == ends2 - starts2
+    view = lanes(raw)
+    view2 = view if other is raw else lanes(other)
+    some = np.flatnonzero(out)
+    for k in range(LANES):
+        if not len(some):
+            break
+        left = size[some] - 8 * k
+        same = lane(view, starts[some] + 8 * k, left) == lane(view2, starts2[some] + 8 * k, left)
+        out[some[~same]] = False
+        some = some[same & (left > 8)]
+    for i in some.tolist():
+        out[i] = raw[starts[i] : ends[i]].tobytes() == other[starts2[i] : ends2[i]].tobytes()
+    return out
+
+
+def distinct(hashes: np.ndarray, raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """One word of each kind, in the order of their hashes, and the kind of every word; words with one hash are compared."""
+    _, sample, own = np.unique(hashes, return_index=True, return_inverse=True)
+    apart = np.flatnonzero(~equal(raw, starts, ends, raw, starts[sample][own], ends[sample][own]))
+    if len(apart):
+        kinds: dict[bytes, int] = {}
+        more = []
+        for i in apart.tolist():
+            word = raw[starts[i] : ends[i]].tobytes()
+            if word not in kinds:
+                kinds[word] = len(sample) + len(more)
+                more.append(i)
+            own[i] = kinds[word]
+        sample = np.concatenate([sample, more])
+    return sample, own
+
+
 class Words:
     """The words of consecutive documents: hash of each, and where each document's words begin."""
 
@@ -89,6 +158,10 @@ class Words:
             at = at[at + n <= after]
         return mix(_spans(self.hashes, at, at + n) + np.uint64(n)), at
 
+    def checks(self, n: int, at: np.ndarray) -> np.ndarray:
+        """32 further bits of the n-word windows at these places, apart from those of `windows`."""
+        return (mix(_spans(mix(self.hashes ^ _STEP), at, at + n)) >> np.uint64(32)).astype(np.uint32)
+
 
 def buffers(column: pa.ChunkedArray | pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Bytes and document offsets of a string column; null counts as empty."""
@@ -119,8 +192,7 @@ def _words(raw: np.ndarray, off: np.ndarray, lower: bool, stop: np.ndarray) -> W
     after = np.empty(n, bool)
     after[-1], after[:-1] = False, ink[1:]
     ends = np.flatnonzero(ink & (~after | edge[1:])) + 1
-    code = _CODE[(_LOWER if lower else _SAME)[raw]]
-    return Words(mix(_spans(code, starts, ends) + (ends - starts).astype(np.uint64)), np.searchsorted(starts, off), starts, ends)
+    return Words(word_hashes(_LOWER[raw] if lower else raw, starts, ends), np.searchsorted(starts, off), starts, ends)
 
 
 def words(raw: np.ndarray, off: np.ndarray, lower: bool = False, stop: np.ndarray = _WHITE) -> Words:

@@ -47,11 +47,11 @@ def _features(raw: np.ndarray, off: np.ndarray) -> Iterator[tuple[np.ndarray, np
         part, first = raw[off[at] : off[to]], off[at : to + 1] - off[at]
         w = textnum._words(part, first, True, ~_LETTER)
         doc = np.repeat(np.arange(at, to), w.counts)
-        code = textnum._CODE[textnum._LOWER[part]]
+        view = textnum.lanes(textnum._LOWER[part])
         yield doc, w.hashes
         for n in STEMS:
             long = np.flatnonzero(w.ends - w.starts > n)
-            yield doc[long], textnum.mix(textnum._spans(code, w.starts[long], w.starts[long] + n) + _U(1000 + n))
+            yield doc[long], textnum.mix(textnum.lane(view, w.starts[long], np.full(len(long), n)) + _U(n) * textnum._MASK[7])
         at = to
 
 

@@ -2,7 +2,8 @@
 
 A tokenizer whose pre-tokenisation never crosses white space gives a text the
 ids of its words one after the other. Words repeat, so each worker encodes a
-word once and the rest is array indexing.
+word once and the rest is array indexing. The cache is looked up by hash and
+keeps the words' bytes, which are compared.
 """
 
 from __future__ import annotations
@@ -32,47 +33,61 @@ class Encoder:
     def _forget(self) -> None:
         self.keys, self.place = np.zeros(0, np.uint64), np.zeros(0, np.int64)
         self.ids, self.first = np.zeros(0, np.int32), np.zeros(1, np.int64)
+        self.raw, self.begin = np.zeros(0, np.uint8), np.zeros(1, np.int64)
 
-    def _learn(self, keys: np.ndarray, texts: list[str]) -> None:
-        if len(self.keys) + len(keys) > CACHE_WORDS:
-            self._forget()
-        new = [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
-        ends = np.cumsum([0, *map(len, new)]) + self.first[-1]
+    def _ids(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of words one after the other, and where each word's ids begin."""
+        new = [e.ids for e in self.tokenizer.encode_batch_fast([x.decode("utf-8", "replace") for x in words], add_special_tokens=False)]
+        first = np.cumsum([0, *map(len, new)])
+        return np.fromiter((i for x in new for i in x), np.int32, first[-1]), first
+
+    def _learn(self, keys: np.ndarray, words: list[bytes]) -> None:
+        ids, first = self._ids(words)
         place = np.arange(len(keys)) + len(self.first) - 1
-        self.ids = np.concatenate([self.ids, np.fromiter((i for x in new for i in x), np.int32, ends[-1] - ends[0])])
-        self.first = np.concatenate([self.first, ends[1:]])
+        self.ids = np.concatenate([self.ids, ids])
+        self.first = np.concatenate([self.first, first[1:] + self.first[-1]])
+        self.raw = np.concatenate([self.raw, np.frombuffer(b"".join(words), np.uint8)])
+        self.begin = np.concatenate([self.begin, np.cumsum([len(x) for x in words], dtype=np.int64) + self.begin[-1]])
         keys, place = np.concatenate([self.keys, keys]), np.concatenate([self.place, place])
-        order = np.argsort(keys)
+        order = np.argsort(keys, kind="stable")
         self.keys, self.place = keys[order], place[order]
 
     def _find(self, keys: np.ndarray) -> np.ndarray:
-        """Cache places of sorted keys, -1 where unknown."""
+        """Cache places of keys, -1 where unknown."""
         if not len(self.keys):
             return np.full(len(keys), -1)
         at = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
         return np.where(self.keys[at] == keys, self.place[at], -1)
 
-    def encode(self, raw: np.ndarray, off: np.ndarray, end_id: int) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all documents, each closed by end_id, and where each document's ids begin."""
-        w = textnum.words(raw, off)
-        keys, sample, own = np.unique(w.hashes, return_index=True, return_inverse=True)
+    def _known(self, raw: np.ndarray, w: textnum.Words, sample: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Ids, where each known word's begin there, and the place among them of each word asked for."""
+        keys, starts, ends = w.hashes[sample], w.starts[sample], w.ends[sample]
         place = self._find(keys)
         new = np.flatnonzero(place < 0)
         if len(new):
             if len(self.keys) + len(new) > CACHE_WORDS:
+                self._forget()
                 new = np.arange(len(keys))
             data = raw.tobytes()
-            texts = [data[a:b].decode("utf-8", "replace") for a, b in zip(w.starts[sample[new]], w.ends[sample[new]])]
-            self._learn(keys[new], texts)
+            self._learn(keys[new], [data[a:b] for a, b in zip(starts[new].tolist(), ends[new].tolist())])
             place = self._find(keys)
+        if textnum.equal(raw, starts, ends, self.raw, self.begin[place], self.begin[place + 1]).all():
+            return self.ids, self.first, place
+        return *self._ids([raw[a:b].tobytes() for a, b in zip(starts, ends)]), np.arange(len(keys))
+
+    def encode(self, raw: np.ndarray, off: np.ndarray, end_id: int) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all documents, each closed by end_id, and where each document's ids begin."""
+        w = textnum.words(raw, off)
+        sample, own = textnum.distinct(w.hashes, raw, w.starts, w.ends)
+        ids, first, place = self._known(raw, w, sample)
         word = place[own]
-        size = (self.first[1:] - self.first[:-1])[word] if len(word) else np.zeros(0, np.int64)
+        size = (first[1:] - first[:-1])[word]
         total = np.concatenate([[0], np.cumsum(size)])
-        source = np.repeat(self.first[word] - total[:-1], size) + np.arange(total[-1]) if len(word) else np.zeros(0, np.int64)
+        source = np.repeat(first[word] - total[:-1], size) + np.arange(total[-1])
         docs = np.arange(len(off) - 1)
         begin = total[w.first] + np.arange(len(off))
         out = np.full(begin[-1], end_id, np.int32)
-        out[np.arange(total[-1]) + np.repeat(docs, np.diff(total[w.first]))] = self.ids[source]
+        out[np.arange(total[-1]) + np.repeat(docs, np.diff(total[w.first]))] = ids[source]
         return out, begin
 
 
