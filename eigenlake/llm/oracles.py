@@ -15,25 +15,32 @@ def _quoted(text: str) -> str:
 
 
 def _licenses() -> str:
+    """Base columns by comparing slices of the words with the phrases; other spans by votes, their order by dynamic programming."""
     rows = ", ".join(f"({t}, {_quoted(x.label)}, {str(x.base).lower()}, {_quoted(x.text)})" for t, x in enumerate(licenses.TEMPLATES))
     return f"""
-    WITH t(t, label, base, txt) AS (VALUES {rows}),
-    tw AS (SELECT t, string_split(txt, ' ') AS w FROM t),
-    tg AS (SELECT t, k - 1 AS place, w[k] || ' ' || w[k + 1] || ' ' || w[k + 2] AS gram, len(w) - 2 AS grams FROM tw, unnest(range(1, len(w) - 1)) x(k)),
-    d AS MATERIALIZED (SELECT doc_id, regexp_extract_all(lower(coalesce(text, '')), '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+') AS w FROM documents),
+    WITH RECURSIVE t(t, label, base, txt) AS (VALUES {rows}),
+    tw AS (SELECT t, label, base, string_split(txt, ' ') AS p FROM t),
+    d AS MATERIALIZED (SELECT doc_id, regexp_extract_all({_LOW}, '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+') AS w FROM documents),
+    phrase AS (SELECT doc_id, label, k - 1 AS start FROM d, tw, unnest(range(1, len(w) - len(p) + 2)) x(k) WHERE base AND list_has_all(w, p) AND w[k : k + len(p) - 1] = p),
+    b AS (SELECT doc_id, count(*) AS n_base, min(start) AS first_word, max(start) AS last_word, string_agg(DISTINCT label, ',' ORDER BY label) AS base_labels FROM phrase GROUP BY doc_id),
+    tg AS (SELECT t, k - 1 AS place, p[k] || ' ' || p[k + 1] || ' ' || p[k + 2] AS gram, len(p) - 2 AS grams FROM tw, unnest(range(1, len(p) - 1)) x(k) WHERE NOT base),
     g AS (SELECT doc_id, k - 1 AS pos, w[k] || ' ' || w[k + 1] || ' ' || w[k + 2] AS gram FROM d, unnest(range(1, len(w) - 1)) x(k)),
-    votes AS (SELECT DISTINCT doc_id, t, grams, pos - place AS diagonal, pos FROM g JOIN tg USING (gram)),
+    votes AS MATERIALIZED (SELECT DISTINCT doc_id, t, grams, pos - place AS diagonal, pos, place FROM g JOIN tg USING (gram)),
     lines AS (SELECT doc_id, t, grams, diagonal, count(*) AS n, min(pos) AS lo, max(pos) AS hi FROM votes GROUP BY ALL),
     marked AS (SELECT *, n = grams AS whole, lag(diagonal) OVER w AS ld, lag(hi) OVER w AS lh, lag(n = grams) OVER w AS lw FROM lines WINDOW w AS (PARTITION BY doc_id, t ORDER BY lo, diagonal)),
-    runs AS (SELECT *, sum(coalesce((abs(diagonal - ld) > {licenses.SHIFT} OR lo - lh > {licenses.GAP} OR whole OR lw)::INT, 1)) OVER (PARTITION BY doc_id, t ORDER BY lo, diagonal ROWS UNBOUNDED PRECEDING) AS span FROM marked),
-    merged AS (SELECT doc_id, t, min(lo) AS first_word, max(hi) + 2 AS last_word, least(1.0::DOUBLE, sum(n)::DOUBLE / grams) AS share FROM runs GROUP BY doc_id, t, grams, span),
-    every AS (SELECT m.*, base, label FROM merged m JOIN t USING (t) WHERE share >= {licenses.SHARE} AND (NOT base OR share = 1)),
-    reached AS (SELECT *, max(last_word) OVER (PARTITION BY doc_id, base ORDER BY first_word, t, last_word ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS reach FROM every),
-    islands AS (SELECT *, sum(coalesce((first_word > reach)::INT, 1)) OVER (PARTITION BY doc_id, base ORDER BY first_word, t, last_word ROWS UNBOUNDED PRECEDING) AS island FROM reached),
-    chosen AS (SELECT * FROM (SELECT *, max(share) OVER (PARTITION BY doc_id, base, island) AS best FROM islands) WHERE base OR share = best),
-    found AS (SELECT doc_id, count(*) FILTER (base) AS n_base, min(first_word) FILTER (base) AS first_word, max(first_word) FILTER (base) AS last_word,
-      coalesce(string_agg(DISTINCT label, ',' ORDER BY label) FILTER (base), '') AS base_labels, string_agg(DISTINCT label, ',' ORDER BY label) AS labels, max(share) AS score FROM chosen GROUP BY doc_id)
-    SELECT d.doc_id, len(w) AS n_words, coalesce(n_base, 0) AS n_base, first_word, last_word, coalesce(base_labels, '') AS base_labels, coalesce(labels, '') AS labels, coalesce(score, 0.0)::DOUBLE AS score FROM d LEFT JOIN found USING (doc_id)"""
+    runs AS MATERIALIZED (SELECT *, sum(coalesce((abs(diagonal - ld) > {licenses.SHIFT} OR lo - lh > {licenses.GAP} OR whole OR lw)::INT, 1)) OVER (PARTITION BY doc_id, t ORDER BY lo, diagonal ROWS UNBOUNDED PRECEDING) AS span FROM marked),
+    merged AS MATERIALIZED (SELECT doc_id, t, grams, span, min(lo) AS first_word, max(hi) + 2 AS last_word, count(*) AS n_lines, sum(n) AS n FROM runs GROUP BY doc_id, t, grams, span HAVING sum(n) / grams >= {licenses.SHARE}),
+    chain(doc_id, t, span, v, i, best) AS (
+      SELECT doc_id, t, span, list(struct_pack(pos, place) ORDER BY pos, place DESC), 1, list_transform(range(any_value(grams)), lambda x: 0::BIGINT)
+      FROM merged JOIN runs USING (doc_id, t, grams, span) JOIN votes USING (doc_id, t, grams, diagonal) WHERE n_lines > 1 GROUP BY doc_id, t, span
+      UNION ALL SELECT doc_id, t, span, v, i + 1, list_transform(best, lambda x, k: CASE WHEN k = v[i].place + 1 THEN greatest(x, 1 + coalesce(list_max(best[1 : v[i].place]), 0)) ELSE x END) FROM chain WHERE i <= len(v)),
+    ordered AS (SELECT doc_id, t, span, list_max(best) AS m FROM chain WHERE i > len(v)),
+    every AS (SELECT * FROM (SELECT doc_id, t, first_word, last_word, coalesce(m, n)::DOUBLE / grams AS share FROM merged LEFT JOIN ordered USING (doc_id, t, span)) WHERE share >= {licenses.SHARE}),
+    reached AS (SELECT *, max(last_word) OVER (PARTITION BY doc_id ORDER BY first_word, t, last_word ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS reach FROM every),
+    islands AS (SELECT *, sum(coalesce((first_word > reach)::INT, 1)) OVER (PARTITION BY doc_id ORDER BY first_word, t, last_word ROWS UNBOUNDED PRECEDING) AS island FROM reached),
+    chosen AS (SELECT doc_id, label, share FROM (SELECT *, max(share) OVER (PARTITION BY doc_id, island) AS best FROM islands) JOIN tw USING (t) WHERE share = best UNION ALL SELECT doc_id, label, 1.0 FROM phrase),
+    found AS (SELECT doc_id, string_agg(DISTINCT label, ',' ORDER BY label) AS labels, max(share) AS score FROM chosen GROUP BY doc_id)
+    SELECT d.doc_id, len(w) AS n_words, coalesce(n_base, 0) AS n_base, first_word, last_word, coalesce(base_labels, '') AS base_labels, coalesce(labels, '') AS labels, coalesce(score, 0.0)::DOUBLE AS score FROM d LEFT JOIN b USING (doc_id) LEFT JOIN found USING (doc_id)"""
 
 
 def _needed(rule: secrets.Rule) -> str:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import random
 import re
 
 import pytest
@@ -44,6 +45,40 @@ def test_base_phrases_stand_in_a_row_and_spans_in_order(spark):
     assert [(r.doc_id, r.t, r.share, r.whole) for r in found.collect()] == [(2, 1, 1.0, True)]
 
 
+def license_texts() -> list[str | None]:
+    """Phrases cut, doubled and shuffled; openings with words changed, left out, put in and out of order."""
+    rng = random.Random(7)
+    out: list[str | None] = ["under the mit and the mit license", "apache license version of the license version 2", "is under the mit terms the mit license x under the mit license", "under the MIT License for wor\u212a", "\u212a " * 9 + "cc by nc", None, ""]
+    words = [w.split() for w in (*BASE.values(), *(t.text for t in licenses.TEMPLATES if not t.base))]
+    for _ in range(150):
+        text = []
+        for w in rng.sample(words, rng.choice([1, 2, 3])):
+            w = list(w)
+            for _ in range(rng.choice([0, 0, 1, 2, 4])):
+                k = rng.randrange(len(w))
+                w[k : k + 1] = rng.choice([[], [w[k], "x"], ["y"], [w[k], w[k]], w[k : k + 4][::-1]])
+            text += [*w, *["z"] * rng.choice([0, 1, 5, 12])]
+        out.append(rng.choice([" ", "-", ", "]).join(text).title())
+    return out
+
+
+def test_license_sql_and_brute_force_agree(spark, tmp_path):
+    duckdb = pytest.importorskip("duckdb")
+    from eigenlake.llm import oracles, queries
+
+    texts = license_texts()
+    spark.createDataFrame(list(enumerate(texts)), SCHEMA).write.parquet(str(tmp_path / "documents.parquet"))
+    got = sorted(tuple(r) for r in queries.op1_license_scan(spark, str(tmp_path)).collect())
+    for row in got:
+        assert row[1:6] == phrases(texts[row[0]]), texts[row[0]]
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM read_parquet('{tmp_path}/documents.parquet/*.parquet')")
+    want = sorted(con.execute(oracles.ORACLES["op1_license_scan"]).fetchall())
+    assert [r[:7] for r in got] == [r[:7] for r in want]
+    assert [r[7] for r in got] == pytest.approx([r[7] for r in want])
+    assert len({r[6] for r in got}) > 20
+
+
 def test_spans_bridge_changed_words_and_prefer_the_closest(spark):
     mit = next(t.text for t in licenses.TEMPLATES if t.text.startswith("permission is hereby"))
     changed = mit.replace("free of charge", "free of any charge").replace("obtaining", "getting")
