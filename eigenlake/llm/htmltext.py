@@ -3,21 +3,23 @@
 A tolerant scanner feeds a tree builder that supplies implied end tags, and a
 renderer emits all text a reader would see: paragraphs apart, list items with
 markers and indents, preformatted text as it stands, table cells in columns.
+Elements may nest to any depth; beyond NESTED boxes (lists, quotes, cells) in
+one another their text goes on without further indents.
 """
 
 from __future__ import annotations
 
 import html
 import re
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Elements deeper than this are taken as children of the last one allowed.
-DEPTH = 200
-#: Table columns up to this width are padded so that cells line up.
+#: Boxes in boxes that are laid out; what nests deeper flows as plain blocks, with all its text.
+NESTED = 40
+#: A table's cells line up if its columns, but for the last, are no wider than this; in other tables two spaces part them.
 ALIGNED = 48
 
 # Element names by their part in layout.
@@ -44,7 +46,9 @@ IMPLIED = {
     "caption": ({"caption", "colgroup"}, {"table"}),
     "body": ({"head"}, set()),
 }
-#: What an end tag may not reach through.
+IN_HEAD = frozenset("base basefont bgsound link meta title style script noscript template noframes".split())
+#: What an end tag may not reach through: of those named, and of all others but these elements' own.
+SCOPE = frozenset("table td th caption object template".split())
 SHIELD = {"li": {"ul", "ol", "menu"}, "td": {"table"}, "th": {"table"}, "tr": {"table"}, "tbody": {"table"}, "thead": {"table"}, "tfoot": {"table"}}
 
 _TAG = re.compile(r"<(?:!--(?:>|->|.*?(?:--!?>|\Z))|[!?][^>]*(?:>|\Z)|(/?)([a-zA-Z][^\s/>]*)([^>\"']*(?:(?:\"[^\"]*\"|'[^']*')[^>\"']*)*|[^>]*)(?:>|\Z))", re.S)
@@ -77,14 +81,51 @@ def _attributes(text: str) -> dict[str, str]:
     return out
 
 
+class _Open:
+    """The open elements, and where those of each name stand."""
+
+    def __init__(self, root: Node):
+        self.stack, self.places = [root], {}
+
+    def push(self, node: Node) -> None:
+        self.places.setdefault(node.tag, []).append(len(self.stack))
+        self.stack.append(node)
+
+    def last(self, tags: Iterable[str]) -> int:
+        """The innermost open element of these names, 0 if there is none."""
+        return max((self.places[t][-1] for t in tags if self.places.get(t)), default=0)
+
+    def close(self, place: int) -> None:
+        for node in self.stack[place:]:
+            self.places[node.tag].pop()
+        del self.stack[place:]
+
+    def imply(self, ends: set[str], shields: set[str]) -> None:
+        while (place := self.last(ends)) > self.last(shields):
+            self.close(place)
+
+    def end(self, tag: str) -> None:
+        if tag == "br":
+            self.stack[-1].kids.append(Node("br", {}))
+            return
+        shields = SHIELD.get(tag, () if tag in SCOPE else SCOPE)
+        if (place := self.last((tag,))) > self.last(shields):
+            self.close(place)
+
+
 def parse(source: str) -> tuple[Node, list[str]]:
     """The element tree, and the contents of style elements."""
     root = Node("html", {})
-    stack, styles, at, find = [root], [], 0, _TAG.search
+    open_, styles, at, find, begun = _Open(root), [], 0, _TAG.search, False
+    stack = open_.stack
     while True:
         m = find(source, at)
         text = source[at : m.start() if m else len(source)]
         if text:
+            if text.strip(" \t\n\r\f"):
+                if stack[-1].tag == "head":
+                    open_.close(len(stack) - 1)
+                begun = True
             stack[-1].kids.append(html.unescape(text) if "&" in text else text)
         if not m:
             return root, styles
@@ -94,14 +135,18 @@ def parse(source: str) -> tuple[Node, list[str]]:
             continue
         tag = tag.lower()
         if m[1]:
-            _end(stack, tag)
+            open_.end(tag)
             continue
-        if tag in ("html", "body") and len(stack) == 1 and not m[3].strip():
+        if tag in ("html", "body") and len(stack) == 1 and not m[3].strip() or tag == "head" and begun:
             continue
+        if tag not in IN_HEAD:
+            if stack[-1].tag == "head":
+                open_.close(len(stack) - 1)
+            begun = begun or tag not in ("html", "head")
         if tag in ENDS_P:
-            _imply(stack, {"p"}, {"table", "td", "th", "button", "object", "caption"})
+            open_.imply({"p"}, {"table", "td", "th", "button", "object", "caption"})
         if rule := IMPLIED.get(tag):
-            _imply(stack, *rule)
+            open_.imply(*rule)
         node = Node(tag, _attributes(m[3]))
         stack[-1].kids.append(node)
         if tag in RAW:
@@ -113,33 +158,8 @@ def parse(source: str) -> tuple[Node, list[str]]:
                 node.kids.append(html.unescape(inner) if tag == "textarea" else inner)
             at = source.find(">", end.end()) + 1 if end else len(source)
             at = at or len(source)
-        elif tag not in VOID and len(stack) < DEPTH:
-            stack.append(node)
-
-
-def _imply(stack: list[Node], ends: set[str], shields: set[str]) -> None:
-    for k in range(len(stack) - 1, 0, -1):
-        tag = stack[k].tag
-        if tag in shields:
-            return
-        if tag in ends:
-            below = [n for n in stack[:k] if n.tag in ends]
-            del stack[k:]
-            if not below or any(n.tag in shields for n in stack[stack.index(below[-1]) :]):
-                return
-
-
-def _end(stack: list[Node], tag: str) -> None:
-    if tag == "br":
-        stack[-1].kids.append(Node("br", {}))
-        return
-    shield = SHIELD.get(tag, ())
-    for k in range(len(stack) - 1, 0, -1):
-        if stack[k].tag == tag:
-            del stack[k:]
-            return
-        if stack[k].tag in shield:
-            return
+        elif tag not in VOID:
+            open_.push(node)
 
 
 def _applies(media: str) -> bool:
@@ -179,9 +199,10 @@ def _rules(sheet: str) -> Iterator[tuple[str, str]]:
 
 
 def _shows(body: str) -> Iterator[tuple[str, bool, bool]]:
-    """(property, shows, important) of the declarations that show or hide."""
+    """(property, shows, important) of the declarations that show or hide; those that only inherit say nothing."""
     for name, value, rest in _SAID.findall(body):
-        yield name.lower(), value.lower() not in ("none", "hidden", "collapse"), "important" in rest.lower()
+        if value.lower() not in ("inherit", "unset", "revert"):
+            yield name.lower(), value.lower() not in ("none", "hidden", "collapse"), "important" in rest.lower()
 
 
 def _hidden_by_rules(styles: list[str]) -> Styles:
@@ -228,15 +249,16 @@ class Renderer:
     def __init__(self, styles: Styles):
         self.styles = styles
 
-    def sees(self, node: Node) -> bool:
+    def looks(self, node: Node, shown: bool) -> tuple[bool, bool]:
+        """Whether the element has a place in the page, and whether its text shows, given that its parent's does or not."""
         if node.tag in UNSEEN:
-            return False
+            return False, shown
         a = node.attrs
-        if a and ("hidden" in a or (node.tag == "input" and a.get("type", "").lower() == "hidden")):
-            return False
+        if node.tag == "input" and a.get("type", "").lower() == "hidden":
+            return False, shown
         own = a["style"] if "style" in a else ""
-        if not self.styles and not (own and _HIDES.search(own)):
-            return True
+        if not self.styles and not own:
+            return "hidden" not in a, shown
         # Important words come first, then the element's own, those by id, class and tag, the last of each.
         said: dict[str, tuple] = {}
         names = [(0, node.tag)]
@@ -248,139 +270,169 @@ class Renderer:
                 said[what] = max(said.get(what, (False,)), (important, rank, place, shows))
         for place, (what, shows, important) in enumerate(_shows(own)):
             said[what] = max(said.get(what, (False,)), (important, 3, place, shows))
-        return all(x[-1] for x in said.values())
+        return said["display"][-1] if "display" in said else "hidden" not in a, said["visibility"][-1] if "visibility" in said else shown
 
-    def box(self, node: Node) -> list[str]:
+    def box(self, kids: list, shown: bool, level: int) -> list[str]:
+        """Lines of what stands side by side in one box."""
         page = Page()
-        self.flow(node, page)
+        self.flow(kids, shown, page, level)
         page.flush()
         return page.lines
 
-    def flow(self, node: Node, page: Page) -> None:
-        closed = node.tag == "details" and "open" not in node.attrs
-        for kid in node.kids:
-            if type(kid) is str:
-                if not closed:
-                    page.inline.append(kid)
-                continue
-            tag = kid.tag
-            if closed and tag != "summary" or not self.sees(kid):
-                continue
-            if tag == "br":
-                if not page.inline:
-                    page.put([""] if page.lines and page.lines[-1] else [])
-                page.flush()
-            elif tag == "wbr" or tag in VOID and tag != "hr":
-                continue
-            elif tag in BLOCK:
-                page.flush()
-                apart = tag in APART
-                if apart:
-                    page.gap = 1
-                if tag == "table":
-                    page.put(self.table(kid)) if kid.kids else None
-                elif tag in ("ul", "ol", "menu"):
-                    if lines := self.items(kid):
-                        page.put(lines)
-                elif tag == "pre":
-                    if lines := self.verbatim(kid):
-                        page.put(lines)
-                elif tag in ("blockquote", "dd"):
-                    if lines := self.box(kid):
-                        page.put(["  " + x if x else x for x in lines])
-                elif tag == "li":
-                    if lines := self.box(kid):
-                        page.put(["- " + lines[0], *("  " + x if x else x for x in lines[1:])])
-                else:
-                    self.flow(kid, page)
+    def flow(self, kids: list, shown: bool, page: Page, level: int) -> None:
+        """Put text on the page, element after element; `level` boxes lie around it."""
+        todo: list[tuple] = [(iter(kids), shown, None)]
+        while todo:
+            rest, shown, block = todo[-1]
+            kid = next(rest, None)
+            if kid is None:
+                todo.pop()
+                if block is not None:
                     page.flush()
-                if apart:
-                    page.gap = 1
-            elif tag in ("textarea", "xmp"):
-                page.flush()
-                page.put("".join(k for k in kid.kids if type(k) is str).strip("\n").split("\n"))
+                    page.gap = max(page.gap, block)
+            elif type(kid) is str:
+                if shown:
+                    page.inline.append(kid)
             else:
-                self.flow(kid, page)
+                self.element(kid, shown, page, level, todo)
 
-    def items(self, node: Node) -> list[str]:
+    def element(self, kid: Node, shown: bool, page: Page, level: int, todo: list[tuple]) -> None:
+        tag = kid.tag
+        placed, shown = self.looks(kid, shown)
+        if not placed:
+            return
+        kids = kid.kids
+        if tag == "details" and "open" not in kid.attrs:
+            kids = [x for x in kids if type(x) is Node and x.tag == "summary"]
+        if tag == "br":
+            if not page.inline:
+                page.put([""] if page.lines and page.lines[-1] else [])
+            page.flush()
+        elif tag in VOID and tag != "hr":
+            return
+        elif tag in BLOCK or level >= NESTED and tag in ("td", "th"):
+            page.flush()
+            apart = 1 if tag in APART else 0
+            page.gap = max(page.gap, apart)
+            lines = None
+            if tag == "pre":
+                lines = self.verbatim(kid, shown)
+            elif level >= NESTED:
+                pass
+            elif tag == "table":
+                lines = self.table(kid, shown, level + 1)
+            elif tag in ("ul", "ol", "menu"):
+                lines = self.items(kid, shown, level + 1)
+            elif tag in ("blockquote", "dd"):
+                lines = ["  " + x if x else x for x in self.box(kids, shown, level + 1)]
+            elif tag == "li":
+                lines = self.box(kids, shown, level + 1)
+                lines = lines and ["- " + lines[0], *("  " + x if x else x for x in lines[1:])]
+            if lines is None:
+                todo.append((iter(kids), shown, apart))
+                return
+            if lines:
+                page.put(lines)
+            page.gap = max(page.gap, apart)
+        elif tag in ("textarea", "xmp"):
+            page.flush()
+            if shown:
+                page.put("".join(k for k in kids if type(k) is str).strip("\n").split("\n"))
+        else:
+            todo.append((iter(kids), shown, None))
+
+    def items(self, node: Node, shown: bool, level: int) -> list[str]:
         start = node.attrs.get("start", "1").strip()
         number, out = int(start) if re.fullmatch(r"-?[0-9]{1,9}", start) else 1, []
-        loose = Node("div", {})
+        loose: list = []
         for kid in [*node.kids, None]:
+            mark = ""
             if type(kid) is Node and kid.tag == "li":
                 mark = f"{number}. " if node.tag == "ol" else "- "
             elif kid is not None:
-                loose.kids.append(kid)
+                loose.append(kid)
                 continue
-            if loose.kids:
-                out.extend("  " + x if x else x for x in self.box(loose))
-                loose = Node("div", {})
-            if kid is not None and self.sees(kid):
-                lines = self.box(kid) or [""]
+            if loose:
+                out.extend("  " + x if x else x for x in self.box(loose, shown, level))
+                loose = []
+            placed, seen = self.looks(kid, shown) if kid is not None else (False, False)
+            if placed:
+                lines = self.box(kid.kids, seen, level) or ([""] if seen else [])
                 pad = " " * len(mark)
-                out.append((mark + lines[0]).rstrip(" "))
-                out.extend(pad + x if x else x for x in lines[1:])
+                out.extend((mark + lines[0]).rstrip(" ") if k == 0 else pad + x if x else x for k, x in enumerate(lines))
                 number += 1
         return out
 
-    def verbatim(self, node: Node) -> list[str]:
+    def verbatim(self, node: Node, shown: bool) -> list[str] | None:
         parts: list[str] = []
-        todo = [node]
+        todo = [(x, shown) for x in reversed(node.kids)]
         while todo:
-            x = todo.pop()
+            x, shown = todo.pop()
             if type(x) is str:
-                parts.append(x)
-            elif x.tag == "br":
+                parts.append(x if shown else "")
+                continue
+            placed, shown = self.looks(x, shown)
+            if x.tag == "br":
                 parts.append("\n")
-            elif x is node or self.sees(x):
-                todo.extend(reversed(x.kids))
-        return "".join(parts).replace("\r\n", "\n").replace("\r", "\n").strip("\n").split("\n")
-
-    def table(self, node: Node) -> list[str]:
-        before, rows, after = [], [], []
-        loose = Node("div", {})
-        todo = list(reversed(node.kids))
+            elif placed:
+                todo.extend((y, shown) for y in reversed(x.kids))
+        text = "".join(parts).replace("\r\n", "\n").replace("\r", "\n").strip("\n")
+        return text.split("\n") if text else []
+
+    def table(self, node: Node, shown: bool, level: int) -> list[str]:
+        """Captions, then rows with cells in columns, then what stands outside cells."""
+        before: list[str] = []
+        rows: list[list[tuple[Node, bool]]] = []
+        loose: list = []
+        todo = [(x, shown) for x in reversed(node.kids)]
         while todo:
-            kid = todo.pop()
+            kid, shown = todo.pop()
             if type(kid) is str:
-                if kid.strip():
-                    loose.kids.append(kid)
-            elif not self.sees(kid):
+                if kid.strip() and shown:
+                    loose.append(kid)
+                continue
+            placed, seen = self.looks(kid, shown)
+            if not placed:
                 continue
-            elif kid.tag in ("thead", "tbody", "tfoot"):
-                todo.extend(reversed(kid.kids))
+            if kid.tag in ("thead", "tbody", "tfoot"):
+                todo.extend((x, seen) for x in reversed(kid.kids))
             elif kid.tag == "tr":
-                rows.append([c for c in kid.kids if type(c) is Node and c.tag in ("td", "th") and self.sees(c)])
-                loose.kids.extend(c for c in kid.kids if type(c) is Node and c.tag not in ("td", "th") or type(c) is str and c.strip())
+                cells = [(c, *self.looks(c, seen)) for c in kid.kids if type(c) is Node and c.tag in ("td", "th")]
+                rows.append([(c, s) for c, p, s in cells if p])
+                loose.extend(c for c in kid.kids if (type(c) is Node and c.tag not in ("td", "th")) or (type(c) is str and c.strip() and seen))
             elif kid.tag in ("td", "th"):
-                rows.append([kid])
+                rows.append([(kid, seen)])
             elif kid.tag == "caption":
-                before.extend(self.box(kid))
+                before.extend(self.box(kid.kids, seen, level))
             elif kid.tag not in ("col", "colgroup"):
-                loose.kids.append(kid)
-        if loose.kids:
-            after = self.box(loose)
-        cells = []
+                loose.append(kid)
+        after = self.box(loose, True, level) if loose else []
+        placed_cells = []
         width: dict[int, int] = {}
+        taken: dict[int, int] = {}
         for row in rows:
-            at, line = 0, []
-            for c in row:
-                span = c.attrs.get("colspan", "1").strip()
-                span = max(1, min(1000, int(span))) if span.isascii() and span.isdigit() else 1
-                lines = [x for x in self.box(c) if x] or [""]
+            at, line, fresh = 0, [], {}
+            for c, seen in row:
+                while taken.get(at):
+                    at += 1
+                span, deep = _span(c, "colspan", 1000), _span(c, "rowspan", 65534)
+                lines = [x for x in self.box(c.kids, seen, level) if x] or [""]
                 line.append((at, lines))
                 if span == 1:
                     width[at] = max(width.get(at, 0), max(map(len, lines)))
+                if deep > 1:
+                    fresh.update((k, deep - 1) for k in range(at, at + span))
                 at += span
-            cells.append(line)
-        columns = {at for line in cells for at, _ in line}
+            taken = {k: n - 1 for k, n in taken.items() if n > 1} | fresh
+            placed_cells.append(line)
+        columns = sorted({at for line in placed_cells for at, _ in line})
+        aligned = all(width.get(at, 0) <= ALIGNED for at in columns[:-1])
         left, run = {}, 0
-        for at in sorted(columns):
+        for at in columns:
             left[at] = run
-            w = width.get(at, 0)
-            run += (w if w <= ALIGNED else 0) + 2
+            run += width.get(at, 0) + 2 if aligned else 0
         out = []
-        for line in cells:
+        for line in placed_cells:
             for k in range(max((len(x) for _, x in line), default=0)):
                 text = ""
                 for at, lines in line:
@@ -390,12 +442,19 @@ class Renderer:
         return [*before, *out, *after]
 
 
+def _span(cell: Node, name: str, most: int) -> int:
+    """How many columns or rows a cell takes; 0 rows are all that follow."""
+    text = cell.attrs.get(name, "1").strip()
+    n = int(text[:6]) if text.isascii() and text.isdigit() else 1
+    return min(most, n) if n else (most if name == "rowspan" else 1)
+
+
 def render(source: str | None) -> str:
     """Visible text of one page; null and empty sources give an empty text."""
     if not source:
         return ""
     root, styles = parse(source)
-    lines = Renderer(_hidden_by_rules(styles)).box(root)
+    lines = Renderer(_hidden_by_rules(styles)).box(root.kids, True, 0)
     return "\n".join(lines).strip("\n")
 
 
@@ -404,7 +463,8 @@ def extract(pages: DataFrame, key: str = "page_id", source: str = "html", also:
 
     Nulls, empty pages and pages without visible text give an empty text;
     broken markup is read as far as it goes. Repeated rows each keep their
-    row. One pass, no shuffle; only the named columns are read.
+    row, null ids stay, and an empty table gives no rows; columns of other
+    names are not read. One pass, no shuffle; memory holds one page's tree.
     """
     chosen = pages.select(key, *also, F.col(source).alias("__html"))
     schema = pages.select(key, *also, F.lit("").alias("text")).schema
