@@ -1,11 +1,15 @@
 """Toxicity by weak supervision.
 
-Voters: words and word beginnings that mark toxic rows of a bounded labelled
-sample (a lexicon learnt from it), and patterns of writing. A generative model
-of the votes, fitted by expectation maximisation, estimates how often each
-voter fires on either class; voters whose votes go together within a class
-form one family, which votes once. Its posterior labels train a logistic
-regression over words, word beginnings and patterns, and that scores texts.
+Voters: words and word beginnings that mark toxic rows of a labelled sample (a
+lexicon chosen by those labels), and patterns of writing. A generative model,
+fitted to the votes alone, estimates how often each voter is right; voters
+whose votes go together within a class form one family, which votes once. Its
+posterior labels train a logistic regression over words, word beginnings and
+patterns, and that scores texts.
+
+Features are taken and counted in the executors. The driver sees counts of the
+most telling ones and which rows hold them, so the length of a text does not
+matter there.
 """
 
 from __future__ import annotations
@@ -18,12 +22,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import textnum
+from . import packed, textnum
 
-#: Bounds of the sample that the model is fitted on: rows of each class, bytes of one text, bytes of all texts.
+#: Bound of the sample that the model is fitted on: labelled rows of each class.
 SAMPLE_ROWS = 4000
-SAMPLE_TEXT = 32 << 10
-SAMPLE_BYTES = 48 << 20
 #: Lengths in bytes of the word beginnings that count as features besides the word.
 STEMS = (4, 5, 6, 8)
 #: Most lexicon voters, and most features of the classifier.
@@ -112,31 +114,47 @@ def _presence(found: _Found, raw: np.ndarray, off: np.ndarray) -> np.ndarray:
     return np.concatenate([np.zeros(0, np.int64), *_present(found, raw, off)])
 
 
-def _telling(raw: np.ndarray, off: np.ndarray, weight: np.ndarray, most: int, odds: float, cover: int) -> np.ndarray:
-    """Features whose share among documents of weight 1 is `odds` times that among the others.
+class Sample:
+    """The labelled rows as features and patterns: a table in the shared folder, its keys and patterns on the driver."""
+
+    def __init__(self, rows: DataFrame):
+        self.rows = packed.cut(rows)
+        got = self.rows.select("id", "y", "patterns").toArrow().sort_by([("id", "ascending"), ("y", "ascending")])
+        self.id, self.y = got.column("id").to_numpy(), got.column("y").to_numpy()
+        bits = got.column("patterns").to_numpy()
+        self.patterns = (bits[:, None] >> np.arange(_PATTERNS) & 1).astype(np.float32)
+        self.place = {key: k for k, key in enumerate(zip(self.id.tolist(), self.y.tolist()))}
+
+    def marked(self, weight: np.ndarray) -> DataFrame:
+        """(h, mark): every feature of every row, and whether the row's weight is above a half."""
+        marks = [(i, y, int(w > 0.5)) for i, y, w in zip(self.id.tolist(), self.y.tolist(), weight.tolist())]
+        marks = self.rows.sparkSession.createDataFrame(marks, "id long, y int, mark int")
+        return self.rows.join(F.broadcast(marks), ["id", "y"]).select("mark", F.explode("features").alias("h"))
+
+    def table(self, features: np.ndarray) -> np.ndarray:
+        """Rows by features: 1 where present."""
+        out = np.zeros((len(self.id), len(features)), np.float32)
+        if len(features):
+            asked = self.rows.sparkSession.createDataFrame([(int(h), k) for k, h in enumerate(features.view(np.int64))], "h long, k short")
+            held = self.rows.select("id", "y", F.explode("features").alias("h")).join(F.broadcast(asked), "h").groupBy("id", "y").agg(F.collect_list("k").alias("k"))
+            for i, y, k in (tuple(r) for r in held.collect()):
+                out[self.place[i, y], k] = 1
+        return out
+
+
+def _telling(sample: Sample, weight: np.ndarray, most: int, odds: float, cover: int) -> tuple[np.ndarray, np.ndarray]:
+    """Features whose share among rows of weight 1 is `odds` times that among the others, and which rows hold them.
 
     Of the most telling ones those stay that are needed to find each marked
-    document `cover` times, picked greedily: features that only repeat what
+    row `cover` times, picked greedily: features that only repeat what
     others say, or that a few copies of one document share, fall away.
     """
-    marked = np.flatnonzero(weight > 0.5)
-    pairs = []
-    for doc in marked:
-        pairs.append(np.unique(np.concatenate([h for _, h in _features(raw[off[doc] : off[doc + 1]], off[doc : doc + 2] - off[doc])] or [np.zeros(0, _U)])))
-    if not pairs:
-        return np.zeros(0, _U)
-    values, df = np.unique(np.concatenate(pairs), return_counts=True)
-    values, df = values[df >= 3], df[df >= 3]
-    found = _Found(values)
-    seen = np.zeros(len(values), np.int64)
-    for there in _present(found, raw, off) if len(values) else ():
-        seen += np.bincount(there % len(values), minlength=len(values))
-    other = seen - df
-    ratio = (df + 0.5) / (len(marked) + 1) / ((other + 0.5) / (len(weight) - len(marked) + 1))
-    worth = df * np.log(ratio)
-    keep = np.flatnonzero(ratio >= odds)
-    found = _Found(values[keep[np.lexsort((values[keep], -worth[keep]))][:most]])
-    held = _table(found, raw, off)
+    n, marked = len(weight), int((weight > 0.5).sum())
+    counts = sample.marked(weight).groupBy("h").agg(F.sum("mark").alias("df"), F.count(F.lit(1)).alias("n"))
+    ratio = (F.col("df") + 0.5) / (marked + 1) / ((F.col("n") - F.col("df") + 0.5) / (n - marked + 1))
+    best = counts.where("df >= 3").withColumn("ratio", ratio).where(F.col("ratio") >= odds).orderBy(F.desc(F.col("df") * F.log("ratio")), "h").limit(most)
+    features = np.sort(np.array([r["h"] for r in best.collect()], np.int64).view(_U))
+    held = sample.table(features)
     left = np.where(weight > 0.5, float(cover), 0.0)
     cost, chosen = held[weight <= 0.5].sum(0), []
     while len(chosen) < held.shape[1]:
@@ -147,16 +165,8 @@ def _telling(raw: np.ndarray, off: np.ndarray, weight: np.ndarray, most: int, od
             break
         chosen.append(best)
         left = np.maximum(left - held[:, best], 0)
-    return found.features[chosen]
-
-
-def _table(found: _Found, raw: np.ndarray, off: np.ndarray) -> np.ndarray:
-    """Documents by features: 1 where present."""
-    wide = max(1, len(found.features))
-    out = np.zeros((len(off) - 1, len(found.features)), np.float32)
-    there = _presence(found, raw, off)
-    out[there // wide, there % wide] = 1
-    return out
+    chosen.sort()
+    return features[chosen], held[:, chosen]
 
 
 def _families(votes: np.ndarray, post: np.ndarray) -> np.ndarray:
@@ -179,23 +189,25 @@ def _families(votes: np.ndarray, post: np.ndarray) -> np.ndarray:
         label = new
 
 
-def label_model(votes: np.ndarray, start: np.ndarray, rounds: int = 25) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Posterior of label 1, each family's accuracy, and the family of each voter.
+def label_model(votes: np.ndarray, lexicon: int, rounds: int = 1) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Posterior of label 1, each family's accuracy, and the family of each voter; no labels are given.
 
-    Expectation maximisation from `start`, what the sample's own labels say,
-    most of which the votes then outweigh. A voter that fires says label 1
-    and is right as often as its accuracy; one that does not abstains.
-    Silence of the whole lexicon is a voter of its own, whose accuracy is
-    learnt alike.
+    Expectation maximisation that starts from how many of the `lexicon` last
+    voters fire, so that a voter's accuracy is how far others agree with it;
+    further rounds feed on themselves and make every voter certain. A voter that fires says label 1 and is right as often as its
+    accuracy; one that does not abstains. A family fires if one of its voters
+    does. Silence of the whole lexicon is a voter of its own, the last one,
+    whose accuracy is learnt alike. To abstain says nothing, so toxic rows of
+    many kinds, each with voters of its own, stay one class.
     """
     votes = votes.astype(np.float64)
-    spoken = votes[:, _PATTERNS:].sum(1) > 0
-    post = np.clip(start, 0.01, 0.99)
+    spoken = votes[:, votes.shape[1] - lexicon :].sum(1)
+    post = np.clip(spoken / 3, 0.02, 0.98)
     family = _families(votes, post)
-    fired = np.zeros((len(votes), family.max() + 2 if len(family) else 1))
+    fired = np.zeros((len(votes), family.max(initial=-1) + 2))
     for j, f in enumerate(family):
         fired[:, f] = np.maximum(fired[:, f], votes[:, j])
-    fired[:, -1] = ~spoken
+    fired[:, -1] = spoken == 0
     accuracy = np.zeros(fired.shape[1])
     for _ in range(rounds):
         prior = np.clip(post.mean(), 0.01, 0.99)
@@ -203,7 +215,7 @@ def label_model(votes: np.ndarray, start: np.ndarray, rounds: int = 25) -> tuple
         base = np.log(prior / (1 - prior))
         say = np.log(accuracy / (1 - accuracy)) - base
         new = 1 / (1 + np.exp(-np.clip(base + fired @ say, -30, 30)))
-        if np.abs(new - post).max() < 1e-6:
+        if np.abs(new - post).max(initial=0) < 1e-6:
             break
         post = new
     return post, accuracy, family
@@ -261,47 +273,47 @@ class Model:
         return 1 / (1 + np.exp(-np.clip(total, -30, 30)))
 
 
-def train(texts: pa.ChunkedArray, toxic: np.ndarray) -> Model:
-    """Fit lexicon, label model and classifier on a sample held in memory."""
-    raw, off = textnum.buffers(texts)
-    if not len(toxic) or toxic.min() == toxic.max():
-        return Model(np.zeros(0, _U), np.zeros(0), np.zeros(_PATTERNS), 8.0 if len(toxic) and toxic.max() else -8.0, False)
-
-    patterns = _patterns(raw, off).astype(np.float32)
-    lexicon = _Found(_telling(raw, off, toxic.astype(float), VOTERS, 20.0, 3))
-    post, *_ = label_model(np.concatenate([patterns, _table(lexicon, raw, off)], 1), toxic.astype(float))
-    found = _Found(_telling(raw, off, post, FEATURES, 10.0, 6))
-    x = np.concatenate([patterns, _table(found, raw, off)], 1)
+def train(sample: Sample) -> Model:
+    """Lexicon, label model and classifier from the sample."""
+    y = sample.y
+    if not len(y) or y.min() == y.max():
+        return Model(np.zeros(0, _U), np.zeros(0), np.zeros(_PATTERNS), 8.0 if len(y) and y.max() else -8.0, False)
+    _, lexicon = _telling(sample, y.astype(float), VOTERS, 20.0, 3)
+    post, *_ = label_model(np.concatenate([sample.patterns, lexicon], 1), lexicon.shape[1])
+    if post.min() > 0.5 or post.max() <= 0.5:  # no voter tells the classes apart
+        post = y.astype(float)
+    features, held = _telling(sample, post, FEATURES, 10.0, 6)
+    x = np.concatenate([sample.patterns, held], 1)
     w = _regression(x, post)
     w[-1] -= _middle(x @ w[:-1] + w[-1], post > 0.5)
-    return Model(found.features, w[_PATTERNS:-1], w[:_PATTERNS], float(w[-1]))
+    return Model(features, w[_PATTERNS:-1], w[:_PATTERNS], float(w[-1]))
 
 
 def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "toxic", rows: int = SAMPLE_ROWS) -> Model:
-    """Fit on at most `rows` labelled rows of each class, chosen by a hash of their id.
+    """Fit on at most `rows` labelled ids of each class, chosen by a hash of the id; their texts count whole.
 
-    Labels other than 0 and 1, ids without a text row, texts of more than
-    SAMPLE_TEXT bytes and what exceeds half of SAMPLE_BYTES in a class, in the
-    order of the hash, are left out. Without rows of both classes the model
-    gives one score to all and is not `fitted`.
+    Labels other than 0 and 1 and ids without a document are left out; an id
+    with both labels has a row for each, and of the texts under one id the one
+    with the smallest hash counts. Columns of labels and documents may clash.
+    Without rows of both classes the model gives one score to all and is not
+    `fitted`.
     """
     asked = labels.select(F.col(key).alias("id"), F.col(label).cast("int").alias("y")).where("id is not null and y in (0, 1)").distinct()
     chosen = [asked.where(F.col("y") == y).orderBy(F.xxhash64("id"), "id").limit(rows) for y in (0, 1)]
-    sample = chosen[0].unionByName(chosen[1])
-    got = docs.select(F.col(key).alias("id"), F.col(text).alias("text")).join(F.broadcast(sample), "id").where(F.octet_length("text") <= SAMPLE_TEXT)
-    got = got.withColumn("h", F.xxhash64("id")).toArrow().sort_by([("y", "ascending"), ("h", "ascending"), ("id", "ascending")])
-    got = got.filter(pa.array(_fits(np.diff(textnum.buffers(got.column("text"))[1]), got.column("y").to_numpy())))
-    got = got.sort_by([("id", "ascending"), ("y", "ascending")])
-    return train(got.column("text"), got.column("y").to_numpy())
-
-
-def _fits(size: np.ndarray, y: np.ndarray) -> np.ndarray:
-    """Which texts of either class lie within its half of SAMPLE_BYTES, in the order given."""
-    keep = np.zeros(len(size), bool)
-    for k in (0, 1):
-        mine = np.flatnonzero(y == k)
-        keep[mine] = np.cumsum(size[mine]) <= SAMPLE_BYTES // 2
-    return keep
+    texts = docs.select(F.col(key).alias("id"), F.col(text).alias("text")).join(F.broadcast(chosen[0].unionByName(chosen[1])), "id")
+
+    def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            raw, off = textnum.buffers(batch.column(2))
+            for k in range(batch.num_rows):
+                part, own = raw[off[k] : off[k + 1]], off[k : k + 2] - off[k]
+                held = [np.unique(h) for _, h in _features(part, own)]
+                held = np.unique(np.concatenate(held)) if held else np.zeros(0, _U)
+                bits = int(_patterns(part, own)[0] @ (1 << np.arange(_PATTERNS)))
+                yield pa.record_batch([batch.column(0).slice(k, 1), batch.column(1).slice(k, 1), pa.array([bits], pa.int32()), pa.array([held.view(np.int64)], pa.list_(pa.int64()))], names=["id", "y", "patterns", "features"])
+
+    one = texts.select(F.col("id").cast("long").alias("id"), "y", "text").groupBy("id", "y").agg(F.min_by("text", F.xxhash64("text")).alias("text"))
+    return train(Sample(one.mapInArrow(features, "id long, y int, patterns int, features array<long>")))
 
 
 def score(docs: DataFrame, model: Model, key: str = "doc_id", text: str = "text", also: tuple[str, ...] = (), name: str = "toxicity") -> DataFrame:

@@ -182,3 +182,26 @@ def test_toxicity_edges(spark):
     assert toxicity.score(df.limit(0), model).count() == 0
 
 
+
+
+def test_label_model_finds_rates_and_families():
+    rng = np.random.default_rng(4)
+    n, on, off = 6000, [0.7, 0.5, 0.8, 0.4, 0.6, 0.3], [0.01, 0.05, 0.02, 0.1, 0.02, 0.01]
+    y = rng.random(n) < 0.15
+    votes = np.stack([rng.random(n) < np.where(y, a, b) for a, b in zip(on, off)], 1)
+    votes = np.concatenate([votes, votes[:, :1], votes[:, :1] ^ (rng.random((n, 1)) < 0.01)], 1)
+    post, accuracy, family = toxicity.label_model(votes, 8)
+    assert family[0] == family[6] == family[7] and len(set(family.tolist())) == 6
+    right = [0.15 * a / (0.15 * a + 0.85 * b) for a, b in zip(on, off)]
+    assert accuracy[family[1:6]] == pytest.approx(right[1:], abs=0.25) and accuracy[-1] < 0.05
+    assert np.argsort(accuracy[family[1:6]])[:2].tolist() == np.argsort(right[1:])[:2].tolist()
+    assert post[y].mean() > 0.8 and post[~y].mean() < 0.2
+
+
+def test_long_texts_count_whole(spark):
+    """Words that tell the classes apart stand at the very end of texts of 300,000 bytes."""
+    docs = [(k, " ".join(f"w{j % 997}" for j in range(60_000)) + (" scoundrel blighter rogue" if k % 3 == 0 else " end")) for k in range(24)]
+    df = spark.createDataFrame(docs, SCHEMA)
+    model = toxicity.fit(df, spark.createDataFrame([(k, int(k % 3 == 0), k) for k in range(18)], "doc_id long, toxic int, text long"))
+    got = {r.doc_id: r.toxicity >= 0.5 for r in toxicity.score(df, model).collect()}
+    assert got == {k: k % 3 == 0 for k in range(24)}

@@ -87,16 +87,15 @@ def test_stages_on_odd_tables(spark, folder):
         assert stage(spark, docs.drop("toxicity").limit(0), path).count() == 0
 
 
-def test_labels_of_one_kind_drop_nothing(spark, tmp_path, monkeypatch):
+def test_labels_of_one_kind_drop_nothing(spark, tmp_path):
     docs = spark.createDataFrame([(k, f"word{k} scoundrel text " * 20, "en", "s", 1) for k in range(40)], COLUMNS)
     schema = "doc_id long, quality int, toxic int"
     spark.createDataFrame([(k, 1, 1) for k in range(30)], schema).write.parquet(f"{tmp_path}/a/labels.parquet")
     spark.createDataFrame([(k, 1, 1) for k in range(30)] + [(1000 + k, 1, 0) for k in range(30)], schema).write.parquet(f"{tmp_path}/b/labels.parquet")
     assert corpus_pipeline.without_toxic(spark, docs, f"{tmp_path}/a").count() == 40
     assert corpus_pipeline.without_toxic(spark, docs, f"{tmp_path}/b").count() == 40
-    long = [(k, "blighter scoundrel rogue " * 20, "en", "s", 1) for k in range(30)] + [(k, "fair and kind words here " * 20, "en", "s", 1) for k in range(30, 60)]
+    long = [(k, "blighter scoundrel rogue " * 4000, "en", "s", 1) for k in range(30)] + [(k, "fair and kind words here " * 4000, "en", "s", 1) for k in range(30, 60)]
     spark.createDataFrame([(k, 1, int(k < 30)) for k in range(60)], schema).write.parquet(f"{tmp_path}/c/labels.parquet")
-    monkeypatch.setattr(corpus_pipeline.toxicity, "SAMPLE_BYTES", 10_000)
     kept = corpus_pipeline.without_toxic(spark, spark.createDataFrame(long, COLUMNS), f"{tmp_path}/c").collect()
     assert {r.doc_id for r in kept} == set(range(30, 60))
 
