@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import textnum
+from . import packed, textnum
 
 #: Canonical tokens in a window, and how many of them must be words rather than placeholders.
 WINDOW, LITERAL = 8, 4
@@ -31,8 +31,10 @@ FEW = 3
 COVER, SHARE = 13, 80
 #: Gaps of this many tokens do not end an alignment (a changed word, a merged or split number).
 GAP = 12
-#: Benchmark windows that one pass over the texts holds; more are met in several passes.
-INDEX_WINDOWS = 500_000
+#: Benchmarks up to this many words are held by every worker (about 80 bytes a word); larger ones meet the texts by key.
+INDEX_WORDS = 2_000_000
+#: Shared windows that are laid out at once; a text that shares more is met by some items at a time.
+HITS = 1_000_000
 
 # Words that are units when they follow a number.
 UNITS = """
@@ -184,23 +186,56 @@ class Groups:
         #: Items that a copy of themselves would match.
         self.whole = (np.bincount(items.doc[reached], minlength=len(self.size)) >= _need(self.size)) & (self.size >= 3)
 
-    def hits(self, text: Canonical | Plain) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Places in the texts and in the items at which a window is shared, and its length."""
-        out = [(np.zeros(0, np.int64),) * 3]
+    def hits(self, text: Canonical | Plain) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """Places in the texts and in the items at which a window is shared, and its length; all of an item's come together.
+
+        Runs of shared windows too short for any item are left out, so openings
+        that many items have in common cost little unless more follows.
+        """
         for n, keys, places in self.groups:
             h, at = text.windows(n, min(self.literal, n))
             if not len(keys) or not len(h):
                 continue
             lo = np.searchsorted(keys, h)
             hit = np.flatnonzero(keys[np.minimum(lo, len(keys) - 1)] == h)
-            count = np.searchsorted(keys, h[hit], "right") - lo[hit]
-            place = np.repeat(lo[hit] - (np.cumsum(count) - count), count) + np.arange(count.sum())
-            out.append((np.repeat(at[hit], count), places[place], np.full(count.sum(), n)))
-        return tuple(np.concatenate(x) for x in zip(*out))
+            own = self.items.doc[places]
+            hit = hit[_reaching(at[hit], n, int(_need(self.size[own]).min()))]
+            if not len(hit):
+                continue
+            lo, up, at = lo[hit], np.searchsorted(keys, h[hit], "right"), at[hit]
+            if (up - lo).sum() <= HITS:
+                yield _pairs(at, lo, up, places, n)
+                continue
+            # How often the texts hold each window of the benchmark tells how many hits an item has.
+            often = np.zeros(len(keys) + 1, np.int64)
+            np.add.at(often, lo, 1)
+            np.add.at(often, up, -1)
+            total = np.cumsum(np.bincount(own, np.cumsum(often)[:-1], len(self.size)))
+            turn = (total // HITS)[own]
+            for k in np.unique(turn):
+                some = np.concatenate([[0], np.cumsum(turn == k)])
+                yield _pairs(at, some[lo], some[up], places[turn == k], n)
+
+
+def _reaching(at: np.ndarray, n: int, need: int) -> np.ndarray:
+    """Which windows lie in runs that cover `need` tokens at least, whatever the item; gaps as in an alignment."""
+    order = np.argsort(at, kind="stable")
+    step = np.diff(at[order], prepend=at[order][:1] - (1 << 40))
+    run = np.cumsum(step > GAP + WINDOW) - 1
+    covered = np.bincount(run, np.minimum(step, n)) if len(at) else np.zeros(0)
+    out = np.zeros(len(at), bool)
+    out[order] = covered[run] >= need
+    return out
+
+
+def _pairs(at: np.ndarray, lo: np.ndarray, up: np.ndarray, places: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    count = up - lo
+    place = np.repeat(lo - (np.cumsum(count) - count), count) + np.arange(count.sum())
+    return np.repeat(at, count), places[place], np.full(len(place), n)
 
 
 class Index:
-    """Windows of a slice of the benchmark: of most items those with enough words, of the others what there is.
+    """Windows of benchmark items: of most items those with enough words, of the others what there is.
 
     Items that would not match a copy of themselves are met by windows of FEW
     words, and word by word as they stand.
@@ -246,23 +281,27 @@ def _consistent(text: Canonical, items: Canonical, pairs: list[tuple[int, int]],
 
 def _aligned(text: Canonical | Plain, index: Groups) -> Iterator[tuple[int, int, int, list[tuple[int, int]]]]:
     """(document, item, tokens covered, places in both) of each alignment that covers enough."""
-    a, b, n = index.hits(text)
-    if not len(a):
-        return
-    doc, item = text.doc[a], index.items.doc[b]
-    diagonal = (a - text.first[doc]) - (b - index.items.first[item])
-    order = np.lexsort((a, diagonal, item, doc))
-    a, b, n, doc, item, diagonal = (x[order] for x in (a, b, n, doc, item, diagonal))
-    near = (doc[1:] == doc[:-1]) & (item[1:] == item[:-1]) & (np.abs(diagonal[1:] - diagonal[:-1]) <= 3)
-    cut = np.concatenate([[0], np.flatnonzero(~near) + 1, [len(a)]])
-    for lo, hi in zip(cut[:-1], cut[1:]):
-        by = np.argsort(a[lo:hi], kind="stable") + lo
-        far = np.flatnonzero(np.diff(a[by]) > GAP + WINDOW) + 1
-        for run in np.split(by, far):
-            pairs = sorted({(int(x) + k, int(y) + k) for x, y, m in zip(a[run], b[run], n[run]) for k in range(m)})
-            covered = len({y for _, y in pairs})
-            if covered >= _need(int(index.size[item[lo]])):
-                yield int(doc[lo]), int(item[lo]), covered, pairs
+    for a, b, n in index.hits(text):
+        doc, item = text.doc[a], index.items.doc[b]
+        diagonal = (a - text.first[doc]) - (b - index.items.first[item])
+        order = np.lexsort((a, diagonal, item, doc))
+        a, b, n, doc, item, diagonal = (x[order] for x in (a, b, n, doc, item, diagonal))
+        same = (doc[1:] == doc[:-1]) & (item[1:] == item[:-1])
+        near = same & (np.abs(diagonal[1:] - diagonal[:-1]) <= 3)
+        cut = np.concatenate([[0], np.flatnonzero(~near) + 1, [len(a)]])
+        # What neighbouring diagonals cover one by one bounds what they cover together.
+        fresh = n.copy()
+        line = same & (diagonal[1:] == diagonal[:-1])
+        fresh[1:][line] = np.minimum(n[1:], a[1:] - a[:-1])[line]
+        enough = np.add.reduceat(fresh, cut[:-1]) >= _need(index.size[item[cut[:-1]]]) if len(a) else np.zeros(0, bool)
+        for lo, hi in zip(cut[:-1][enough].tolist(), cut[1:][enough].tolist()):
+            by = np.argsort(a[lo:hi], kind="stable") + lo
+            far = np.flatnonzero(np.diff(a[by]) > GAP + WINDOW) + 1
+            for run in np.split(by, far):
+                pairs = sorted({(int(x) + k, int(y) + k) for x, y, m in zip(a[run], b[run], n[run]) for k in range(m)})
+                covered = len({y for _, y in pairs})
+                if covered >= _need(int(index.size[item[lo]])):
+                    yield int(doc[lo]), int(item[lo]), covered, pairs
 
 
 def _alignments(text: Canonical, index: Index) -> Iterator[tuple[int, int, int, int, int, int, int, int]]:
@@ -299,32 +338,110 @@ _SCHEMA = "doc_id long, item_id long, n_covered long, n_item long, first_char lo
 _TYPES = [(f.split()[0], pa.int64()) for f in _SCHEMA.split(", ")]
 
 
-def _slices(benchmark: DataFrame, item: str, text: str) -> Iterator[Index]:
-    """The benchmark in slices of bounded size, ordered by id."""
-    rows = benchmark.select(F.col(item).cast("long").alias("item_id"), F.col(text).alias("text")).where("item_id is not null and text is not null").orderBy("item_id", "text")
-    ids, texts, size = [], [], 0
-    for row in rows.toLocalIterator():
-        ids.append(row["item_id"])
-        texts.append(row["text"])
-        size += len(row["text"].split())
-        if size >= INDEX_WINDOWS:
-            yield Index(ids, texts)
-            ids, texts, size = [], [], 0
-    if ids:
-        yield Index(ids, texts)
+def _small(items: DataFrame) -> Index | None:
+    """The index of a benchmark of at most INDEX_WORDS words (counted before anything is fetched), else nothing."""
+    words = items.agg(F.sum(F.size(F.split("text", r"\s+")))).first()[0] or 0
+    if words > INDEX_WORDS:
+        return None
+    rows = items.orderBy("item_id", "text").collect()
+    return Index([r["item_id"] for r in rows], [r["text"] for r in rows])
 
 
-def _leaks(column: pa.Array, index: Index) -> Iterator[tuple[int, ...]]:
-    """(place of the text, item, tokens covered, item length, first, last byte, slots changed, at odds)."""
-    raw, off = textnum.buffers(column)
+def _kinds(index: Index) -> list[tuple[int, np.ndarray, np.ndarray]]:
+    """(tag, windows, items) of an index: what texts must hold of canonical (even tags) and plain windows (odd tags)."""
+    out = []
+    for group in (index.most, index.few, index.plain):
+        for n, keys, places in group.groups:
+            out.append((2 * n + (group is index.plain), keys, group.items.doc[places]))
+    return out
+
+
+def _tagged(h: np.ndarray, tag: int) -> np.ndarray:
+    return textnum.mix(h + _U(tag) * textnum._STEP)
+
+
+def _by_key(source: DataFrame, items: DataFrame) -> DataFrame:
+    """Rows of `matches` where the benchmark is large: windows meet in buckets, and each block of texts gets the items it shares one with.
+
+    A block tells every bucket each of its windows once, however often it
+    stands there; a bucket answers with the items that hold one of them, each
+    once. Nothing is broadcast, and the texts are read from one exchange.
+    """
+    items = packed.cut(items.withColumn("row", F.monotonically_increasing_id()))
+    by = packed.deal(source, "text")
+    parts = packed.blocks(source, "id", "text", by)
+
+    def held(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = batch.column(0).to_numpy()
+            found = [(tag, _tagged(keys, tag), rows[own]) for tag, keys, own in _kinds(Index(rows.tolist(), batch.column(1).to_pylist()))]
+            for tag, keys, own in found:
+                out = packed.send(tag, keys, by.buckets, items=own)
+                yield pa.record_batch([pa.array(out["block"], pa.int32()), pa.array(out["bucket"], pa.int32()), pa.array(out["keys"], pa.binary()), pa.array(out["items"], pa.binary())], names=["tag", "bucket", "keys", "items"])
+
+    bench = packed.cut(items.select("row", "text").mapInArrow(held, "tag int, bucket int, keys binary, items binary"))
+    tags = sorted(r["tag"] for r in bench.select("tag").distinct().collect())
+
+    def emit(group: tuple, table: pa.Table) -> pa.Table:
+        raw, off = textnum.buffers(table.column("text"))
+        every = [np.zeros(0, _U)]
+        for lo, hi in _cuts(off):
+            canon = Canonical(raw[off[lo] : off[hi]], off[lo : hi + 1] - off[lo])
+            plain = Plain(canon) if any(t % 2 for t in tags) else None
+            every += [np.unique(_tagged((plain if t % 2 else canon).windows(t // 2, min(FEW, t // 2))[0], t)) for t in tags]
+        return pa.table(packed.send(group[0].as_py(), np.unique(np.concatenate(every)), by.buckets), sent_as)
+
+    def answer(asked: pa.Table, bench: pa.Table) -> pa.Table:
+        keys, rows = packed.gathered(bench, "keys", _U), packed.gathered(bench, "items", np.int64)
+        order = np.argsort(keys, kind="stable")
+        keys, rows = keys[order], rows[order]
+        out: dict[str, list] = {"to": [], "row": []}
+        for block, sent in zip(asked.column("block").to_pylist(), asked.column("keys").to_pylist()):
+            h = np.frombuffer(sent, _U)
+            lo, up = np.searchsorted(keys, h), np.searchsorted(keys, h, "right")
+            some = np.unique(_pairs(np.zeros(len(h), np.int64), lo, up, rows, 0)[1])
+            if len(some):
+                out["to"].append(block)
+                out["row"].append(some)
+        return pa.table(out, pa.schema([("to", pa.int32()), ("row", pa.list_(pa.int64()))]))
+
+    def find(texts: pa.Table, mine: pa.Table) -> pa.Table:
+        rows: list[tuple] = []
+        if texts.num_rows and mine.num_rows:
+            mine = mine.combine_chunks().sort_by([("item_id", "ascending"), ("text", "ascending")])
+            ids = texts.column("id").to_pylist()
+            rows = [(ids[k], *rest) for k, *rest in _leaks(texts.column("text"), Index(mine.column("item_id").to_pylist(), mine.column("text").to_pylist()))]
+        cols = list(zip(*rows)) or [()] * len(_TYPES)
+        return pa.table({n: pa.array(c, t) for c, (n, t) in zip(cols, _TYPES)})
+
+    sent_as = pa.schema([("block", pa.int32()), ("bucket", pa.int32()), ("keys", pa.binary())])
+    sent = parts.groupBy("block").applyInArrow(emit, "block int, bucket int, keys binary").repartition(by.tasks, "bucket")
+    pairs = sent.groupBy("bucket").cogroup(bench.groupBy("bucket")).applyInArrow(answer, "to int, row array<long>")
+    wanted = pairs.select("to", F.explode("row").alias("row")).distinct().join(items, "row").select(F.col("to").alias("block"), "item_id", "text")
+    return parts.groupBy("block").cogroup(wanted.groupBy("block")).applyInArrow(find, _SCHEMA)
+
+
+def _cuts(off: np.ndarray) -> Iterator[tuple[int, int]]:
+    """Runs of texts of about CHUNK bytes."""
     at = 0
     while at < len(off) - 1:
         to = max(at + 1, int(np.searchsorted(off, off[at] + textnum.CHUNK, "right")) - 1)
+        yield at, to
+        at = to
+
+
+def _leaks(column: pa.Array, index: Index) -> Iterator[tuple[int, ...]]:
+    """(place of the text, item, tokens covered, item length, first, last byte, slots changed, at odds)."""
+    raw, off = textnum.buffers(column)
+    for at, to in _cuts(off):
         canon = Canonical(raw[off[at] : off[to]], off[at : to + 1] - off[at])
         for doc, own, covered, size, lo, hi, changed, odds in _alignments(canon, index):
             shift = off[at] - off[at + doc]
             yield at + doc, index.ids[own], covered, size, int(lo + shift), int(hi + shift), changed, odds
-        at = to
+
+
+def _items(benchmark: DataFrame, item: str, text: str) -> DataFrame:
+    return benchmark.select(F.col(item).cast("long").alias("item_id"), F.col(text).alias("text")).where("item_id is not null and text is not null")
 
 
 def matches(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", item: str = "item_id", item_text: str = "text") -> DataFrame:
@@ -342,44 +459,51 @@ def matches(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: st
     none contradicts another, and where they stand word by word (n_covered
     and n_item then count words). Null or empty texts and items match
     nothing, as do items of fewer than three words. Repeated rows each
-    give their own matches. A null document id stays null; null item ids are
-    left out. Empty tables give no rows; other columns are not read.
-
-    Texts are not shuffled: the benchmark is met in slices of at most
-    INDEX_WINDOWS windows, one pass over the texts for each.
+    give their own matches, and so do repeated items. A null document id stays
+    null; null item ids are left out. Empty tables give no rows; other columns
+    are not read.
+
+    A benchmark of at most INDEX_WORDS words is held by every worker, texts
+    are read once and not shuffled; a larger one meets them by key, with the
+    same rows. Windows are shared on 64-bit hashes; an alignment rests on
+    several of them and its slots are compared as they stand.
     """
     source = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
-    spark = docs.sparkSession
-    found = None
-    for index in _slices(benchmark, item, item_text):
-        shared = spark.sparkContext.broadcast(index)
+    items = _items(benchmark, item, item_text)
+    index = _small(items)
+    if index is None:
+        return _by_key(source, items)
+    shared = docs.sparkSession.sparkContext.broadcast(index)
 
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                ids = batch.column(0).to_pylist()
-                rows = [(ids[doc], *rest) for doc, *rest in _leaks(batch.column(1), shared.value)]
-                cols = list(zip(*rows)) or [()] * len(_TYPES)
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, (_, t) in zip(cols, _TYPES)], names=[n for n, _ in _TYPES])
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids = batch.column(0).to_pylist()
+            rows = [(ids[doc], *rest) for doc, *rest in _leaks(batch.column(1), shared.value)]
+            cols = list(zip(*rows)) or [()] * len(_TYPES)
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, (_, t) in zip(cols, _TYPES)], names=[n for n, _ in _TYPES])
 
-        part = source.mapInArrow(run, _SCHEMA)
-        found = part if found is None else found.unionByName(part)
-    return spark.createDataFrame([], _SCHEMA) if found is None else found
+    return source.mapInArrow(run, _SCHEMA)
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, text: str = "text", item: str = "item_id", item_text: str = "text") -> DataFrame:
     """The rows of docs, all columns, whose text holds no benchmark item as `matches` finds them.
 
-    Rows without text stay. Nothing is shuffled.
+    Rows without text stay, as do all rows if the benchmark is empty. With a
+    benchmark of at most INDEX_WORDS words nothing is shuffled.
     """
+    items = _items(benchmark, item, item_text)
+    index = _small(items)
+    if index is None:
+        rows = packed.cut(docs.withColumn("__row", F.monotonically_increasing_id()))
+        found = _by_key(rows.select(F.col("__row").alias("id"), F.col(text).alias("text")), items).select(F.col("doc_id").alias("__found")).distinct()
+        return rows.join(found, F.col("__row") == F.col("__found"), "left_anti").drop("__row")
     place = docs.columns.index(text)
-    for index in _slices(benchmark, item, item_text):
-        shared = docs.sparkSession.sparkContext.broadcast(index)
+    shared = docs.sparkSession.sparkContext.broadcast(index)
 
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                keep = np.ones(batch.num_rows, bool)
-                keep[[doc for doc, *_ in _leaks(batch.column(place), shared.value)]] = False
-                yield batch.filter(pa.array(keep))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = np.ones(batch.num_rows, bool)
+            keep[[doc for doc, *_ in _leaks(batch.column(place), shared.value)]] = False
+            yield batch.filter(pa.array(keep))
 
-        docs = docs.mapInArrow(run, docs.schema)
-    return docs
+    return docs.mapInArrow(run, docs.schema)

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import random
 import re
+import time
 
 import pytest
 
@@ -180,10 +181,83 @@ def test_leaks_of_items_with_few_words(spark):
     assert {k: got[k] for k in got if k[0] != k[1]} == {(7, 0): 2, (8, 1): 1, (11, 6): 1}
 
 
-def test_leaks_in_slices(spark, monkeypatch):
-    monkeypatch.setattr(decontam, "INDEX_WINDOWS", 5)
-    docs, bench = spark.createDataFrame([(k, t) for k, t in ITEMS[:2]], SCHEMA), spark.createDataFrame(ITEMS, "item_id long, text string")
-    assert {(r.doc_id, r.item_id) for r in decontam.matches(docs, bench).collect()} == {(1, 1), (2, 2)}
+def leak_tables(spark):
+    """Random texts, some with items whole, changed in slots, cut or in part, hot openings, odd rows."""
+    rng = random.Random(11)
+    vocabulary = ["".join(rng.choice("abcdeimnorst") for _ in range(rng.randrange(3, 8))) for _ in range(400)]
+    opening = "the following question is taken from an old book of"
+    items = []
+    for k in range(60):
+        words = [rng.choice([*vocabulary, *vocabulary, *vocabulary, str(rng.randrange(99)), rng.choice(vocabulary).title()]) for _ in range(rng.choice([3, 5, 9, 20, 40]))]
+        items.append((k, (opening + " " if k % 3 == 0 else "") + " ".join(words)))
+    items += [(60, None), (None, "some words that have no number at all"), (61, ""), (5, items[5][1]), (62, "What is 15 % of 80?")]
+    docs = []
+    for d in range(80):
+        words = [rng.choice(vocabulary) for _ in range(rng.choice([0, 30, 200]))]
+        for _ in range(rng.choice([0, 1, 2])):
+            text = rng.choice([t for _, t in items if t])
+            if rng.random() < 0.5:
+                text = re.sub(r"[0-9]+", lambda m: str(int(m[0]) + 3), text)
+            words[len(words) // 2 : len(words) // 2] = text.split()[rng.choice([0, 0, 3]) :]
+        docs.append((d, " ".join(words), d))
+    docs += [(1, docs[1][1], 0), (None, items[20][1], 0), (100, None, 0), (101, "", 0), (102, (opening + " x y z ") * 50 + " ".join(vocabulary), 0)]
+    return spark.createDataFrame(docs, SCHEMA + ", item_id long"), spark.createDataFrame(items, "item_id long, text string"), docs, items
+
+
+def test_leaks_by_key_and_in_parts_are_the_same(spark, monkeypatch):
+    docs, bench, _, _ = leak_tables(spark)
+    want = sorted(map(str, decontam.matches(docs, bench).collect()))
+    kept = sorted(map(str, decontam.clean(docs, bench).collect()))
+    assert len(want) > 40 and kept
+    monkeypatch.setattr(decontam, "INDEX_WORDS", 5)
+    assert sorted(map(str, decontam.matches(docs, bench).collect())) == want
+    assert sorted(map(str, decontam.clean(docs, bench).collect())) == kept
+    assert decontam.matches(docs.limit(0), bench).count() == 0
+
+
+def test_leaks_match_brute_force(spark, monkeypatch):
+    """Every pair of a text and an item by itself, word by word: copies and texts that share nothing."""
+    docs, bench, rows, items = leak_tables(spark)
+    got = {(r.doc_id, r.item_id) for r in decontam.matches(docs, bench).collect()}
+    assert len(got) > 40
+    for d, text, _ in rows:
+        own = " " + " ".join(re.findall(r"[a-z0-9]+", (text or "").lower())) + " "
+        for k, t in items:
+            words = re.findall(r"[a-z0-9]+", (t or "").lower())
+            if k is not None and len(words) >= 3 and " " + " ".join(words) + " " in own:
+                assert (d, k) in got, (d, k, t)
+            shared = sum(" " + w + " " in own for w in words)
+            if k is not None and shared < min(10, len(words) * 0.6):
+                assert (d, k) not in got, (d, k, t)
+
+
+def test_hits_in_turns_give_the_same(monkeypatch):
+    rng = random.Random(3)
+    opening = "each of the many questions that follow here"
+    items = [f"{opening} " + " ".join(f"w{rng.randrange(300)}" for _ in range(12)) for _ in range(300)]
+    text = " ".join(f"{opening} " + " ".join(f"w{rng.randrange(300)}" for _ in range(6)) for _ in range(60)) + " " + items[7] + " and " + items[250]
+    index, column = decontam.Index(list(range(300)), items), decontam.pa.array([text, items[3], None, ""])
+    want = sorted(decontam._leaks(column, index))
+    assert {(d, k) for d, k, *_ in want} >= {(0, 7), (0, 250), (1, 3)}
+    monkeypatch.setattr(decontam, "HITS", 50)
+    assert sorted(decontam._leaks(column, index)) == want
+
+
+def test_hot_openings_take_no_time():
+    opening = "one two three four five six seven eight nine"
+    items = [f"{opening} " + " ".join(f"i{k}x{j}" for j in range(12)) for k in range(4000)]
+    index = decontam.Index(list(range(4000)), items)
+    text = " ".join(f"{opening} " + " ".join(f"t{k}y{j}" for j in range(14)) for k in range(400))
+    start = time.time()
+    assert list(decontam._leaks(decontam.pa.array([text]), index)) == []
+    assert time.time() - start < 5
+
+
+def test_leaks_in_very_long_texts(spark):
+    item = ITEMS[0][1]
+    rows = [(1, "filler " * 200_000 + item), (2, "word" * 300_000), (3, ("9 " * 100_000) + "Anna " * 50_000)]
+    got = {(r.doc_id, r.item_id) for r in decontam.matches(spark.createDataFrame(rows, SCHEMA), spark.createDataFrame(ITEMS, "item_id long, text string")).collect()}
+    assert got == {(1, 1)}
 
 
 @pytest.mark.parametrize(
