@@ -59,15 +59,24 @@ def _words(text: Column) -> Column:
     return F.array_remove(F.split(F.translate(F.coalesce(text, F.lit("")), ascii_uppercase, ascii_lowercase), BETWEEN), "")
 
 
+_GRAM = [f"w{k}" for k in range(GRAM)]
+
+
 def template_grams(spark: SparkSession, templates: tuple[Template, ...]) -> DataFrame:
-    """(t, place, gram, grams): the k-grams of every template; as small as the list of templates."""
+    """(t, place, grams, w0, w1, ...): the k-grams of every template; as small as the list of templates."""
     rows = []
     for t, x in enumerate(templates):
         w = x.text.split()
         if len(w) < GRAM:
             raise ValueError(f"a template needs {GRAM} words: {x.text}")
-        rows += [(t, k, " ".join(w[k : k + GRAM]), len(w) - GRAM + 1) for k in range(len(w) - GRAM + 1)]
-    return spark.createDataFrame(rows, "t int, place int, gram string, grams int")
+        rows += [(t, k, len(w) - GRAM + 1, *w[k : k + GRAM]) for k in range(len(w) - GRAM + 1)]
+    return spark.createDataFrame(rows, "t int, place int, grams int, " + ", ".join(f"{g} string" for g in _GRAM))
+
+
+def _rolled(words: Column) -> Column:
+    """The k-grams that begin at each word, as structs; the last ones lack words."""
+    after = [F.slice(words, k + 1, F.greatest(F.size(words) - k, F.lit(0))) for k in range(1, GRAM)]
+    return F.arrays_zip(*(x.alias(g) for x, g in zip((words, *after), _GRAM)))
 
 
 def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", templates: tuple[Template, ...] = TEMPLATES) -> DataFrame:
@@ -78,11 +87,9 @@ def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", templates: t
     least SHARE; whole spans have all the words in a row.
     """
     words = docs.select(F.col(key), F.xxhash64(text).alias("print"), _words(F.col(text)).alias("w"))
-    n = F.size("w") - GRAM + 1
-    gram = lambda i: F.concat_ws(" ", *(F.col("w")[i + k] for k in range(GRAM)))
-    rolled = words.select(key, "print", F.posexplode(F.when(n > 0, F.transform(F.sequence(F.lit(0), n - 1), gram))).alias("at", "gram"))
-    hashed = rolled.withColumn("h", F.xxhash64("gram"))
-    places = template_grams(docs.sparkSession, templates).select(F.xxhash64("gram").alias("th"), F.col("gram").alias("tg"), "t", "place", "grams")
+    rolled = words.select(key, "print", F.posexplode(_rolled(F.col("w"))).alias("at", "gram")).where(F.col("gram")[_GRAM[-1]].isNotNull())
+    hashed = rolled.select(key, "print", "at", "gram", F.xxhash64(*(F.col("gram")[g] for g in _GRAM)).alias("h"))
+    places = template_grams(docs.sparkSession, templates).select(F.xxhash64(*_GRAM).alias("th"), F.struct(*_GRAM).alias("tg"), "t", "place", "grams")
     hits = hashed.join(F.broadcast(places), (F.col("h") == F.col("th")) & (F.col("gram") == F.col("tg")))
     votes = hits.groupBy(key, "print", "t", "grams", (F.col("at") - F.col("place")).alias("diagonal"), "at").agg(F.lit(1).alias("one"))
     lines = votes.groupBy(key, "print", "t", "grams", "diagonal").agg(F.count(F.lit(1)).alias("n"), F.min("at").alias("first"), F.max("at").alias("last"), F.collect_list(F.struct("at", (F.col("diagonal") - F.col("at")).alias("back"))).alias("votes"))

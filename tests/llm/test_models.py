@@ -70,6 +70,7 @@ def test_packing_edges(spark):
 @pytest.mark.parametrize("scale", [1.0, 300.0, 1e5])
 def test_search_matches_brute_force(spark, monkeypatch, scale):
     monkeypatch.setattr(maxscore, "SHARD", 100)
+    monkeypatch.setattr(maxscore, "LEAST", 50)
     monkeypatch.setattr(maxscore, "BLOCK", 7)
     rng = np.random.default_rng(2)
     x = rng.normal(size=(400, 24)) * scale
@@ -85,6 +86,18 @@ def test_search_matches_brute_force(spark, monkeypatch, scale):
     assert {tuple(r) for r in got} == want
 
 
+def test_bars_only_save_work():
+    rng = np.random.default_rng(8)
+    rows, queries = rng.integers(-50, 50, (2000, 16)), rng.integers(-50, 50, (9, 16))
+    ids, own = np.arange(2000), np.arange(9)
+    want = maxscore.search(ids, rows, own, queries, 5)
+    worst = np.array([min(s for q, s in zip(want[0], want[2]) if q == k) for k in own])
+    assert maxscore.search(ids, rows, own, queries, 5, worst) == want
+    none = np.where(own % 2, worst, -(1 << 63))
+    assert maxscore.search(ids, rows, own, queries, 5, none) == want
+    assert maxscore.search(ids, rows, own, queries, 5, worst + 1)[2] == [s for q, s in zip(want[0], want[2]) if s > worst[q]]
+
+
 def test_search_edges(spark):
     rows = [(0, [1.0, 2.0], 9), (0, [1.0, 2.0], 9), (1, None, 9), (2, [1.0, None], 9), (3, [float("nan"), 1.0], 9), (4, [float("inf"), 1.0], 9), (5, [], 9), (6, [3.0], 9), (None, [1.0, 1.0], 9)]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, score long")
