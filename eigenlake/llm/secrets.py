@@ -13,13 +13,15 @@ import re._constants as sre
 import re._parser as regex_parser
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .packed import cut
 
 #: Candidates, or secrets to cut out, up to this many are broadcast (24 bytes each); more are joined by a shuffle.
 BROADCAST_ROWS = 1_000_000
+#: Matches of a text whose places are summed up together; sums of such runs are added in turn.
+RUN = 256
 #: Character classes up to this size count as alternatives when queries are derived.
 CLASS = 8
 
@@ -140,20 +142,31 @@ def _matches(text: Column, rule: Rule) -> Column:
     )
 
 
-def _placed(found: DataFrame, key: str) -> DataFrame:
-    """(key, print, kind, start, end) from rows (key, print, m) of `_matches`."""
-    each = found.select(key, "print", "m.kind", "m.least", F.posexplode(F.arrays_zip(F.slice("m.gaps", 1, F.size("m.sizes")).alias("gap"), F.col("m.sizes").alias("size"), F.col("m.groups").alias("part"))).alias("k", "x"))
-    before = Window.partitionBy(key, "print", "kind").orderBy("k")
-    end = F.sum(F.col("x.gap") + F.col("x.size")).over(before)
-    return each.select(key, "print", "kind", (end - F.col("x.size")).alias("start"), end.alias("end"), (F.col("x.part") >= F.col("least")).alias("good")).where("good").drop("good")
+def _placed(m: Column) -> Column:
+    """The places (start, end) of the good matches in what `_matches` gives, within the row.
 
+    Running sums over runs of RUN matches, then over the runs, so that a text
+    with very many matches costs little more than its matches.
+    """
+    matches = F.arrays_zip(F.slice(m["gaps"], 1, F.size(m["sizes"])).alias("gap"), m["sizes"].alias("size"), m["groups"].alias("part"))
+    none = F.array().cast("array<struct<start:bigint,end:bigint,good:boolean>>")
+    start = F.struct(F.lit(0).cast("bigint").alias("at"), none.alias("out"))
 
-def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", rules: tuple[Rule, ...] = RULES) -> DataFrame:
-    """(key, print, kind, start, end): every secret, in code points, end exclusive.
+    def add(acc: Column, x: Column) -> Column:
+        to = acc["at"] + x["gap"] + x["size"]
+        return F.struct(to.alias("at"), F.concat(acc["out"], F.array(F.struct((to - x["size"]).alias("start"), to.alias("end"), (x["part"] >= m["least"]).alias("good")))).alias("out"))
 
-    `print` is a hash of the text, so rows that share an id stay apart, and
-    rows that repeat both give their secrets once.
-    """
+    def join(acc: Column, run: Column) -> Column:
+        good = F.transform(F.filter(run["out"], lambda x: x["good"]), lambda x: F.struct((x["start"] + acc["at"]).alias("start"), (x["end"] + acc["at"]).alias("end"), x["good"].alias("good")))
+        return F.struct((acc["at"] + run["at"]).alias("at"), F.concat(acc["out"], good).alias("out"))
+
+    n = F.ceil(F.size(m["sizes"]) / RUN).cast("int")
+    runs = F.transform(F.sequence(F.lit(0), n - 1), lambda k: F.aggregate(F.slice(matches, k * RUN + 1, F.lit(RUN)), start, add))
+    return F.when(n > 0, F.aggregate(runs, start, join)["out"]).otherwise(none)
+
+
+def _found(docs: DataFrame, key: str, text: str, rules: tuple[Rule, ...]) -> DataFrame:
+    """(key, print, secrets) of the texts that hold secrets: structs (start, rank, kind, end) in text order."""
     queries = {r.kind: trigram_query(r.pattern) for r in rules}
     asked = {k: q for k, q in queries.items() if q}
     trigrams = sorted({t for q in asked.values() for part in q for option in part for t in option})
@@ -172,7 +185,20 @@ def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", rules: tuple
         per_rule = F.array_compact(F.array(*(F.when(F.array_contains("kinds", r.kind), _matches(F.col("text"), r)) for r in rules if r.kind in asked)))
         part = fetched.select(key, "print", F.explode(per_rule).alias("m"))
         found = part if found is None else found.unionByName(part)
-    return _placed(found.dropDuplicates([key, "print", "m"]), key)
+    rank = F.array_position(F.array(*(F.lit(r.kind) for r in rules)), F.col("m.kind")).cast("int")
+    each = found.select(key, "print", rank.alias("rank"), F.col("m.kind").alias("kind"), _placed(F.col("m")).alias("at")).where(F.size("at") > 0)
+    named = F.transform("at", lambda x: F.struct(x["start"].alias("start"), F.col("rank").alias("rank"), F.col("kind").alias("kind"), x["end"].alias("end")))
+    # A kind has one array for a text, so rows that repeat a text collapse in the set.
+    return each.select(key, "print", named.alias("own")).groupBy(key, "print").agg(F.array_sort(F.flatten(F.collect_set("own"))).alias("secrets"))
+
+
+def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", rules: tuple[Rule, ...] = RULES) -> DataFrame:
+    """(key, print, kind, start, end): every secret, in code points, end exclusive.
+
+    `print` is a hash of the text, so rows that share an id stay apart, and
+    rows that repeat both give their secrets once.
+    """
+    return _found(docs, key, text, rules).select(key, "print", F.explode("secrets").alias("s")).select(key, "print", "s.kind", "s.start", "s.end")
 
 
 def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", rules: tuple[Rule, ...] = RULES) -> DataFrame:
@@ -182,8 +208,7 @@ def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", rules: tuple[
     no secrets. Repeated rows each get the same result; a null id is kept. An
     empty table gives no rows; other columns are not read.
     """
-    rank = F.array_position(F.array(*(F.lit(r.kind) for r in rules)), F.col("kind")).cast("int")
-    found = spans(docs, key, text, rules).groupBy(F.col(key).alias("k"), F.col("print").alias("p")).agg(F.array_sort(F.collect_list(F.struct("start", rank.alias("rank"), "kind", "end"))).alias("secrets"))
+    found = _found(docs, key, text, rules).withColumnsRenamed({key: "k", "print": "p"})
     rows = docs.select(F.col(key), F.xxhash64(text).alias("print"))
     none = F.array().cast("array<struct<start:bigint,rank:int,kind:string,end:bigint>>")
     return rows.join(found, F.col(key).eqNullSafe(F.col("k")) & (F.col("print") == F.col("p")), "left").select(key, "print", F.coalesce("secrets", none).alias("secrets"))
@@ -201,8 +226,7 @@ def redact(docs: DataFrame, key: str = "doc_id", text: str = "text", rules: tupl
     Overlapping secrets become one mark, that of the first. Texts without
     secrets, nulls and repeated rows stay as they are.
     """
-    found = spans(docs, key, text, rules)
-    to_cut = cut(found.groupBy(F.col(key).alias("__k"), F.col("print").alias("__p")).agg(F.array_sort(F.collect_list(F.struct("start", "end", "kind"))).alias("__secrets")))
+    to_cut = cut(_found(docs, key, text, rules).withColumnsRenamed({key: "__k", "print": "__p", "secrets": "__secrets"}))
     if (to_cut.agg(F.sum(F.size("__secrets"))).first()[0] or 0) <= BROADCAST_ROWS:
         to_cut = F.broadcast(to_cut)
     state = F.struct(F.lit(0).cast("bigint").alias("at"), F.array().cast("array<string>").alias("out"))

@@ -121,6 +121,14 @@ def test_base_secrets(spark):
         assert r.base == base_secrets(SECRET_TEXTS[r.doc_id]), SECRET_TEXTS[r.doc_id]
 
 
+def test_very_many_secrets_in_one_text(spark):
+    text = " ".join(["token=abcdef token=ab"] * 20_000) + " AKIA" + "A" * 16
+    start = time.time()
+    got = secrets.scan(spark.createDataFrame([(1, text)], SCHEMA)).collect()[0].secrets
+    assert time.time() - start < 60 and len(got) == 20_001
+    assert [(s.start, s.end) for s in got] == [*((21 * k + k, 21 * k + k + 12) for k in range(20_000)), (len(text) - 20, len(text))]
+
+
 def test_queries_hold_for_every_match():
     samples = {
         "assign": ["PassWord=abcdef", "api_key: 'zzzzzzz", "APIKEY=1234567"], "access": ["AKIA" + "Z" * 16], "private": ["-----BEGIN RSA PRIVATE KEY-----", "-----BEGIN PRIVATE KEY-----"],
