@@ -6,6 +6,7 @@ import collections
 import math
 import random
 import re
+import time
 import zlib
 
 import numpy as np
@@ -132,6 +133,69 @@ def test_marginals_and_expectations(vocabulary):
     assert 3 <= one.sum() <= 3 * 4
 
 
+def test_long_words_alone_are_as_together(vocabulary, monkeypatch):
+    rng = random.Random(5)
+    words = ["".join(rng.choice("theoansxyz") for _ in range(n)) for n in (3, 40, 200, 200)] + ["é" * 90, "a" * 300]
+    raw, off = textnum.buffers(pa.array(words))
+    logp, weight = np.log(vocabulary.start), np.arange(1.0, 7.0)
+    together = lattice.log_marginals(vocabulary, logp, raw, off), lattice.expected_pieces(vocabulary, logp, raw, off, weight)
+    monkeypatch.setattr(lattice, "ALONE", 1)
+    alone = lattice.log_marginals(vocabulary, logp, raw, off), lattice.expected_pieces(vocabulary, logp, raw, off, weight)
+    assert alone[0] == pytest.approx(together[0]) and alone[1] == pytest.approx(together[1], abs=1e-9)
+
+
+def test_a_word_of_300_000_bytes(vocabulary):
+    raw, off = textnum.buffers(pa.array(["the" * 100_000]))
+    start = time.time()
+    got = lattice.expected_pieces(vocabulary, np.log(vocabulary.start), raw, off, np.ones(1))
+    assert np.isfinite(got).all() and 100_000 / 8 < got.sum() < 300_001 and time.time() - start < 30
+
+
+def test_scores_match_brute_force(spark, vocabulary, monkeypatch):
+    """Counts, rounds of refitting and scores, worked out word by word with dictionaries."""
+    rng = random.Random(6)
+    rows = [(d, " ".join(rng.choice(["the", "cat", "sat", "zq", "été", "there"]) for _ in range(rng.choice([0, 3, 9])))) for d in range(20)]
+    table = {int(k): j for j, k in enumerate(vocabulary.keys)}
+
+    def arcs(word: str) -> list[tuple[int, int, int]]:
+        y = ("▁" + word).encode()
+        out = []
+        for a in range(len(y)):
+            for b in range(a + 1, len(y) + 1):
+                part = np.frombuffer(y[a:b], np.uint8)
+                j = table.get(int(lattice._hashes(part, np.array([0]), np.array([len(part)]))[0]))
+                if j is not None:
+                    out.append((a, b, j))
+        return out
+
+    def passes(word: str, p: np.ndarray) -> tuple[float, dict[int, float]]:
+        y, lines = len(("▁" + word).encode()), arcs(word)
+        a, b = [1.0] + [0.0] * y, [0.0] * y + [1.0]
+        for x, z, j in sorted(lines, key=lambda t: t[1]):
+            a[z] += a[x] * p[j]
+        for x, z, j in sorted(lines, key=lambda t: -t[0]):
+            b[x] += b[z] * p[j]
+        use: dict[int, float] = collections.Counter()
+        for x, z, j in lines:
+            use[j] += a[x] * p[j] * b[z] / a[y]
+        return a[y], use
+
+    train = [t.split() for d, t in rows if zlib.crc32(str(d).encode()) % 5 != 1]
+    p, end = vocabulary.start.copy(), 0.0
+    for _ in range(3):
+        got = np.zeros(len(p))
+        for word, n in collections.Counter(w for t in train for w in t).items():
+            for j, x in passes(word, p)[1].items():
+                got[j] += n * x
+        p = lattice.PRIOR * vocabulary.start + got
+        total = p.sum() + len(train) + 1
+        p, end = p / total, (len(train) + 1) / total
+    df = spark.createDataFrame([(d, t, 0.0, "x") for d, t in rows], "doc_id long, text string, score double, id string")
+    for r in lattice.score(df, public_tokenizers.path("piece_bpe_32k.model")).collect():
+        want = sum(math.log10(passes(w, p)[0]) for w in dict(rows)[r.doc_id].split()) + math.log10(end)
+        assert r.score == pytest.approx(want, rel=1e-9)
+
+
 def test_language_model_base_scores(spark):
     rng = random.Random(3)
     rows = [(d, " ".join(rng.choice(["The", "the", "cat", "sat", "été", "zz" + str(d)]) for _ in range(rng.choice([0, 1, 30])))) for d in range(40)]
