@@ -90,17 +90,18 @@ def classes(rows: list[tuple]) -> dict[int, tuple[int, int]]:
     return {d: (len(sets[d]), root(d)) for d in ids}
 
 
-@pytest.mark.parametrize("seed,rare,chunk", [(3, 64, 256), (4, 1, 256), (5, 2, 4)])
-def test_classes_match_brute_force(spark, monkeypatch, seed, rare, chunk):
+@pytest.mark.parametrize("seed,rare,chunk,group", [(3, 64, 256, 1 << 14), (4, 1, 256, 1 << 14), (5, 2, 4, 1 << 14), (5, 2, 4, 2), (6, 64, 4, 2)])
+def test_classes_match_brute_force(spark, monkeypatch, seed, rare, chunk, group):
     monkeypatch.setattr(jaccard, "CHUNK", chunk)
+    monkeypatch.setattr(jaccard, "GROUP", group)
     monkeypatch.setattr(jaccard, "PIVOTS", 2)
     rng = random.Random(seed)
     rows = corpus(seed, 50)
     base = [f"h{k}" for k in range(90)]
     for d in range(100, 130):
         words = list(base)
-        for _ in range(rng.choice([0, 1, 2, 3])):
-            words[rng.randrange(90)] = f"n{d}"
+        for _ in range(rng.choice([0, 1, 2, 3, 6])):
+            words[rng.randrange(90)] = f"n{d % 103}"
         rows.append((d, " ".join(words)))
     got = jaccard.similarity_classes(spark.createDataFrame(rows, SCHEMA), rare=rare).collect()
     assert {r.doc_id: (r.n_shingles, r.component_id) for r in got} == classes(rows)
