@@ -86,13 +86,25 @@ STAGES: list[tuple[str, Stage]] = [
 ORACLE_SQL = None
 
 
+def _remove(spark: SparkSession, folder: str) -> None:
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over the documents of sf_dir; between stages the rows lie in the shared folder."""
+    """All stages over the documents of sf_dir; between stages the rows lie in the shared folder.
+
+    A stage's rows go once the next one's are written; those that the result
+    is read from stay beside the checkpoints.
+    """
     folder = f"{packed.shared_folder(spark)}/corpus-pipeline-{uuid.uuid4().hex}"
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for name, stage in STAGES:
         docs = stage(spark, docs, sf_dir)
         if (name, stage) != STAGES[-1]:
             docs.write.parquet(f"{folder}/{name}")
             docs = spark.read.parquet(f"{folder}/{name}")
+            if before:
+                _remove(spark, before)
+            before = f"{folder}/{name}"
     return docs
