@@ -159,8 +159,8 @@ class Words:
         return mix(_spans(self.hashes, at, at + n) + np.uint64(n)), at
 
     def checks(self, n: int, at: np.ndarray) -> np.ndarray:
-        """32 further bits of the n-word windows at these places, apart from those of `windows`."""
-        return (mix(_spans(mix(self.hashes ^ _STEP), at, at + n)) >> np.uint64(32)).astype(np.uint32)
+        """16 further bits of the n-word windows at these places, apart from those of `windows`."""
+        return (mix(_spans(mix(self.hashes ^ _STEP), at, at + n)) >> np.uint64(48)).astype(np.uint16)
 
 
 def buffers(column: pa.ChunkedArray | pa.Array) -> tuple[np.ndarray, np.ndarray]:
