@@ -146,20 +146,29 @@ def _rows(parts: dict, dtype: str) -> pa.RecordBatch:
 class SparkSpace(Space):
     """Blocks of the operator pinned in partitions; panels as tables of row blocks.
 
-    strategy: 'grid' joins panel blocks to operator blocks and sums by row,
-    'broadcast' sends the panel (its size is checked) to the blocks, 'paired'
-    also takes two filter steps in one pass over row stripes, 'coo' joins
-    coordinates in SQL. half: only blocks with bi <= bj are stored and each
-    serves twice. Partial sums of a partition meet before the network.
+    strategy: 'grid' deals blocks once to the cells of a task grid and sends
+    each panel block to the cells of its grid column, so that a step moves
+    panels only; 'broadcast' sends the panel (its size is checked first) to the
+    blocks, 'paired' also takes two filter steps in one pass over row stripes,
+    'coo' joins coordinates in SQL. half: only blocks with bi <= bj are stored
+    and each serves twice. Partial sums of a partition meet before the network.
+    alternate: every other step goes through the transposed blocks, which for
+    a self-adjoint operator gives the same; panels then go along grid rows.
     relayout moves the panel once more after every step, as a product that
     cannot use its own output layout would have to: for comparison only.
     """
 
-    def __init__(self, blocks: DataFrame, n: int, bs: int, dtype: str = "f8", strategy: str = "auto", half: bool = False, sign: float = 1.0, sub_grid: tuple[int, int] = (1, 1), every: int = 1, shift: str = "fused", relayout: bool = False):
+    STRATEGIES = ("auto", "grid", "broadcast", "paired", "coo")
+
+    def __init__(self, blocks: DataFrame, n: int, bs: int, dtype: str = "f8", strategy: str = "auto", half: bool = False, sign: float = 1.0, sub_grid: tuple[int, int] = (1, 1), every: int = 1, shift: str = "fused", relayout: bool = False, alternate: bool = False):
+        if strategy not in self.STRATEGIES:
+            raise ValueError(f"unknown strategy: {strategy}")
+        if shift not in ("fused", "materialised"):
+            raise ValueError(f"unknown shift: {shift}")
         self.spark, self.n, self.bs, self.dtype, self.half, self.sign = blocks.sparkSession, n, bs, dtype, half, sign
-        self.every, self.shift, self.relayout, self.sweeps, self._steps = every, shift, relayout, 0, 0
+        self.every, self.shift, self.relayout, self.sweeps, self._steps, self.sub_grid = every, shift, relayout, 0, 0, sub_grid
         self.count = -(-n // bs)
-        self.strategy = strategy if strategy != "auto" else "auto"
+        self.strategy, self.alternate, self.low, self._keys = strategy, alternate, None, {}
         self.source = blocks
         self.blocks = self._pinned(blocks, sub_grid)
 
@@ -169,25 +178,59 @@ class SparkSpace(Space):
         if self.half:
             blocks = blocks.where("bi <= bj")
         if self.strategy == "paired":
-            key = F.col("bi")
-        else:
-            r, c = layout.grid_shape(p)
-            rows, cols = (max(1, -(-self.count // (x * s))) * s for x, s in zip((r, c), sub_grid))
-            key = F.expr(f"(bi div {rows}) * 100000 + bj div {cols}")
-        return blocks.repartition(p, key).sortWithinPartitions("bi", "bj")
+            return blocks.repartition(p, "bi").sortWithinPartitions("bi", "bj")
+        self.grid = layout.grid_shape(p)
+        self.stripes = tuple(max(1, -(-self.count // (x * s))) * s for x, s in zip(self.grid, sub_grid))
+        cells = F.broadcast(self._cells())
+        at = blocks.join(cells, (F.expr(f"bi div {self.stripes[0]}") == F.col("ri")) & (F.expr(f"bj div {self.stripes[1]}") == F.col("cj")))
+        return at.select(*blocks.columns, "cell").repartition(p, "cell").sortWithinPartitions("cell", "bi", "bj")
+
+    def _cells(self) -> DataFrame:
+        """(ri, cj, cell): a key for each cell of the grid whose hash is a partition of its own, found by trying numbers."""
+        r, c = self.grid
+        if (r, c) not in self._keys:
+            tried = self.spark.range(int(r * c * (math.log(r * c) + 12)))
+            own = {x["part"]: x["cell"] for x in tried.groupBy(F.pmod(F.hash("id"), F.lit(r * c)).alias("part")).agg(F.min("id").alias("cell")).collect()}
+            # A partition that no number fell to leaves its cell with a key that shares another's.
+            self._keys[r, c] = [(k // c, k % c, own.get(k, -k - 1)) for k in range(r * c)]
+        return self.spark.createDataFrame(self._keys[r, c], "ri int, cj int, cell long")
 
     def pin(self) -> SparkSpace:
-        """Keep the operator resident; spills to disk, is rebuilt from its source if an executor goes."""
+        """Keep the operator resident; spills to disk, is rebuilt from its source if an executor goes.
+
+        The blocks are laid out at once: a plan knows how they are dealt only
+        when they are there, and then neither moves nor sorts them again.
+        """
         self.blocks = self.blocks.persist()
+        self.blocks.count()
         return self
 
     def unpin(self) -> None:
         self.blocks.unpersist()
+        if self.low is not None:
+            self.low.unpin()
+
+    def _room(self, k: int, what: str) -> None:
+        """Raise before a panel of k columns is fetched that is larger than sixteen times what may be broadcast."""
+        size = self.n * k * np.dtype(self.dtype).itemsize
+        if size > 16 * broadcast_limit(self.spark):
+            raise types.DoesNotFit(f"a panel of {size} bytes is not {what}")
+
+    @staticmethod
+    def _k(panel: DataFrame) -> int:
+        """Columns of a panel; known for those made here, looked up for others."""
+        return panel._width if "_width" in panel.__dict__ else panel.first()["k"]
+
+    @staticmethod
+    def _wide(panel: DataFrame, k: int) -> DataFrame:
+        panel._width = k
+        return panel
 
     # panels
 
     def load(self, array: np.ndarray) -> DataFrame:
-        return self.spark.createDataFrame(layout.panel_rows(np.asarray(array, self.dtype), self.bs), types.PANEL)
+        array = np.asarray(array, self.dtype)
+        return self._wide(self.spark.createDataFrame(layout.panel_rows(array, self.bs), types.PANEL), array.shape[1])
 
     def random(self, k: int, seed: int) -> DataFrame:
         n, bs, dtype = self.n, self.bs, self.dtype
@@ -198,14 +241,12 @@ class SparkSpace(Space):
                     a = gaussian(np.arange(b * bs, min(n, (b + 1) * bs)), k, seed, dtype)
                     yield pa.RecordBatch.from_arrays([pa.array([x], f.type) for x, f in zip((b, len(a), k, dtype, a.tobytes()), layout._PANEL)], schema=layout._PANEL)
 
-        return self.spark.range(self.count).mapInArrow(make, types.PANEL)
+        return self._wide(self.spark.range(self.count).mapInArrow(make, types.PANEL), k)
 
     def gather(self, panel: DataFrame) -> np.ndarray:
-        """The whole panel on the driver; only below the broadcast limit."""
+        """The whole panel on the driver; its size is checked first."""
+        self._room(self._k(panel), "gathered")
         rows = sorted(panel.collect(), key=lambda r: r["b"])
-        size = sum(len(r["data"]) for r in rows)
-        if size > 64 * broadcast_limit(self.spark):
-            raise types.DoesNotFit(f"a panel of {size} bytes is not gathered")
         out = np.zeros((self.n, rows[0]["k"]), self.dtype)
         for r in rows:
             out[r["b"] * self.bs : r["b"] * self.bs + r["nr"]] = layout.array(r["data"], r["nr"], r["k"], self.dtype)
@@ -224,22 +265,22 @@ class SparkSpace(Space):
 
     def columns(self, panel: DataFrame, at: Sequence[int]) -> DataFrame:
         at = np.asarray(at, int)
-        return self._map(panel, lambda row, a: a[:, at])
+        return self._wide(self._map(panel, lambda row, a: a[:, at]), len(at))
 
     def rotate(self, panel: DataFrame, matrix: np.ndarray) -> DataFrame:
         held = self.spark.sparkContext.broadcast(np.asarray(matrix, self.dtype))
-        return self._map(panel, lambda row, a: a @ held.value)
+        return self._wide(self._map(panel, lambda row, a: a @ held.value), matrix.shape[1])
 
     def _with(self, left: DataFrame, right: DataFrame) -> DataFrame:
         return left.join(right.select("b", F.col("k").alias("k2"), F.col("data").alias("data2")), "b").select(*left.columns, "k2", "data2")
 
     def beside(self, left: DataFrame, right: DataFrame) -> DataFrame:
         dtype = self.dtype
-        return self._map(self._with(left, right), lambda row, a: np.concatenate([a, layout.array(row["data2"], row["nr"], row["k2"], dtype)], 1))
+        return self._wide(self._map(self._with(left, right), lambda row, a: np.concatenate([a, layout.array(row["data2"], row["nr"], row["k2"], dtype)], 1)), self._k(left) + self._k(right))
 
     def minus(self, panel: DataFrame, basis: DataFrame, matrix: np.ndarray) -> DataFrame:
         dtype, held = self.dtype, self.spark.sparkContext.broadcast(np.asarray(matrix, self.dtype))
-        return self._map(self._with(panel, basis), lambda row, a: a - layout.array(row["data2"], row["nr"], row["k2"], dtype) @ held.value)
+        return self._wide(self._map(self._with(panel, basis), lambda row, a: a - layout.array(row["data2"], row["nr"], row["k2"], dtype) @ held.value), self._k(panel))
 
     def _tree(self, parts: DataFrame, join) -> np.ndarray:
         """One small matrix from rows (at, rows, cols, data): sixteen at a time, in order of `at`."""
@@ -288,13 +329,12 @@ class SparkSpace(Space):
         return np.sqrt(self._tree(self._small(self._with(product, panel), one), sum).real[0])
 
     def keep(self, panel: DataFrame) -> DataFrame:
-        return cut(panel)
+        return self._wide(cut(panel), self._k(panel))
 
     def orthonormalise(self, locked, panel, method: str = "cholqr2"):
         if method == "local":
             whole = self.gather(panel) if locked is None else np.concatenate([self.gather(locked), self.gather(panel)], 1)
-            k = panel.first()["k"]
-            return self.load(np.linalg.qr(whole)[0][:, whole.shape[1] - k :])
+            return self.load(np.linalg.qr(whole)[0][:, whole.shape[1] - self._k(panel) :])
         return orthonormalise(self, locked, panel, method)
 
     # products
@@ -324,18 +364,16 @@ class SparkSpace(Space):
         """Rows (b, src, ...) whose sum by b is factor * A * panel; a partition's own sums are done first."""
         dtype, half = self.dtype, self.half
         strategy = self._chosen(k)
+        if strategy == "coo":
+            return self._by_coordinates(panel, factor, k)
         held = None
+        turns = F.explode(F.array(F.lit(0), F.lit(1))) if half else F.lit(int(role == "col"))
         if strategy in ("broadcast", "paired"):
-            rows = panel.collect()
-            size = sum(len(r["data"]) for r in rows)
-            if size > 64 * broadcast_limit(self.spark):
-                raise types.DoesNotFit(f"a panel of {size} bytes is not broadcast; use strategy='grid'")
-            held = self.spark.sparkContext.broadcast({r["b"]: (r["data"], r["nr"], r["k"]) for r in rows})
-            source = self.blocks.select("bi", "bj", "nr", "nc", "data", F.explode(F.array(F.lit(0), F.lit(1))).alias("turned")) if half else self.blocks.select("bi", "bj", "nr", "nc", "data", F.lit(int(role == "col")).alias("turned"))
+            self._room(k, "broadcast; use strategy='grid'")
+            held = self.spark.sparkContext.broadcast({r["b"]: (r["data"], r["nr"], r["k"]) for r in panel.collect()})
+            source = self.blocks.select("bi", "bj", "nr", "nc", "data", turns.alias("turned"))
         else:
-            turned = self.blocks.withColumn("turned", F.explode(F.array(F.lit(0), F.lit(1))) if half else F.lit(int(role == "col")))
-            source = turned.join(panel.select("b", F.col("k").alias("vk"), F.col("nr").alias("vn"), F.col("data").alias("v")), F.when(F.col("turned") == 1, F.col("bi")).otherwise(F.col("bj")) == F.col("b"))
-            source = source.select("bi", "bj", "nr", "nc", "data", "turned", "v", "vn", "vk")
+            source = self._along_grid(panel.select("b", F.col("k").alias("vk"), F.col("nr").alias("vn"), F.col("data").alias("v"), turns.alias("turned")))
         if half:
             source = source.where("turned = 0 or bi < bj")
 
@@ -354,10 +392,74 @@ class SparkSpace(Space):
 
         return source.mapInArrow(run, _PART)
 
-    def step(self, now: DataFrame, before: DataFrame | None, alpha: float, beta: float, gamma: float, role: str = "row") -> DataFrame:
+    def _along_grid(self, panel: DataFrame) -> DataFrame:
+        """Operator blocks beside the panel blocks they need (bi, bj, nr, nc, data, turned, v, vn, vk).
+
+        Panel blocks are copied to the cells of their grid column (of their
+        grid row where blocks serve transposed). Both sides are dealt by cell
+        to the same number of partitions, so the join leaves the operator
+        where it is. Beside the cell the blocks are matched by two bounds,
+        as a second equality would ask for a deal by both.
+        """
+        if "cell" not in self.blocks.columns:
+            raise ValueError(f"blocks laid out for {self.strategy!r} have no grid")
+        r, c = self.grid
+        along = F.when(F.col("turned") == 1, F.expr(f"b div {self.stripes[0]}") == F.col("ri")).otherwise(F.expr(f"b div {self.stripes[1]}") == F.col("cj"))
+        copies = panel.join(F.broadcast(self._cells()), along).drop("ri", "cj").withColumnRenamed("cell", "at").repartition(r * c, "at")
+        needs = F.when(F.col("turned") == 1, F.col("bi")).otherwise(F.col("bj"))
+        mine = (F.col("cell") == F.col("at")) & (F.col("b") <= needs) & (F.col("b") >= needs)
+        return self.blocks.join(copies.hint("merge"), mine).select("bi", "bj", "nr", "nc", "data", "turned", "v", "vn", "vk")
+
+    def _by_coordinates(self, panel: DataFrame, factor: float, k: int) -> DataFrame:
+        coo = layout.from_blocks(self.blocks, self.bs, self.dtype)
+        if self.half:
+            back = coo.where("i != j").select(F.col("j").alias("i"), F.col("i").alias("j"), "v", *([(-F.col("im")).alias("im")] if "im" in coo.columns else []))
+            coo = coo.where(f"i div {self.bs} <= j div {self.bs}")
+            coo = coo.unionByName(back.where(f"i div {self.bs} > j div {self.bs}"))
+        out = layout.to_panel(product_coo(coo, layout.from_panel(panel, self.bs, self.dtype)), self.n, k, self.bs)
+        return self._scaled(out, factor, 0)
+
+    def filter_low(self, panel: DataFrame, degrees: np.ndarray, steps: Steps) -> DataFrame:
+        """The filter in half the bytes, over a copy of the blocks that is pinned beside them."""
+        kind = "c8" if self.dtype == "c16" else "f4"
+        if self.low is None:
+            self.low = object.__new__(SparkSpace)
+            self.low.__dict__.update(self.__dict__)
+            self.low.dtype, self.low.low = kind, None
+            columns, dtype = self.blocks.columns, self.dtype
+
+            def halve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+                for batch in batches:
+                    place = batch.schema.names.index("data")
+                    data = pa.array([np.frombuffer(x, dtype).astype(kind).tobytes() for x in batch.column(place).to_pylist()], pa.binary())
+                    yield pa.RecordBatch.from_arrays([data if i == place else x for i, x in enumerate(batch.columns)], batch.schema.names)
+
+            low = self.source.select("bi", "bj", "nr", "nc", "dtype", "data").mapInArrow(halve, types.BLOCK)
+            self.low.source = low
+            self.low.blocks = self.low._pinned(low, self.sub_grid).select(*columns)
+            self.low.pin()
+        self.low.sweeps = 0
+        out = self.low.filter(self._cast(panel, kind), degrees, steps)
+        self.sweeps += self.low.sweeps
+        return self._wide(self.low._cast(out, self.dtype), self._k(panel))
+
+    def _cast(self, panel: DataFrame, kind: str) -> DataFrame:
+        dtype = self.dtype
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                rows = batch.to_pylist()
+                for r in rows:
+                    r["data"], r["dtype"] = np.frombuffer(r["data"], dtype).astype(kind).tobytes(), kind
+                yield pa.RecordBatch.from_pylist(rows, layout._PANEL)
+
+        return self._wide(panel.mapInArrow(run, types.PANEL), self._k(panel))
+
+    def step(self, now: DataFrame, before: DataFrame | None, alpha: float, beta: float, gamma: float, role: str | None = None) -> DataFrame:
         """alpha (sign A - gamma I) now + beta before, in one shuffle of partial sums."""
+        role = role or ("col" if self.alternate and self.sweeps % 2 else "row")
         self.sweeps += 1
-        k = now.first()["k"]
+        k = self._k(now)
         if self.shift == "materialised" and gamma:
             parts = self.shifted(gamma * self.sign)._partials(now, alpha * self.sign, k, role)
         else:
@@ -370,7 +472,7 @@ class SparkSpace(Space):
         if self.relayout:
             out = out.repartition(partitions(self.spark), F.hash("b"))
         self._steps += 1
-        return cut(out) if self._steps % self.every == 0 else out
+        return self._wide(cut(out) if self._steps % self.every == 0 else out, k)
 
     def shifted(self, gamma: float) -> SparkSpace:
         """The same space over A - gamma I, with the diagonal blocks rewritten."""
@@ -387,7 +489,7 @@ class SparkSpace(Space):
         other = object.__new__(SparkSpace)
         other.__dict__.update(self.__dict__)
         diagonal = self.spark.range(self.count).select(F.col("id").cast("int").alias("bi"))
-        there = self.blocks.where("bi = bj").select("bi")
+        there = self.source.where("bi = bj").select("bi")
         n, bs = self.n, self.bs
         missing = diagonal.join(there, "bi", "left_anti").select("bi", F.col("bi").alias("bj"), F.least(F.lit(bs), n - F.col("bi") * bs).cast("int").alias("nr")).select("bi", "bj", "nr", F.col("nr").alias("nc"), F.lit(dtype).alias("dtype"), F.lit(None).cast("binary").alias("data"))
 
@@ -398,8 +500,9 @@ class SparkSpace(Space):
                     r["data"] = np.zeros((r["nr"], r["nc"]), dtype).tobytes()
                 yield pa.RecordBatch.from_pylist(rows, layout._BLOCK)
 
-        whole = self.blocks.unionByName(missing.mapInArrow(zeros, types.BLOCK))
-        other.blocks = whole.mapInArrow(run, types.BLOCK)
+        whole = self.source.where("bi <= bj" if self.half else "true").select(*missing.columns).unionByName(missing.mapInArrow(zeros, types.BLOCK))
+        other.source = whole.mapInArrow(run, types.BLOCK)
+        other.blocks = other._pinned(other.source, self.sub_grid)
         return other
 
     def pair(self, now: DataFrame, before: DataFrame | None, one: tuple[float, float, float], two: tuple[float, float, float]) -> tuple[DataFrame, DataFrame]:
@@ -413,10 +516,10 @@ class SparkSpace(Space):
         self.sweeps += 1
         dtype, sign = self.dtype, self.sign
         (a1, b1, g1), (a2, b2, g2) = one, two
+        k = self._k(now)
+        self._room(2 * k, "broadcast; use strategy='grid'")
         rows = {r["b"]: (r["data"], r["nr"], r["k"]) for r in now.collect()}
         old = {r["b"]: r["data"] for r in before.collect()} if before is not None and b1 else {}
-        if sum(len(x[0]) for x in rows.values()) > 64 * broadcast_limit(self.spark):
-            raise types.DoesNotFit("the panel is not broadcast; use strategy='grid'")
         held = self.spark.sparkContext.broadcast((rows, old))
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -457,7 +560,7 @@ class SparkSpace(Space):
         parts = both.where("src >= 0").unionByName(self._scaled(first, -a2 * g2, -1))
         if b2:
             parts = parts.unionByName(self._scaled(now, b2, -2))
-        return first, cut(self._summed(parts))
+        return self._wide(first, k), self._wide(cut(self._summed(parts)), k)
 
     def filter(self, panel: DataFrame, degrees: np.ndarray, steps: Steps) -> DataFrame:
         if self.strategy != "paired" or (np.asarray(degrees) % 2).any():
@@ -479,7 +582,7 @@ class SparkSpace(Space):
 
     def product(self, panel: DataFrame, role: str = "row") -> DataFrame:
         """A times the panel; role 'col' goes through the transposed blocks."""
-        return self._summed(self._partials(panel, self.sign, panel.first()["k"], role))
+        return self._wide(self._summed(self._partials(panel, self.sign, self._k(panel), role)), self._k(panel))
 
 
 def product_coo(coo: DataFrame, x: DataFrame) -> DataFrame:

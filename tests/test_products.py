@@ -27,7 +27,7 @@ def coo(spark, a: np.ndarray):
 
 @pytest.mark.parametrize("dtype", ["f8", "c16"])
 @pytest.mark.parametrize(
-    "more", [{"strategy": "grid"}, {"strategy": "broadcast"}, {"strategy": "grid", "half": True}, {"strategy": "broadcast", "half": True, "sub_grid": (2, 2)}, {"strategy": "grid", "shift": "materialised"}, {"strategy": "auto", "sign": -1.0}]
+    "more", [{"strategy": "grid"}, {"strategy": "broadcast"}, {"strategy": "grid", "half": True}, {"strategy": "broadcast", "half": True, "sub_grid": (2, 2)}, {"strategy": "grid", "shift": "materialised"}, {"strategy": "auto", "sign": -1.0}, {"strategy": "coo"}, {"strategy": "coo", "half": True}, {"strategy": "grid", "relayout": True, "sub_grid": (2, 1)}]
 )
 def test_step_equals_dense_arithmetic(spark, dtype, more):
     n, a = 11, operator(11, dtype)
@@ -52,6 +52,71 @@ def test_paired_steps_and_transposed_blocks(spark, dtype):
     assert np.allclose(grid.gather(grid.product(grid.load(v), "col")), a @ v, atol=1e-12)
 
 
+def between(plan: str, leaf: str) -> list[str]:
+    """The operators above the first leaf of that name, up to its join."""
+    lines = [x for x in plan.splitlines() if x.strip()]
+    depth = lambda x: len(x) - len(x.lstrip(" :+-"))
+    k = next(i for i, x in enumerate(lines) if leaf in x)
+    out, level = [], depth(lines[k])
+    for x in reversed(lines[:k]):
+        if depth(x) < level:
+            level = depth(x)
+            out.append(x.strip(" :+-*"))
+            if "Join" in x:
+                return out
+    return out
+
+
+@pytest.mark.parametrize("half", [False, True])
+def test_the_operator_stays_where_it_is(spark, half):
+    n, a = 12, operator(12, "f8")
+    space = SparkSpace(layout.to_blocks(coo(spark, a), n, 3), n, 3, strategy="grid", half=half).pin()
+    panel = space.load(gaussian(np.arange(n), 2, 2))
+    for role in ("row", "col"):
+        parts = space._partials(panel, 1.0, 2, role)
+        plan = parts._jdf.queryExecution().executedPlan().toString()
+        above = between(plan, "InMemoryTableScan [bi")
+        assert "SortMergeJoin" in above[-1] and not any(x.startswith(("Exchange", "Sort ")) for x in above), plan
+        assert np.allclose(space.gather(space.product(panel, role)), a @ space.gather(panel))
+    # Every cell has a partition of its own, the same in both tables.
+    cells = space.blocks.select("cell", spark_partition()).distinct().collect()
+    assert len({r[0] for r in cells}) == len({r[1] for r in cells}) == len(cells) == (3 if half else 4)
+    space.unpin()
+
+
+def spark_partition():
+    from pyspark.sql import functions as F
+
+    return F.spark_partition_id()
+
+
+def test_alternating_steps_and_low_precision(spark):
+    n, a = 11, operator(11, "c16")
+    v = gaussian(np.arange(n), 3, 2, "c16")
+    steps = [(0.1, 0.0, 0.4), (0.2, -0.3, 0.4), (0.2, -0.1, 0.4), (0.3, -0.2, 0.4)]
+    want = LocalSpace(a).filter(v, np.array([2, 4, 4]), steps)
+    for more in ({"alternate": True}, {"alternate": True, "half": True}, {"every": 3}):
+        space = SparkSpace(layout.to_blocks(coo(spark, a), n, 4), n, 4, "c16", "grid", **more)
+        assert np.allclose(space.gather(space.filter(space.load(v), np.array([2, 4, 4]), steps)), want)
+    low = space.filter_low(space.load(v), np.array([2, 4, 4]), steps)
+    got = space.gather(low)
+    assert got.dtype == np.complex128 and 1e-12 < np.abs(got - want).max() < 1e-4 * np.abs(want).max()
+    space.unpin()
+
+
+def test_unknown_words_and_large_panels_are_refused(spark, monkeypatch):
+    blocks = spark.createDataFrame([], types.BLOCK)
+    for more in ({"strategy": "ring"}, {"shift": "sideways"}):
+        with pytest.raises(ValueError, match="unknown"):
+            SparkSpace(blocks, 8, 4, **more)
+    monkeypatch.setattr("eigenlake.linalg.space.broadcast_limit", lambda spark: 8)
+    space = SparkSpace(blocks, 13, 4, strategy="broadcast")
+    panel = space.load(gaussian(np.arange(13), 4, 2))
+    for f in (space.gather, lambda p: space.step(p, None, 1.0, 0.0, 0.0)):
+        with pytest.raises(types.DoesNotFit):
+            f(panel)
+
+
 def test_panel_arithmetic(spark):
     n = 13
     space = SparkSpace(spark.createDataFrame([], types.BLOCK), n, 4)
