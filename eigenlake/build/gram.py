@@ -78,8 +78,8 @@ class GramOperator(Space):
     def load(self, a):
         return np.asarray(a)
 
-    def step(self, now, before, alpha, beta, gamma):
-        self.sweeps += 1
+    def _product(self, now: np.ndarray) -> DataFrame:
+        """(data): what each partition adds to the product, as bytes."""
         held = self.x.sparkSession.sparkContext.broadcast((now, self.mean))
         d, k = now.shape
 
@@ -91,12 +91,18 @@ class GramOperator(Space):
                 total += x.T @ (x @ v)
             yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=["data"])
 
+        return self.x.mapInArrow(run, "data binary")
+
+    def step(self, now, before, alpha, beta, gamma):
+        self.sweeps += 1
+        d, k = now.shape
+
         def fold(table: pa.Table) -> pa.Table:
             rows = sorted(table.column("data").to_pylist())
             total = sum(np.frombuffer(r).reshape(d, k) for r in rows)
             return pa.table({"data": [total.tobytes()]})
 
-        parts = self.x.mapInArrow(run, "data binary")
+        parts = self._product(now)
         if self.parts > 16:
             parts = parts.groupBy(F.pmod(F.spark_partition_id(), F.lit(16)).alias("g")).applyInArrow(fold, "data binary")
         got = sum(np.frombuffer(r["data"]).reshape(d, k) for r in sorted(parts.collect(), key=lambda r: r["data"])) / self.divide

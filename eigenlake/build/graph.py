@@ -2,18 +2,36 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .. import types
+from ..session import broadcast_limit
+from .gram import GramOperator
+
+
+#: Lists that the items of one group are dealt to.
+LISTS = 64
+
 
 def cooccurrence(df: DataFrame, group: str, item: str) -> DataFrame:
     """(i, j, v): in how many groups two different items both occur.
 
-    Repeated (group, item) rows count once. Each group lists its items once
-    and expands to pairs; the pairs' counts meet as partial sums.
+    Repeated (group, item) rows count once. A group's items lie in lists by
+    a hash of the item, and pairs come from two lists at a time, so that a
+    group of very many items is spread over tasks and no row holds all of it;
+    the pairs' counts meet as partial sums.
     """
-    items = df.where(F.col(group).isNotNull() & F.col(item).isNotNull()).groupBy(group).agg(F.collect_set(F.col(item).cast("long")).alias("items")).where(F.size("items") > 1)
-    pairs = items.select("items", F.explode("items").alias("i")).select("i", F.explode("items").alias("j")).where("i != j")
+    known = df.where(F.col(group).isNotNull() & F.col(item).isNotNull()).select(F.col(group).alias("g"), F.col(item).cast("long").alias("item")).distinct()
+    lists = known.groupBy("g", F.pmod(F.xxhash64("item"), F.lit(LISTS)).alias("part")).agg(F.collect_list("item").alias("items"))
+    parts = lists.groupBy("g").agg(F.collect_list("part").alias("parts"))
+    left = lists.join(parts, "g").select("g", F.col("items").alias("left"), F.explode("parts").alias("part"))
+    both = left.join(lists.withColumnRenamed("items", "right"), ["g", "part"])
+    pairs = both.select("right", F.explode("left").alias("i")).select("i", F.explode("right").alias("j")).where("i != j")
     return pairs.groupBy("i", "j").agg(F.count(F.lit(1)).cast("double").alias("v"))
 
 
@@ -38,6 +56,34 @@ def laplacian_apply(edges: DataFrame, x: DataFrame) -> DataFrame:
     return with_x.groupBy("i").agg(F.sum(F.col("v") * (F.col("x") - F.col("xj"))).alias("v"))
 
 
+class LaplacianOperator(GramOperator):
+    """D - S applied edge by edge: the weights (i, j, v) stay in their partitions and the Laplacian is never formed.
+
+    A panel is an array on the driver whose size is checked; each task sends
+    one partial sum of it, and those add up in a tree.
+    """
+
+    def __init__(self, edges: DataFrame, n: int, sign: float = 1.0):
+        self.x = edges.select(F.col("i").cast("long").alias("i"), F.col("j").cast("long").alias("j"), F.col("v").cast("double").alias("v"))
+        self.parts = self.x.rdd.getNumPartitions()
+        self.n, self.dtype, self.sign, self.sweeps, self.divide = n, "f8", sign, 0, 1.0
+
+    def _product(self, now: np.ndarray) -> DataFrame:
+        if now.nbytes > 16 * broadcast_limit(self.x.sparkSession):
+            raise types.DoesNotFit(f"a panel of {now.nbytes} bytes is not broadcast")
+        held = self.x.sparkSession.sparkContext.broadcast(now)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            x = held.value
+            total = np.zeros(x.shape)
+            for batch in batches:
+                i, j, v = (c.to_numpy() for c in batch.columns)
+                np.add.at(total, i, v[:, None] * (x[i] - x[j]))
+            yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=["data"])
+
+        return self.x.mapInArrow(run, "data binary")
+
+
 def succession(df: DataFrame, group: str, item: str, order: list[str]) -> DataFrame:
     """(i, j, f): how often item j comes right after a different item i within a group."""
     after = F.lead(item).over(Window.partitionBy(group).orderBy(*order))

@@ -21,6 +21,7 @@ from pyspark.sql import SparkSession
 from .baseline import direct, krylov
 from .build import dense, spectra
 from .cost import memory
+from .cost.stages import measured
 from .linalg.small import gaussian
 from .linalg.space import LocalSpace, SparkSpace
 from .solve.driver import Options, Solution, solve
@@ -70,7 +71,7 @@ def families(n: int = 1000, repeat: int = 3, tol: float = 1e-9) -> Iterator[dict
 
 
 def _filter_once(spark: SparkSession, n: int, bs: int, sub_grid: tuple[int, int], strategy: str, k: int = 20, degree: int = 4) -> dict:
-    """One filter pass of a uniform operator: seconds, and seconds of the products without the reduce."""
+    """One filter pass of a uniform operator: seconds, rate, and from stage metrics what was shuffled and the share of time that took."""
     blocks = dense.reflector_blocks(spark, spectra.values("uniform", n), bs=bs)
     space = SparkSpace(blocks, n, bs, strategy=strategy, sub_grid=sub_grid).pin()
     v = space.keep(space.random(k, 7))
@@ -78,41 +79,39 @@ def _filter_once(spark: SparkSession, n: int, bs: int, sub_grid: tuple[int, int]
     from .solve.degrees import cheb_coeffs
 
     began = time.perf_counter()
-    out = space.filter(v, np.full(k, degree), cheb_coeffs(0.0, 0.1, 1.2, degree))
-    out.count()
+    _, moved = measured(spark, lambda: space.filter(v, np.full(k, degree), cheb_coeffs(0.0, 0.1, 1.2, degree)).count())
     took = time.perf_counter() - began
-    began = time.perf_counter()
-    space._partials(v, 1.0, k).selectExpr("sum(length(data))").collect()
-    product = time.perf_counter() - began
     space.unpin()
-    sweeps = degree if strategy != "paired" else degree // 2
-    return {"filter_seconds": round(took, 3), "gflops": round(2e-9 * n * n * k * degree / took, 2), "reduce_share": round(max(0.0, 1 - product * sweeps / took), 3)}
+    return {"strategy": strategy, "filter_seconds": round(took, 3), "gflops": round(2e-9 * n * n * k * degree / took, 2), "shuffle_mb": round(moved["shuffle_bytes_written"] / 1e6, 2), "communication_share": round(moved["communication_share"], 3)}
 
 
 def bindings(n: int = 1500) -> Iterator[dict]:
     """Tasks times cuts per task: 1 x 4, 2 x 2, 4 x 1."""
     for tasks, cuts in ((1, (2, 2)), (2, (1, 2)), (4, (1, 1))):
         spark = session(tasks)
-        yield {"experiment": "bindings", "tasks": tasks, "cuts": cuts[0] * cuts[1], "n": n} | _filter_once(spark, n, -(-n // 4), cuts, "broadcast")
+        for strategy in ("grid", "broadcast"):
+            yield {"experiment": "bindings", "tasks": tasks, "cuts": cuts[0] * cuts[1], "n": n} | _filter_once(spark, n, -(-n // 4), cuts, strategy)
 
 
 def strong(n: int = 2000) -> Iterator[dict]:
     """A fixed problem on more tasks."""
-    first = None
-    for tasks in (1, 2, 4, 8):
-        row = _filter_once(session(tasks), n, -(-n // 8), (1, 1), "broadcast")
-        first = first or row["filter_seconds"]
-        yield {"experiment": "strong", "tasks": tasks, "n": n, "speedup": round(first / row["filter_seconds"], 2)} | row
+    for strategy in ("grid", "paired"):
+        first = None
+        for tasks in (1, 2, 4, 8):
+            row = _filter_once(session(tasks), n, -(-n // 8), (1, 1), strategy)
+            first = first or row["filter_seconds"]
+            yield {"experiment": "strong", "tasks": tasks, "n": n, "speedup": round(first / row["filter_seconds"], 2)} | row
 
 
 def weak(per_side: int = 800) -> Iterator[dict]:
     """n grows with the square root of the tasks, so work per task stays the same."""
-    first = None
-    for side in (1, 2):
-        n = per_side * side
-        row = _filter_once(session(side * side), n, -(-n // 4), (1, 1), "broadcast")
-        first = first or row["filter_seconds"]
-        yield {"experiment": "weak", "tasks": side * side, "n": n, "efficiency": round(first / row["filter_seconds"], 3)} | row
+    for strategy in ("grid", "paired"):
+        first = None
+        for side in (1, 2):
+            n = per_side * side
+            row = _filter_once(session(side * side), n, -(-n // 4), (1, 1), strategy)
+            first = first or row["filter_seconds"]
+            yield {"experiment": "weak", "tasks": side * side, "n": n, "efficiency": round(first / row["filter_seconds"], 3)} | row
 
 
 def complex_(n: int = 700) -> Iterator[dict]:

@@ -119,10 +119,23 @@ def eigs_uniform_high(spark: SparkSession, sf: str) -> DataFrame:
     return _values(driver.eigs(_reflected(spark, sf, "uniform", 1e-4), n, *_sizes(n, 8, 8), end="high", max_iter=200))
 
 
-@query(f"SELECT k, round(pow(1e-2, (n - k) / (n - 1)), 6) + 0.0 AS eigenvalue FROM {_ranks(8)}")
+@query(f"SELECT k, round(1e3 * pow(1e-4, (n - k) / (n - 1)), 6) + 0.0 AS eigenvalue FROM {_ranks(8)}")
 def eigs_geometric_low(spark: SparkSession, sf: str) -> DataFrame:
+    """The geometric family at condition 1e4, in thousandths."""
     n = _index(spark, sf)[1]
-    return _values(driver.eigs(_reflected(spark, sf, "geometric", 1e-2), n, *_sizes(n, 8, 8), max_iter=200))
+    return _values(driver.eigs(_reflected(spark, sf, "geometric", 1e-4), n, *_sizes(n, 8, 8), max_iter=400), 1e-3)
+
+
+@query(f"SELECT range AS k, round(pow(1e-4, (range - 1) / (n - 1)), 6) + 0.0 AS eigenvalue FROM range(1, 3), {_N}")
+def eigs_grid(spark: SparkSession, sf: str) -> DataFrame:
+    """The solver over blocks that stay on a task grid, alternating steps: the upper end of a dense operator indexed by parts."""
+    n = table(spark, sf, "part").count()
+    space = SparkSpace(dense.reflector_blocks(spark, spectra.values("geometric", n), bs=-(-n // 4)), n, -(-n // 4), strategy="grid", sign=-1.0, every=4, alternate=True).pin()
+    try:
+        s = driver.solve(space, driver.Options(2, 8, tol=1e-7, deg=14, max_deg=14, lanczos_steps=8, lanczos_runs=2))
+    finally:
+        space.unpin()
+    return spark.createDataFrame([(k + 1, float(v)) for k, v in enumerate(s.values)], "k long, eigenvalue double").select("k", r6("eigenvalue").alias("eigenvalue"))
 
 
 def _inertia_sql(order: str, diagonal: str, shifts: str) -> str:
@@ -216,6 +229,22 @@ def seq_weekly(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(int(w), float(r.solution.values[0])) for w, r in zip(order, results)], "week long, eigenvalue double").select("week", r6("eigenvalue").alias("eigenvalue"))
 
 
+_SLOTS = "SELECT date_diff('day', TIMESTAMP '2024-01-01', date_trunc('day', ts::TIMESTAMP)) // 7 AS g, user_id, event_id % 24 AS c, sum(value) AS s FROM events GROUP BY ALL"
+_SLOT_GRAM = f"WITH s AS MATERIALIZED ({_SLOTS}) SELECT a.g, a.c AS i, b.c AS j, sum(a.s * b.s) / 1e6 AS v FROM s a JOIN s b ON a.g = b.g AND a.user_id = b.user_id GROUP BY ALL"
+
+
+@query(power_sql(_SLOT_GRAM, "SELECT 24 AS n", 400, "SELECT g::BIGINT AS week, round(a, 6) AS eigenvalue FROM final"))
+def seq_slots(spark: SparkSession, sf: str) -> DataFrame:
+    """A sequence of problems of order 24 with a subspace of 6, warm-started: Gram of the user x slot sums, week by week."""
+    week = F.floor(F.datediff("ts", F.lit("2024-01-01").cast("date")) / 7)
+    sums = table(spark, sf, "events").groupBy(week.alias("week"), "user_id", (F.col("event_id") % 24).alias("i")).agg(F.sum("value").alias("x"))
+    pairs = sums.join(sums.select("week", "user_id", F.col("i").alias("j"), F.col("x").alias("y")), ["week", "user_id"])
+    weeks = pairs.groupBy("week", "i", "j").agg((F.sum(F.col("x") * F.col("y")) / 1e6).alias("v")).cache()
+    order = [r["week"] for r in weeks.select("week").distinct().orderBy("week").collect()]
+    results = sequence.eigs_sequence((weeks.where(F.col("week") == w).select("i", "j", "v") for w in order), 24, 2, 4, tol=1e-8, end="high")
+    return spark.createDataFrame([(int(w), float(r.solution.values[0])) for w, r in zip(order, results)], "week long, eigenvalue double").select("week", r6("eigenvalue").alias("eigenvalue"))
+
+
 @query("SELECT g, k, round(CASE WHEN k = 0 THEN (a + c + sqrt((a - c) * (a - c) + 4 * b * b)) / 2 ELSE (a + c - sqrt((a - c) * (a - c) + 4 * b * b)) / 2 END, 6) + 0.0 AS eigenvalue FROM (SELECT c_nationkey AS g, sum(x * x) AS a, sum(x * y) AS b, sum(y * y) AS c FROM (SELECT c_nationkey, c_acctbal / 1000 AS x, (c_custkey % 100) / 100.0 AS y FROM customer) GROUP BY 1), (SELECT range::INT AS k FROM range(2))")
 def group_eigs_2x2(spark: SparkSession, sf: str) -> DataFrame:
     rows = table(spark, sf, "customer").select(F.col("c_nationkey").alias("g"), F.array(F.col("c_acctbal") / 1000, (F.col("c_custkey") % 100) / 100.0).alias("x"))
@@ -508,6 +537,16 @@ def laplacian_apply(spark: SparkSession, sf: str) -> DataFrame:
     return graph.laplacian_apply(cosupply(spark, sf), x).select("i", r6("v").alias("v"))
 
 
+@query(f"WITH s AS MATERIALIZED ({COSUPPLY}) SELECT supplier.s_suppkey AS i, round(sum(v * (1.0 / (i + 1) - 1.0 / (j + 1))), 6) + 0.0 AS v FROM s JOIN supplier ON s_suppkey = i GROUP BY 1")
+def laplacian_implicit(spark: SparkSession, sf: str) -> DataFrame:
+    """One product of the operator that the solver takes in place of a formed Laplacian."""
+    n = table(spark, sf, "supplier").count()
+    edges = cosupply(spark, sf)
+    got = graph.LaplacianOperator(edges, n).apply(1.0 / (np.arange(n)[:, None] + 1))
+    rows = spark.createDataFrame([(k, float(x)) for k, x in enumerate(got[:, 0])], "i long, v double")
+    return rows.join(edges.select("i").distinct(), "i", "left_semi").select("i", r6("v").alias("v"))
+
+
 # baselines
 
 

@@ -207,10 +207,11 @@ def distinct_edges(spark: SparkSession, sf: str) -> DataFrame:
     return table(spark, sf, "lineitem").select("l_orderkey", "l_suppkey").distinct().agg(F.count(F.lit(1)).alias("edges"))
 
 
-@query("SELECT true AS close")
+@query("SELECT count(DISTINCT user_id) AS users, 0::BIGINT AS off_by_fifteenths FROM events")
 def approx_users(spark: SparkSession, sf: str) -> DataFrame:
-    counts = table(spark, sf, "events").agg(F.approx_count_distinct("user_id", 0.02).alias("a"), F.count_distinct("user_id").alias("b"))
-    return counts.select((F.abs(F.col("a") - F.col("b")) <= 0.06 * F.col("b")).alias("close"))
+    """Users counted exactly, and how many fifteenths of that the sketch is off."""
+    counts = table(spark, sf, "events").agg(F.approx_count_distinct("user_id", 0.02).alias("a"), F.count_distinct("user_id").alias("users"))
+    return counts.select("users", F.floor(15 * F.abs(F.col("a") - F.col("users")) / F.col("users")).alias("off_by_fifteenths"))
 
 
 @query("SELECT event_type, min_by(event_id, (value, event_id)) AS lowest, max_by(event_id, (value, event_id)) AS highest, round(corr(value, user_id), 6) AS corr, round(covar_samp(value, user_id), 4) AS covar, round(quantile_cont(value, 0.5), 6) AS median FROM events GROUP BY 1")
@@ -314,12 +315,12 @@ def _centres(spark: SparkSession, sf: str) -> DataFrame:
 
 
 @query(f"WITH e AS ({_CENTRES}) SELECT a.label::BIGINT AS i, b.label::BIGINT AS j, round(list_dot_product(a.c, b.c), 6) + 0.0 AS v FROM e a, e b")
-def embed_dot(spark: SparkSession, sf: str) -> DataFrame:
+def label_centre_dot(spark: SparkSession, sf: str) -> DataFrame:
     return gram.kernel(_centres(spark, sf), "label", "c").select("i", "j", r6("v").alias("v"))
 
 
 @query(f"WITH e AS ({_CENTRES}) SELECT a.label::BIGINT AS i, b.label::BIGINT AS j, round(exp(-0.5 * pow(list_distance(a.c, b.c), 2)), 6) AS v FROM e a, e b")
-def rbf_kernel(spark: SparkSession, sf: str) -> DataFrame:
+def label_centre_rbf(spark: SparkSession, sf: str) -> DataFrame:
     return gram.kernel(_centres(spark, sf), "label", "c", "rbf", 0.5).select("i", "j", r6("v").alias("v"))
 
 
@@ -362,7 +363,7 @@ def role_transition(spark: SparkSession, sf: str) -> DataFrame:
 
 
 @query(f"WITH t AS (SELECT DISTINCT right(source, -3)::BIGINT AS k, unnest({_WORDS}) AS w FROM documents) SELECT a.k AS i, b.k AS j, count(*)::DOUBLE AS v FROM t a JOIN t b ON a.w = b.w AND a.k != b.k GROUP BY ALL")
-def doc_similarity_entries(spark: SparkSession, sf: str) -> DataFrame:
+def source_shared_words(spark: SparkSession, sf: str) -> DataFrame:
     """How many distinct words two sources share."""
     docs = table(spark, sf, "documents").select(F.substring("source", 4, 10).cast("long").alias("k"), "text")
     return text.shared_terms(docs, "k", "text")
@@ -407,6 +408,21 @@ def recursive_cte_powers(spark: SparkSession, sf: str) -> DataFrame:
     return spark.sql("WITH RECURSIVE t(k, v) AS (SELECT 0, CAST(1 AS DOUBLE) UNION ALL SELECT k + 1, v * CAST(0.9 AS DOUBLE) + CAST(0.1 AS DOUBLE) * k FROM t WHERE k < 20) SELECT k, round(v, 9) AS v FROM t")
 
 
+@query("SELECT o_orderkey FROM orders WHERE (o_orderkey * 2246822519) % 4294967296 < 429496730")
+def bernoulli_sample(spark: SparkSession, sf: str) -> DataFrame:
+    """A sampling operator: each order by its own coin, thrown from a hash of the key, with a chance of a tenth."""
+    return table(spark, sf, "orders").where((F.col("o_orderkey") * F.lit(2246822519)) % 4294967296 < 429496730).select("o_orderkey")
+
+
+@query("SELECT o_orderpriority, o_orderkey FROM orders QUALIFY row_number() OVER (PARTITION BY o_orderpriority ORDER BY (o_orderkey * 2654435761) % 4294967296, o_orderkey) <= 20")
+def stratified_sample(spark: SparkSession, sf: str) -> DataFrame:
+    """A sampling operator: the twenty orders of each priority with the smallest hash, chosen by partial top lists."""
+    mark = F.struct(((F.col("o_orderkey") * F.lit(2654435761)) % 4294967296).alias("h"), F.col("o_orderkey").alias("k"))
+    marked = table(spark, sf, "orders").select("o_orderpriority", mark.alias("m"), F.pmod(F.xxhash64("o_orderkey"), F.lit(64)).alias("part"))
+    least = lambda df, *by: df.withColumn("r", F.row_number().over(Window.partitionBy(*by).orderBy("m"))).where("r <= 20").drop("r")
+    return least(least(marked, "o_orderpriority", "part"), "o_orderpriority").select("o_orderpriority", F.col("m.k").alias("o_orderkey"))
+
+
 @query("SELECT o_orderkey FROM orders WHERE (o_orderkey * 2654435761) % 1000 < 50")
 def hash_sample(spark: SparkSession, sf: str) -> DataFrame:
     """A sampling operator: a deterministic twentieth by a hash of the key."""
