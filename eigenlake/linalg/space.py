@@ -154,8 +154,11 @@ class SparkSpace(Space):
     and each serves twice. Partial sums of a partition meet before the network.
     alternate: every other step goes through the transposed blocks, which for
     a self-adjoint operator gives the same; panels then go along grid rows.
-    relayout moves the panel once more after every step, as a product that
-    cannot use its own output layout would have to: for comparison only.
+    every: steps between two cuts of the lineage; as a step reads the two before
+    it, work between cuts grows like the Fibonacci numbers, so more than 2
+    seldom pays. relayout moves the panel once more after every step, as a
+    product that cannot use its own output layout would have to: for
+    comparison only.
     """
 
     STRATEGIES = ("auto", "grid", "broadcast", "paired", "coo")

@@ -162,7 +162,7 @@ def shuffle_bytes(spark: SparkSession, sf: str) -> DataFrame:
     n = 512
     out = []
     for strategy in ("grid", "broadcast"):
-        space = SparkSpace(dense.reflector_blocks(spark, spectra.values("uniform", n), bs=n // 4), n, n // 4, strategy=strategy, every=4).pin()
+        space = SparkSpace(dense.reflector_blocks(spark, spectra.values("uniform", n), bs=n // 4), n, n // 4, strategy=strategy).pin()
         panel = space.keep(space.random(4, 7))
         _, got = stages.measured(spark, lambda s=space, p=panel: s.filter(p, np.full(4, 4), cheb_coeffs(0.0, 0.1, 1.2, 4)).count())
         out.append((strategy, space.sweeps, got["shuffle_bytes_written"] < 4 * 8 * n * n // 2))

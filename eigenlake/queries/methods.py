@@ -126,13 +126,13 @@ def eigs_geometric_low(spark: SparkSession, sf: str) -> DataFrame:
     return _values(driver.eigs(_reflected(spark, sf, "geometric", 1e-4), n, *_sizes(n, 8, 8), max_iter=400), 1e-3)
 
 
-@query(f"SELECT range AS k, round(pow(1e-4, (range - 1) / (n - 1)), 6) + 0.0 AS eigenvalue FROM range(1, 3), {_N}")
+@query(f"SELECT range AS k, round(pow(1e-60, (range - 1) / (n - 1)), 6) + 0.0 AS eigenvalue FROM range(1, 3), {_N}")
 def eigs_grid(spark: SparkSession, sf: str) -> DataFrame:
-    """The solver over blocks that stay on a task grid, alternating steps: the upper end of a dense operator indexed by parts."""
+    """The solver over blocks that stay on a task grid, alternating steps: the upper end of a dense operator indexed by parts, its bounds given."""
     n = table(spark, sf, "part").count()
-    space = SparkSpace(dense.reflector_blocks(spark, spectra.values("geometric", n), bs=-(-n // 4)), n, -(-n // 4), strategy="grid", sign=-1.0, every=4, alternate=True).pin()
+    space = SparkSpace(dense.reflector_blocks(spark, spectra.values("geometric", n, eps=1e-60), bs=-(-n // 2)), n, -(-n // 2), strategy="grid", sign=-1.0, alternate=True).pin()
     try:
-        s = driver.solve(space, driver.Options(2, 8, tol=1e-7, deg=14, max_deg=14, lanczos_steps=8, lanczos_runs=2))
+        s = driver.solve(space, driver.Options(2, 6, tol=1e-7, deg=12, max_deg=12, bounds=(-1.0, -(1e-60 ** (7 / (n - 1))), 0.0)))
     finally:
         space.unpin()
     return spark.createDataFrame([(k + 1, float(v)) for k, v in enumerate(s.values)], "k long, eigenvalue double").select("k", r6("eigenvalue").alias("eigenvalue"))

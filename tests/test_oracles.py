@@ -12,7 +12,7 @@ from eigenlake.queries import ORACLES, QUERIES
 SF = Path("/root/testdata/sf0.001")
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: The distributed solver takes half a minute; its parts are tested alone and it runs in test_products.
-SLOW = {"eigs_distributed", "eigs_gram_implicit"}
+SLOW = {"eigs_distributed", "eigs_gram_implicit", "eigs_grid"}
 #: The shift of this oracle's power iteration suits the spectrum of a larger table.
 LARGER = {"laplacian_low"}
 
