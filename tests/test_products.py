@@ -207,3 +207,30 @@ def test_dense_generators_have_their_spectra(spark):
 def test_operator_without_entries(spark):
     result = driver.eigs(spark.createDataFrame([], types.COO), 5, 2, 2)
     assert np.allclose(result.solution.values, 0) and LocalSpace(np.zeros((2, 2))).n == 2
+
+
+def test_implicit_laplacian_and_stage_totals(spark):
+    from eigenlake.build import graph
+    from eigenlake.cost.stages import measured
+    from eigenlake.solve.driver import Options, solve
+
+    n = 12
+    w = np.abs(gaussian(np.arange(n), n, 4))
+    w = w + w.T
+    np.fill_diagonal(w, 0)
+    lap = np.diag(w.sum(1)) - w
+    edges = coo(spark, w).where("i != j")
+    space = graph.LaplacianOperator(edges, n)
+    assert np.allclose(space.apply(np.eye(n)), lap, atol=1e-12)
+    s = solve(space, Options(2, 4, tol=1e-7, deg=8, max_deg=8, lanczos_steps=6, lanczos_runs=1))
+    assert np.allclose(s.values, np.linalg.eigvalsh(lap)[:2], atol=1e-6)
+    count, got = measured(spark, lambda: spark.range(1000).repartition(3).count())
+    assert count == 1000 and got["shuffle_rows_written"] >= 1000 and got["jobs"] >= 1 and 0 <= got["communication_share"]
+
+
+def test_pairs_of_a_hot_group_are_spread(spark):
+    from eigenlake.build.graph import cooccurrence
+
+    rows = [(1, k) for k in range(300)] + [(2, k) for k in range(0, 300, 2)] + [(2, 0), (None, 1), (3, None), (4, 9)]
+    got = {(r.i, r.j): r.v for r in cooccurrence(spark.createDataFrame(rows, "g long, item long"), "g", "item").collect()}
+    assert len(got) == 300 * 299 and all(v == (2.0 if i % 2 == 0 and j % 2 == 0 else 1.0) for (i, j), v in got.items())
