@@ -3,9 +3,18 @@
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
+from .. import types
+from ..linalg import blocks as layout
+from ..linalg.small import householder
 from ..linalg.space import LocalSpace, Space
-from ..solve.driver import Options, Solution, solve
+from ..session import broadcast_limit
+from ..solve.driver import Options, Solution, _anchor, dense, solve
+from .direct import ONE_TASK
+from .tridiag import counts
 
 
 def subspace_eigs(space: Space, nev: int, nex: int, tol: float = 1e-8, max_iter: int = 2000) -> Solution:
@@ -54,62 +63,154 @@ def lanczos_eigs(space: Space, nev: int, keep: int | None = None, size: int | No
     return Solution(getattr(space, "sign", 1.0) * theta[:nev], res[:nev], np.full(nev, turn), space.columns(ritz, at), [], turn, matvecs, space.sweeps, bool((res[:nev] < tol).all()))
 
 
-def rational_eigs(a: np.ndarray, low: float, high: float, m0: int, nodes: int = 8, tol: float = 1e-10, max_iter: int = 30) -> tuple[np.ndarray, np.ndarray]:
-    """Eigenvalues in (low, high) by contour quadrature: a linear solve at each node, sum, project."""
-    n = len(a)
+def _contour(low: float, high: float, nodes: int) -> tuple[np.ndarray, np.ndarray]:
+    """Where the upper half of a circle through low and high is sampled, as offsets from its centre, and the weights."""
     x, w = np.polynomial.legendre.leggauss(nodes)
-    angle = np.pi * (x + 1) / 2
-    centre, radius = (low + high) / 2, (high - low) / 2
-    y = LocalSpace(a).random(min(m0, n), 8)
-    values = np.zeros(0)
+    return (high - low) / 2 * np.exp(1j * np.pi * (x + 1) / 2), w
+
+
+def _node_term(a: np.ndarray, y: np.ndarray, centre: float, offset: complex, weight: float) -> np.ndarray:
+    """What one node adds to the filtered block: one factorisation of a shifted operator."""
+
+    def at(offset: complex) -> np.ndarray:
+        return weight / 2 * offset * np.linalg.solve((centre + offset) * np.eye(len(a)) - a, y)
+
+    return (at(offset) + at(np.conj(offset))) / 2 if np.iscomplexobj(a) else at(offset).real
+
+
+def _contour_pairs(a: np.ndarray, q: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Ritz values, vectors and residuals in the range of a filtered block."""
+    u, s, _ = np.linalg.svd(q, full_matrices=False)
+    u = u[:, s > 1e-10 * s[0]]
+    theta, v = np.linalg.eigh(u.conj().T @ a @ u)
+    y = u @ v
+    return theta, y, np.linalg.norm(a @ y - y * theta, axis=0)
+
+
+def _wanted(a: np.ndarray, shifts: np.ndarray) -> np.ndarray:
+    """How many eigenvalues lie between each two neighbouring shifts, by inertia."""
+    d, e, _ = householder(a)
+    return np.diff(counts(d, e, np.asarray(shifts, float)))
+
+
+def _accepted(theta: np.ndarray, res: np.ndarray, low: float, high: float, want: int, tol: float) -> tuple[np.ndarray, bool]:
+    """The `want` best pairs inside, in order, and whether all have converged; other values inside are ghosts."""
+    inside = np.flatnonzero((theta >= low) & (theta < high))
+    good = np.sort(inside[np.argsort(res[inside], kind="stable")[:want]])
+    return good, len(good) == want and bool((res[good] < tol * max(1, abs(low), abs(high))).all())
+
+
+def rational_eigs(a: np.ndarray, low: float, high: float, m0: int, nodes: int = 8, tol: float = 1e-10, max_iter: int = 30) -> tuple[np.ndarray, np.ndarray]:
+    """Eigenvalues in (low, high) by contour quadrature: a linear solve at each node, sum, project.
+
+    The block has m0 columns, and at least two more than there are values inside.
+    """
+    offsets, weights = _contour(low, high, nodes)
+    want = int(_wanted(a, (low, high))[0])
+    y = LocalSpace(a).random(min(max(m0, want + 2), len(a)), 8)
     for _ in range(max_iter):
-        q = np.zeros_like(y, dtype=complex if np.iscomplexobj(a) else float)
-        for t, weight in zip(angle, w):
-            z = centre + radius * np.exp(1j * t)
-            add = weight / 2 * radius * np.exp(1j * t) * np.linalg.solve(z * np.eye(n) - a, y)
-            if np.iscomplexobj(a):
-                add = (add + weight / 2 * radius * np.exp(-1j * t) * np.linalg.solve(np.conj(z) * np.eye(n) - a, y)) / 2
-            q = q + (add if np.iscomplexobj(a) else add.real)
-        u, s, _ = np.linalg.svd(q, full_matrices=False)
-        u = u[:, s > 1e-10 * s[0]]
-        theta, v = np.linalg.eigh(u.conj().T @ a @ u)
-        y = u @ v
-        inside = (theta > low) & (theta < high)
-        res = np.linalg.norm(a @ y - y * theta, axis=0)
-        good = inside & (res < 1e-3 * (abs(low) + abs(high) + radius))
-        values = theta[good]
-        if good.any() and (res[good] < tol * max(1, np.abs(values).max())).all():
+        theta, y, res = _contour_pairs(a, sum(_node_term(a, y, (low + high) / 2, z, w) for z, w in zip(offsets, weights)))
+        good, done = _accepted(theta, res, low, high, want, tol)
+        if done:
             break
-    return values, y[:, good]
+    return theta[good], y[:, good]
 
 
-def slice_eigs(a: np.ndarray, shifts: np.ndarray, width: int = 8, tol: float = 1e-10, max_iter: int = 60) -> np.ndarray:
-    """All eigenvalues between the first and last shift: inverse subspace iteration at the middle of each slice."""
-    n = len(a)
-    from ..linalg.small import householder
-    from .tridiag import counts
+def _copies(coo: DataFrame, n: int, key: str, count: int) -> DataFrame:
+    """The entries of an operator that fits a task, once for each of `count` tasks."""
+    if n > ONE_TASK:
+        raise types.DoesNotFit(f"order {n} is beyond one task; a factorised shift stops at {ONE_TASK}")
+    each = F.explode(F.sequence(F.lit(0), F.lit(count - 1))).alias(key)
+    return coo.unionByName(_anchor(coo)).select("*", each)
 
-    d, e, _ = householder(a)
-    below = counts(d, e, np.asarray(shifts, float))
-    out = []
-    for lo, hi, na, nb in zip(shifts[:-1], shifts[1:], below[:-1], below[1:]):
-        want = int(nb - na)
-        if not want:
-            continue
-        shift = (lo + hi) / 2
-        inverse = np.linalg.inv(a - (shift + 1e-13 * (hi - lo)) * np.eye(n))
-        k = min(n, want + width)
-        v = LocalSpace(a).random(k, 8)
+
+def _counted(coo: DataFrame, n: int, shifts: np.ndarray) -> DataFrame:
+    """(slice, want): how many eigenvalues each slice holds, counted in one task."""
+
+    def count(table: pa.Table) -> pa.Table:
+        want = _wanted(dense(table, n), shifts)
+        return pa.table({"slice": pa.array(np.arange(len(want)), pa.int32()), "want": want.astype(np.int64)})
+
+    return coo.unionByName(_anchor(coo)).groupBy(F.lit(1).alias("one")).applyInArrow(count, "slice int, want long")
+
+
+def rational_rows(coo: DataFrame, n: int, low: float, high: float, m0: int, nodes: int = 8, tol: float = 1e-10, max_iter: int = 30) -> tuple[np.ndarray, np.ndarray]:
+    """`rational_eigs` with a task for each node: (values, residuals).
+
+    The operator is copied to the nodes once and stays there; an iteration sends
+    them the block (n x m0, which must fit a broadcast) and sums their terms.
+    """
+    spark, kind = coo.sparkSession, np.dtype(layout.kind(coo))
+    copies = _copies(coo, n, "node", nodes)
+    want = int(_counted(coo, n, np.array([low, high])).first()["want"])
+    m0 = min(max(m0, want + 2), n)
+    if n * m0 * kind.itemsize > broadcast_limit(spark):
+        raise types.DoesNotFit(f"a block of {n} x {m0} is beyond the broadcast limit")
+    offsets, weights = _contour(low, high, nodes)
+    centre = (low + high) / 2
+    held = copies.repartition(nodes, "node").persist()
+    one = F.lit(1).alias("one")
+    y = LocalSpace(np.zeros((n, n), kind)).random(m0, 8)
+    try:
         for _ in range(max_iter):
-            q = np.linalg.qr(inverse @ v)[0]
-            theta, s = np.linalg.eigh(q.conj().T @ a @ q)
-            v = q @ s
-            res = np.linalg.norm(a @ v - v * theta, axis=0)
-            inside = np.flatnonzero((theta >= lo) & (theta < hi))
-            if len(inside) == want and (res[inside] < tol).all():
+            block = spark.sparkContext.broadcast(y)
+
+            def term(key: tuple, table: pa.Table) -> pa.Table:
+                node = key[0].as_py()
+                part = _node_term(dense(table, n), block.value, centre, offsets[node], weights[node])
+                return pa.table({"node": pa.array([node], pa.int32()), "part": [np.ascontiguousarray(part).tobytes()]})
+
+            def project(table: pa.Table, parts: pa.Table) -> pa.Table:
+                parts = parts.sort_by("node").column("part").to_pylist()
+                theta, v, res = _contour_pairs(dense(table, n), sum(np.frombuffer(x, kind).reshape(n, -1) for x in parts))
+                return pa.table({k: [np.ascontiguousarray(x).tobytes()] for k, x in (("theta", theta), ("vectors", v), ("res", res))})
+
+            parts = held.groupBy("node").applyInArrow(term, "node int, part binary")
+            row = coo.unionByName(_anchor(coo)).groupBy(one).cogroup(parts.groupBy(one)).applyInArrow(project, "theta binary, vectors binary, res binary").first()
+            theta, res = np.frombuffer(row["theta"]), np.frombuffer(row["res"])
+            y = np.frombuffer(row["vectors"], kind).reshape(n, -1)
+            block.unpersist()
+            good, done = _accepted(theta, res, low, high, want, tol)
+            if done:
                 break
-        out.extend(theta[inside])
-    return np.sort(np.array(out))
+    finally:
+        held.unpersist()
+    return theta[good], res[good]
+
+
+def _in_slice(a: np.ndarray, lo: float, hi: float, want: int, width: int, tol: float, max_iter: int) -> tuple[np.ndarray, np.ndarray]:
+    """The `want` eigenvalues in [lo, hi) and their residuals, by inverse subspace iteration at the middle."""
+    inverse = np.linalg.inv(a - ((lo + hi) / 2 + 1e-13 * (hi - lo)) * np.eye(len(a)))
+    v = LocalSpace(a).random(min(len(a), want + width), 8)
+    for _ in range(max_iter):
+        q = np.linalg.qr(inverse @ v)[0]
+        theta, s = np.linalg.eigh(q.conj().T @ a @ q)
+        v = q @ s
+        res = np.linalg.norm(a @ v - v * theta, axis=0)
+        good, done = _accepted(theta, res, lo, hi, want, tol)
+        if done:
+            break
+    return theta[good], res[good]
+
+
+def slice_eigs(a: np.ndarray, shifts: np.ndarray, width: int = 8, tol: float = 1e-10, max_iter: int = 60) -> np.ndarray:
+    """All eigenvalues between the first and last shift: inverse subspace iteration at the middle of each slice."""
+    shifts = np.asarray(shifts, float)
+    found = [_in_slice(a, lo, hi, int(want), width, tol, max_iter)[0] for lo, hi, want in zip(shifts, shifts[1:], _wanted(a, shifts)) if want]
+    return np.sort(np.concatenate([np.zeros(0), *found]))
+
+
+def slice_rows(coo: DataFrame, n: int, shifts: np.ndarray, width: int = 8, tol: float = 1e-10, max_iter: int = 60) -> DataFrame:
+    """`slice_eigs` with a task for each slice: (slice, eigenvalue, residual). One task counts what the slices hold."""
+    shifts = np.asarray(shifts, float)
+
+    def solve_slice(key: tuple, table: pa.Table, wanted: pa.Table) -> pa.Table:
+        at, want = key[0].as_py(), wanted.column("want")[0].as_py()
+        w, res = _in_slice(dense(table, n), shifts[at], shifts[at + 1], want, width, tol, max_iter) if want else (np.zeros(0), np.zeros(0))
+        return pa.table({"slice": pa.array([at] * len(w), pa.int32()), "eigenvalue": w, "residual": res})
+
+    copies = _copies(coo, n, "slice", len(shifts) - 1)
+    return copies.groupBy("slice").cogroup(_counted(coo, n, shifts).groupBy("slice")).applyInArrow(solve_slice, "slice int, eigenvalue double, residual double")
 
 
 def filtered(a: np.ndarray, nev: int, nex: int, end: str = "low", **options) -> Solution:

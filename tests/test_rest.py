@@ -72,6 +72,24 @@ def test_iterative_baselines_and_who_wins():
     assert np.allclose(krylov.slice_eigs(a, np.linspace(low, high, 4)), exact[3:10], atol=1e-8)
 
 
+@pytest.mark.parametrize("phase", [0.0, 0.3])
+def test_nodes_and_slices_as_tasks(spark, phase):
+    a = gaussian(np.arange(40), 40, 5)
+    b = gaussian(np.arange(40), 40, 6)
+    a = a + a.T + 1j * phase * (b - b.T) if phase else a + a.T
+    exact = np.linalg.eigvalsh(a)
+    rows = [(i, j, float(a[i, j].real), float(a[i, j].imag)) for i in range(40) for j in range(40)]
+    coo = spark.createDataFrame(rows, "i long, j long, v double, im double")
+    coo = coo if phase else coo.drop("im")
+    low, high = (exact[2] + exact[3]) / 2, (exact[8] + exact[9]) / 2
+    values, res = krylov.rational_rows(coo, 40, low, high, 12, nodes=6)
+    assert np.allclose(np.sort(values), exact[3:9], atol=1e-8) and res.max() < 1e-8
+    found = krylov.slice_rows(coo, 40, np.linspace(low, high, 4)).toPandas()
+    assert np.allclose(np.sort(found.eigenvalue), exact[3:9], atol=1e-8) and found["slice"].nunique() > 1
+    with pytest.raises(types.DoesNotFit):
+        krylov.slice_rows(coo, 10_000, np.linspace(low, high, 4))
+
+
 def test_memory_models(spark):
     assert memory.host_elements(20_000, 2000, 1, 1) == 5.6e8
     assert memory.device_elements(20_000, 2000, 1, 1, 1, 1) == 6.04e8
