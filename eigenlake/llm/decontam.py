@@ -501,9 +501,12 @@ def clean(docs: DataFrame, benchmark: DataFrame, text: str = "text", item: str =
     shared = docs.sparkSession.sparkContext.broadcast(index)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        textnum.settle()
         for batch in batches:
             keep = np.ones(batch.num_rows, bool)
             keep[[doc for doc, *_ in _leaks(batch.column(place), shared.value)]] = False
             yield batch.filter(pa.array(keep))
+            del batch
+            textnum.settle()
 
     return docs.mapInArrow(run, docs.schema)

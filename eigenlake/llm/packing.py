@@ -120,6 +120,8 @@ def pack(docs: DataFrame, tokenizer: str, key: str = "doc_id", text: str = "text
                         at += size
                 if len(bins.rows) >= 20_000 or with_ids:
                     yield bins.take()
+            del batch, raw, off
+            textnum.settle(keep=True)
         bins.chain()
         yield bins.take()
 

@@ -303,6 +303,7 @@ def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "te
     texts = docs.select(F.col(key).alias("id"), F.col(text).alias("text")).join(F.broadcast(chosen[0].unionByName(chosen[1])), "id")
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        textnum.settle()
         for batch in batches:
             raw, off = textnum.buffers(batch.column(2))
             for k in range(batch.num_rows):
@@ -328,11 +329,14 @@ def score(docs: DataFrame, model: Model, key: str = "doc_id", text: str = "text"
     schema = docs.select(*names, F.lit(0.0).alias(name)).schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        textnum.settle()
         found = _Found(model.features)
         for batch in batches:
             raw, off = textnum.buffers(batch.column(place))
             got = np.concatenate([np.zeros(0), *(model.scores(raw[off[a] : off[b]], off[a : b + 1] - off[a], found) for a, b in _runs(off))])
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(got, pa.float64())], [*names, name])
+            del batch, raw, off, got
+            textnum.settle()
 
     return chosen.mapInArrow(run, schema)
 

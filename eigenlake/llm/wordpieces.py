@@ -92,6 +92,7 @@ class Encoder:
 
 
 _made: dict[str, Encoder] = {}
+textnum.KEPT.append(_made)
 
 
 def encoder(path: str) -> Encoder:

@@ -117,3 +117,14 @@ def test_stages_on_columns_with_names_of_their_own(spark, folder):
         out = stage(spark, docs, path)
         assert out.columns == docs.columns
         assert {(r.doc_id, r.toxicity, r.other) for r in out.collect()} == {(k, 7, 8) for k in want}
+
+
+def test_a_worker_drops_the_tokenizer_when_it_turns_to_other_work(tmp_path):
+    from eigenlake.llm import queries, textnum, wordpieces
+
+    path = queries.tokenizer_path("word_bpe_49k.json")
+    held = wordpieces.encoder(path)
+    textnum.settle(keep=True)
+    assert wordpieces.encoder(path) is held
+    textnum.settle()
+    assert not wordpieces._made
