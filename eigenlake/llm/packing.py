@@ -118,6 +118,8 @@ def pack(docs: DataFrame, tokenizer: str, key: str = "doc_id", text: str = "text
                     for size in table.get(b - at, ()):
                         bins.add(doc, at - a, ids[at : at + size], total)
                         at += size
+                del ids, begin
+                textnum.settle(keep=True)
                 if len(bins.rows) >= 20_000 or with_ids:
                     yield bins.take()
             del batch, raw, off

@@ -16,6 +16,8 @@ from . import textnum
 
 #: Words a worker remembers; when more come, it starts afresh.
 CACHE_WORDS = 1_500_000
+#: Words encoded at once: an encoding takes about a kilobyte until its ids are taken.
+BATCH = 4096
 #: Bytes of text whose ids are laid out at once.
 SLICE = 2 << 20
 
@@ -37,9 +39,12 @@ class Encoder:
 
     def _ids(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of words one after the other, and where each word's ids begin."""
-        new = [e.ids for e in self.tokenizer.encode_batch_fast([x.decode("utf-8", "replace") for x in words], add_special_tokens=False)]
-        first = np.cumsum([0, *map(len, new)])
-        return np.fromiter((i for x in new for i in x), np.int32, first[-1]), first
+        ids, sizes = [np.zeros(0, np.int32)], [0]
+        for at in range(0, len(words), BATCH):
+            new = [e.ids for e in self.tokenizer.encode_batch_fast([x.decode("utf-8", "replace") for x in words[at : at + BATCH]], add_special_tokens=False)]
+            sizes.extend(map(len, new))
+            ids.append(np.fromiter((i for x in new for i in x), np.int32))
+        return np.concatenate(ids), np.cumsum(sizes)
 
     def _learn(self, keys: np.ndarray, words: list[bytes]) -> None:
         ids, first = self._ids(words)

@@ -128,3 +128,15 @@ def test_a_worker_drops_the_tokenizer_when_it_turns_to_other_work(tmp_path):
     assert wordpieces.encoder(path) is held
     textnum.settle()
     assert not wordpieces._made
+
+
+def test_words_are_encoded_a_batch_at_a_time(monkeypatch):
+    from eigenlake.llm import queries, wordpieces
+
+    words = [f"word{k}é".encode() for k in range(1000)]
+    encoder = wordpieces.Encoder(queries.tokenizer_path("word_bpe_49k.json"))
+    plain, first = encoder._ids(words)
+    monkeypatch.setattr(wordpieces, "BATCH", 7)
+    ids, at = encoder._ids(words)
+    assert (ids == plain).all() and (at == first).all() and len(at) == 1001
+    assert len(encoder._ids([])[0]) == 0
